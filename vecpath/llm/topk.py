@@ -115,7 +115,7 @@ def quantised(df: DataFrame, vec_id: str, vector: str) -> DataFrame:
     return (
         df.where(F.col(vec_id).isNotNull() & F.col(vector).isNotNull() & (F.size(vector) > 0) & ~bad)
         .select(F.col(vec_id).cast("long").alias("vec_id"), whole.alias("q"))
-        .withColumn("dim", F.size("q"))
+        .withColumn("dim", F.size("q").cast("long"))
     )
 
 
@@ -171,7 +171,7 @@ def topk_inner(
     dealt = rows.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
     built = cut(
         dealt.groupBy("dim", "block").applyInArrow(
-            index, "dim int, block long, n int, width int, base long, ids binary, slices binary"
+            index, "dim long, block long, n long, width long, base long, ids binary, slices binary"
         )
     )
     asked = (
@@ -179,7 +179,7 @@ def topk_inner(
         .distinct()
         .withColumn("part", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(groups)))
         .groupBy("dim", "part")
-        .applyInArrow(packed, "qdim int, part long, qids binary, qs binary")
+        .applyInArrow(packed, "qdim long, part long, qids binary, qs binary")
         .withColumn("qblock", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
     )
     pairs = asked.join(built, (F.col("qdim") == F.col("dim")) & (F.col("qblock") == F.col("block")))
