@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html, warc
+from . import bpe, html, quality, warc
 from .common import cut
 from .exact_dedup import digest, mark_copies
 from .mixing import mix
@@ -18,6 +18,19 @@ def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def quality_model(spark: SparkSession, docs: DataFrame, sf_dir: str) -> quality.Additive:
+    """Model of ``labels.quality``, from rows outside the fold that is held out."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where(quality.fold("doc_id", 4) != 2)
+    return quality.train(docs, labels)
+
+
+def op1_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _docs(spark, sf_dir).select("doc_id", "text")
+    scored = quality.score(docs, quality_model(spark, docs, sf_dir))
+    held_out = F.coalesce(quality.fold("doc_id", 4) == 2, F.lit(False))
+    return scored.select("doc_id", held_out.alias("held_out"), "score", "predicted")
+
+
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     narrow = cut(_docs(spark, sf_dir).select("doc_id", digest("text").alias("text_sha256")))
     return mark_copies(narrow, "text_sha256", "doc_id").select(
@@ -57,6 +70,7 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_quality_classifier": op1_quality_classifier,
     "op2_exact_dedup": op2_exact_dedup,
     "op4_mix_sources": op4_mix_sources,
     "op6_warc": op6_warc,
