@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html, quality, warc
+from . import bpe, html, lm, quality, warc
 from .common import cut
 from .exact_dedup import digest, mark_copies
 from .mixing import mix
@@ -38,6 +38,14 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op3_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = lm.score(_docs(spark, sf_dir).select("doc_id", "text"), quality.fold("doc_id", 7) != 2)
+    held_out = F.coalesce(quality.fold("doc_id", 7) == 2, F.lit(False))
+    return scored.select(
+        "doc_id", held_out.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score"
+    )
+
+
 def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mix(_docs(spark, sf_dir).select("doc_id", "source", "text"))
     return mixed.select(
@@ -72,6 +80,7 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_classifier": op1_quality_classifier,
     "op2_exact_dedup": op2_exact_dedup,
+    "op3_lm_scoring": op3_lm_scoring,
     "op4_mix_sources": op4_mix_sources,
     "op6_warc": op6_warc,
     "op7_topk_search": op7_topk_search,
