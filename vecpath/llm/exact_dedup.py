@@ -37,7 +37,7 @@ def mark_copies(
     than one in ``HEAVY_GROUPS`` of all rows), so they are broadcast, and
     their rows never meet in one task.
     """
-    src = df.withColumn("_h", F.xxhash64(F.coalesce(F.col(key), F.lit("")), F.col(key).isNull()))
+    src = df.withColumn("__vp_h", F.xxhash64(F.coalesce(F.col(key), F.lit("")), F.col(key).isNull()))
     rows = df.count()
     blocks = blocks_for(rows, max_filter_bytes)
     best = F.max if largest else F.min
@@ -45,41 +45,41 @@ def mark_copies(
     if blocks is None:
         straight, maybe = None, src
     else:
-        maps = cut(repeated_bits(src, "_h", blocks)).scalar()
-        flagged = src.withColumn("_maybe", may_hold(maps, F.col("_h"), blocks))
-        straight = flagged.where(~F.col("_maybe")).drop("_maybe")
-        maybe = flagged.where("_maybe").drop("_maybe")
+        maps = cut(repeated_bits(src, "__vp_h", blocks)).scalar()
+        flagged = src.withColumn("__vp_maybe", may_hold(maps, F.col("__vp_h"), blocks))
+        straight = flagged.where(~F.col("__vp_maybe")).drop("__vp_maybe")
+        maybe = flagged.where("__vp_maybe").drop("__vp_maybe")
     groups = cut(
-        maybe.select(F.col(key).alias("_key"), F.col(doc_id).alias("_id"))
-        .groupBy("_key", "_id")
-        .agg(F.count(F.lit(1)).alias("_n"))
-        .groupBy("_key")
+        maybe.select(F.col(key).alias("__vp_key"), F.col(doc_id).alias("__vp_id"))
+        .groupBy("__vp_key", "__vp_id")
+        .agg(F.count(F.lit(1)).alias("__vp_n"))
+        .groupBy("__vp_key")
         .agg(
-            best("_id").alias("_keep"),
-            F.sum("_n").alias("_size"),
-            F.coalesce(pick("_n", "_id"), F.sum("_n")).alias("_same"),
+            best("__vp_id").alias("__vp_keep"),
+            F.sum("__vp_n").alias("__vp_size"),
+            F.coalesce(pick("__vp_n", "__vp_id"), F.sum("__vp_n")).alias("__vp_same"),
         )
     )
     limit = max(32, rows // HEAVY_GROUPS)
-    heavy = F.broadcast(groups.where(F.col("_size") > limit))
-    light = groups.where(F.col("_size") <= limit)
-    on = F.col(key).eqNullSafe(F.col("_key"))
+    heavy = F.broadcast(groups.where(F.col("__vp_size") > limit))
+    light = groups.where(F.col("__vp_size") <= limit)
+    on = F.col(key).eqNullSafe(F.col("__vp_key"))
     large = maybe.join(heavy, on)
-    small = maybe.join(F.broadcast(heavy.select("_key")), on, "left_anti").join(light, on)
-    joined = large.unionByName(small).drop("_key")
-    stays = F.col(doc_id).eqNullSafe(F.col("_keep"))
-    out = joined.where(~stays | (F.col("_same") == 1)).withColumn("_kept", stays)
-    if not groups.where("_same > 1").isEmpty():
+    small = maybe.join(F.broadcast(heavy.select("__vp_key")), on, "left_anti").join(light, on)
+    joined = large.unionByName(small).drop("__vp_key")
+    stays = F.col(doc_id).eqNullSafe(F.col("__vp_keep"))
+    out = joined.where(~stays | (F.col("__vp_same") == 1)).withColumn("__vp_kept", stays)
+    if not groups.where("__vp_same > 1").isEmpty():
         # Repeated rows with the id that stays: one of them is kept.
-        one = Window.partitionBy(key, doc_id).orderBy("_h")
-        tied = joined.where(stays & (F.col("_same") > 1)).withColumn("_kept", F.row_number().over(one) == 1)
+        one = Window.partitionBy(key, doc_id).orderBy("__vp_h")
+        tied = joined.where(stays & (F.col("__vp_same") > 1)).withColumn("__vp_kept", F.row_number().over(one) == 1)
         out = out.unionByName(tied)
-    out = out.drop("_same")
+    out = out.drop("__vp_same")
     if straight is not None:
         out = out.unionByName(
-            straight.withColumns({"_keep": F.col(doc_id), "_size": F.lit(1).cast("long"), "_kept": F.lit(True)})
+            straight.withColumns({"__vp_keep": F.col(doc_id), "__vp_size": F.lit(1).cast("long"), "__vp_kept": F.lit(True)})
         )
-    return out.drop("_h").withColumnsRenamed({"_keep": "keep_id", "_size": "group_size", "_kept": "kept"})
+    return out.drop("__vp_h").withColumnsRenamed({"__vp_keep": "keep_id", "__vp_size": "group_size", "__vp_kept": "kept"})
 
 
 def exact_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from . import bpe, html, lm, quality, warc
 from .common import cut
 from .exact_dedup import digest, mark_copies
+from .jaccard import jaccard_join
 from .mixing import mix
 from .topk import topk_inner
 
@@ -77,6 +78,10 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_decode(_docs(spark, sf_dir).select("doc_id", "text"), tokenizer_path()).drop("text")
 
 
+def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join(_docs(spark, sf_dir).select("doc_id", "text"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality_classifier": op1_quality_classifier,
     "op2_exact_dedup": op2_exact_dedup,
@@ -86,6 +91,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_topk_search": op7_topk_search,
     "op8_html_extraction": op8_html_extraction,
     "op9_bpe": op9_bpe,
+    "op10_jaccard_join": op10_jaccard_join,
 }
 
 SQL_OP2 = """

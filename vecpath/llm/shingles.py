@@ -1,0 +1,75 @@
+"""Hashes of words and of word sequences, vectorised over whole texts."""
+
+from __future__ import annotations
+
+import numpy as np
+
+_rng = np.random.default_rng(1301)
+_BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_P = np.uint64(0x9E3779B97F4A7C15 | 1)
+Q = 0xD6E8FEB86659FD93
+Q_INVERSE = pow(Q, -1, 1 << 64)
+BLANK = np.zeros(256, bool)
+BLANK[[0x20, *range(0x09, 0x0E)]] = True
+_FOLD = np.arange(256, dtype=np.uint8)
+_FOLD[65:91] += 32
+
+
+def mixed(x: np.ndarray, seed: int = 0) -> np.ndarray:
+    """A bijective scramble of 64-bit values (another one for each seed)."""
+    x = x + np.uint64((0x9E3779B97F4A7C15 * (seed + 1)) & (1 << 64) - 1)
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    out = np.full(n, np.uint64(base), np.uint64)
+    if n:
+        out[0] = 1
+        np.multiply.accumulate(out, out=out)
+    return out
+
+
+def words(data: np.ndarray, fold: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(64-bit hash, start, end) of every word of a text given as bytes.
+
+    Words are runs of bytes that are not ASCII white space; with ``fold`` A-Z
+    count as a-z.
+    """
+    blank = BLANK[data]
+    edge = np.flatnonzero(np.diff(blank, prepend=True, append=True))
+    start, end = edge[::2], edge[1::2]
+    if not len(start):
+        return np.zeros(0, np.uint64), start, end
+    if fold:
+        data = _FOLD[data]
+    place = np.arange(len(data)) - np.repeat(np.concatenate([[0], start]), np.diff(np.concatenate([[0], start, [len(data)]])))
+    longest = int((end - start).max())
+    value = _BYTE[data] * _powers(int(_P), longest + 1)[np.minimum(place, longest)]
+    value[blank] = 0
+    h = np.add.reduceat(value, start)
+    return mixed(h + (end - start).astype(np.uint64)), start, end
+
+
+class Spans:
+    """Hashes of any span of a sequence of word hashes, in constant time each."""
+
+    def __init__(self, h: np.ndarray):
+        n = len(h)
+        self.sums = np.zeros(n + 1, np.uint64)
+        np.cumsum(h * _powers(Q, n), out=self.sums[1:])
+        self.back = _powers(Q_INVERSE, n + 1)
+
+    def hash(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Hash of the words a to b - 1; equal sequences have equal hashes."""
+        return mixed((self.sums[b] - self.sums[a]) * self.back[a] + (b - a).astype(np.uint64))
+
+
+def shingles(data: np.ndarray, size: int = 5) -> np.ndarray:
+    """Sorted distinct hashes of a text's shingles; a shorter text is one shingle."""
+    h, _, _ = words(data, fold=True)
+    if not len(h):
+        return h
+    a = np.arange(max(1, len(h) - size + 1))
+    return np.unique(Spans(h).hash(a, np.minimum(a + size, len(h))))
