@@ -1,12 +1,78 @@
-"""Training-data pipeline over ``documents``; see STAGES."""
+"""Training-data pipeline over ``documents``.
+
+Low quality goes, then exact copies, then near copies; sources are mixed to
+their weights, and what is left is encoded.  Every stage takes
+(spark, docs, sf_dir) and works on all that the stage before it kept.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from vecpath.deploy import ship_package
+from vecpath.llm import bpe, quality
+from vecpath.llm.common import without_ids
+from vecpath.llm.exact_dedup import exact_dedup
+from vecpath.llm.jaccard import jaccard_join
+from vecpath.llm.mixing import mix, repeat
+from vecpath.llm.queries import quality_model, tokenizer_path
+from vecpath.llm.warc import new_folder
+
+
+def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier does not reject."""
+    ship_package(spark)
+    scored = quality.score(docs, quality_model(spark, docs, sf_dir))
+    return scored.where("predicted = 1").select(*docs.columns)
+
+
+def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the one with the largest doc_id."""
+    return exact_dedup(docs).where("kept").select(*docs.columns)
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near copies the document with the smallest doc_id.
+
+    Rows that share an id stay or go together.
+    """
+    ship_package(spark)
+    groups = jaccard_join(docs.select("doc_id", "text"))
+    gone = groups.groupBy("doc_id").agg(F.max((F.col("component_id") == F.col("doc_id")).cast("int")).alias("first"))
+    return without_ids(docs, gone.where("first = 0").select("doc_id"))
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every document as often as the mix takes it."""
+    return repeat(mix(docs)).select(*docs.columns)
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every document that is left, as counts and digests."""
+    ship_package(spark)
+    coded = bpe.encode_decode(docs, tokenizer_path())
+    return coded.select("doc_id", "lang", "source", "n_tokens", "ids_sha256", "decoded_sha256")
+
+
+STAGES = [
+    ("quality_classifier", keep_quality),
+    ("exact_dedup", drop_exact_copies),
+    ("near_dedup", drop_near_copies),
+    ("mix_sources", mix_sources),
+    ("bpe_encode", encode),
+]
 
-STAGES: list = []
+# The classifier, the random offsets and the tokenizer cannot be expressed in SQL.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """All stages; each one's result is written to the shared folder and read again."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    folder = new_folder(spark, "pipeline")
+    for number, (name, stage) in enumerate(STAGES):
+        path = f"{folder}/{number}-{name}"
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
+    return docs

@@ -59,3 +59,20 @@ def free_name(taken: list[str], base: str) -> str:
         k += 1
         name = f"{base}_{k}"
     return name
+
+
+def without_ids(docs: DataFrame, ids: DataFrame, doc_id: str = "doc_id", max_filter_bytes: int = 32 << 20) -> DataFrame:
+    """Rows of ``docs`` whose id is not in ``ids`` (one column of the same name).
+
+    Rows that a Bloom filter of ``ids`` rules out pass straight through; only
+    the others are shuffled.  Rows with a null id stay.
+    """
+    from .bloom import blocks_for, may_hold, present_bits
+
+    ids = cut(ids.where(F.col(doc_id).isNotNull()).distinct())
+    blocks = blocks_for(ids.count(), max_filter_bytes)
+    if blocks is None:
+        return docs.join(ids, doc_id, "left_anti")
+    maps = cut(present_bits(ids.select(F.xxhash64(doc_id).alias("h")), "h", blocks)).scalar()
+    maybe = F.col(doc_id).isNotNull() & may_hold(maps, F.xxhash64(doc_id), blocks)
+    return docs.where(~maybe).unionByName(docs.where(maybe).join(ids, doc_id, "left_anti").select(*docs.columns))

@@ -12,6 +12,7 @@ from .common import cut
 from .exact_dedup import digest, mark_copies
 from .jaccard import jaccard_join
 from .mixing import mix
+from .substring import substring_dedup
 from .topk import topk_inner
 
 
@@ -54,6 +55,10 @@ def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup(_docs(spark, sf_dir).select("doc_id", "text"))
+
+
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = warc.new_folder(spark, "warc")
     written = warc.write_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"), folder)
@@ -87,6 +92,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_exact_dedup": op2_exact_dedup,
     "op3_lm_scoring": op3_lm_scoring,
     "op4_mix_sources": op4_mix_sources,
+    "op5_substring_dedup": op5_substring_dedup,
     "op6_warc": op6_warc,
     "op7_topk_search": op7_topk_search,
     "op8_html_extraction": op8_html_extraction,
