@@ -32,9 +32,10 @@ def source_targets(sizes: DataFrame, max_repeat: float = 3.0, weights: tuple[flo
         .withColumn("_left", F.col("_total") - F.coalesce(F.sum("_cap").over(filled), F.lit(0.0)))
         .withColumn("_open", F.sum("_w").over(every) - F.coalesce(F.sum("_w").over(filled), F.lit(0.0)))
         .withColumn("_level", F.col("_left") / F.col("_open"))
-        # the first source, in this order, whose cap is not reached fixes the level
+        # the first source, in this order, whose cap is not reached fixes the level;
+        # later ones, which take more sources as capped than are, have lower levels
         .withColumn(
-            "_at", F.min(F.when(F.col("_cap") >= F.col("_level") * F.col("_w"), F.col("_level"))).over(every)
+            "_at", F.max(F.when(F.col("_cap") >= F.col("_level") * F.col("_w"), F.col("_level"))).over(every)
         )
     )
     target = F.least(F.col("_cap"), F.coalesce(F.col("_at") * F.col("_w"), F.col("_cap")))
