@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from .common import cut, text_or_empty, word_count
 
 SMALL_SOURCES = 50_000
+OFFSETS = 16
 
 
 def source_targets(sizes: DataFrame, max_repeat: float = 3.0, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
@@ -54,7 +55,8 @@ def mix(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str
     class, a hash and size; their expected copies are summed along this order,
     one random offset for the source is added, and the row is taken once for
     every whole number that the sum crosses.  The order spreads each size
-    class evenly, so that the words taken come near the target.
+    class evenly.  Of the offsets that stand evenly spaced from a random start,
+    a source gets the one by which its words come nearest to its target.
 
     The prefix sum is distributed: rows are dealt into small cells, a window
     ranks each cell, and the offsets of the cells come from their counts, so
@@ -98,18 +100,31 @@ def mix(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str
         )
         .select(F.col("source").alias("_s"), F.col("_class").alias("_c"), F.col("_part").alias("_p"), "_before")
     )
-    here = Window.partitionBy(source, "_class", "_part").orderBy("size", "_hash", doc_id)
-    ranked = dealt(rows, doc_id, source).withColumn("_rn", F.row_number().over(here))
-    ranked = ranked.join(
-        cells, F.col(source).eqNullSafe(F.col("_s")) & (F.col("_class") == F.col("_c")) & (F.col("_part") == F.col("_p"))
-    )
+    def ranked(df: DataFrame, sid: str, src: str) -> DataFrame:
+        here = Window.partitionBy(src, "_class", "_part").orderBy("size", "_hash", sid)
+        out = dealt(df, sid, src).withColumn("_rn", F.row_number().over(here))
+        same = F.col(src).eqNullSafe(F.col("_s")) & (F.col("_class") == F.col("_c")) & (F.col("_part") == F.col("_p"))
+        out = out.join(cells, same).withColumn("_rank", F.col("_before") + F.col("_rn"))
+        return out.drop("_class", "_hash", "_part", "_rn", "_s", "_c", "_p", "_before", "n_docs")
+
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    offset = _uniform(F.lit(seed), F.lit("offset"), F.coalesce(F.col(source), F.lit("")), F.col(source).isNull())
-    rank = F.col("_before") + F.col("_rn")
-    copies = (F.floor(rank * rate + offset) - F.floor((rank - 1) * rate + offset)).cast("int")
-    return ranked.withColumn("copies", copies).drop(
-        "_class", "_hash", "_part", "_rn", "_s", "_c", "_p", "_before", "n_docs"
+
+    def copies(offset: Column) -> Column:
+        return (F.floor(F.col("_rank") * rate + offset) - F.floor((F.col("_rank") - 1) * rate + offset)).cast("int")
+
+    start = _uniform(F.lit(seed), F.coalesce(F.col("source"), F.lit("")), F.col("source").isNull())
+    starts = [(start + k / OFFSETS) % 1 for k in range(OFFSETS)]
+    tried = (
+        ranked(narrow, "doc_id", "source")
+        .groupBy("source")
+        .agg(F.first("target").alias("_t"), *(F.sum(copies(u) * F.col("size")).alias(f"_{k}") for k, u in enumerate(starts)))
     )
+    nearest = F.array_min(F.array(*(F.struct(F.abs(F.col(f"_{k}") - F.col("_t")).alias("e"), u.alias("u")) for k, u in enumerate(starts))))
+    offsets = cut(tried.select(F.col("source").alias("_s"), nearest["u"].alias("_offset")))
+    if offsets.count() <= SMALL_SOURCES:
+        offsets = F.broadcast(offsets)
+    out = ranked(rows, doc_id, source).join(offsets, F.col(source).eqNullSafe(F.col("_s")))
+    return out.withColumn("copies", copies(F.col("_offset"))).drop("_s", "_rank", "_offset")
 
 
 def repeat(mixed: DataFrame) -> DataFrame:
