@@ -98,20 +98,31 @@ def count_words(docs: DataFrame, text: str) -> DataFrame:
 
 
 def vocabulary(counts: DataFrame, n_docs: int, head: int = HEAD, symbols: int = SYMBOLS) -> Vocabulary:
-    top = counts.orderBy(F.col("n").desc(), "word").limit(head).collect()
-    index = {bytes(r["word"]): k for k, r in enumerate(top)}
-    known = np.array([r["n"] for r in top], np.int64)
+    """The head is the words from a least count on, so that no more than ``head`` words are gathered."""
+    steps = F.floor(F.log2(F.col("n")) * 64).cast("int")
+    sizes = sorted(((r[0], r[1]) for r in counts.groupBy(steps.alias("b")).count().collect()), reverse=True)
+    least, room = 1 << 30, head
+    for b, k in sizes:
+        room -= k
+        if room < 0:
+            break
+        least = b
+    got = counts.where(steps >= least).select("word", "n").toArrow()
+    words, n = got.column("word").to_pylist(), np.asarray(got.column("n"), np.int64)
+    order = sorted(range(len(words)), key=lambda i: (-n[i], words[i]))
+    index = {words[i]: k for k, i in enumerate(order)}
+    known = n[order]
     by_class = counts.groupBy(class_column(F.col("word")).alias("c")).agg(
         F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")
     ).collect()
     total, distinct = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
     for r in by_class:
         total[r["c"]], distinct[r["c"]] = r["n"], r["v"]
-    symbols = min(symbols, len(top))
+    symbols = min(symbols, len(index), (1 << 16) - CLASSES - 1)  # a symbol has two bytes
     everything, v = int(total.sum()), int(distinct.sum())
-    for r in top[:symbols]:
-        c = class_of(bytes(r["word"]))
-        total[c] -= r["n"]
+    for i in order[:symbols]:
+        c = class_of(words[i])
+        total[c] -= n[i]
         distinct[c] -= 1
     return Vocabulary(
         index, known, n_docs, everything + n_docs, v + (n_docs > 0), total, distinct, symbols
@@ -246,26 +257,78 @@ def initial(vocab: Vocabulary, seeds: list[np.ndarray], states: int, seed: int =
     return Model(start / start.sum(), move, emit / emit.sum(0))
 
 
+def encoded(docs: DataFrame, vocab, text: str, doc_id: str) -> DataFrame:
+    """What the model and the unigram base need of every row, in one pass over the texts.
+
+    (_row, _id, _train, n_tokens, _known, _base, _within, _tail, _times, _symbols):
+    symbols of two bytes each; _within is the part of the score that words have
+    within their classes; _tail the words without a count at hand, once each.
+    """
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        v: Vocabulary = vocab.value
+        log_count = np.log10(v.counts + 1.0)
+        within = np.log10(v.class_total + v.class_distinct + 1.0)
+        for batch in batches:
+            row = 0
+            for group in _sequences(v, batch.column("_text")):
+                out = ([], [], [], [], [], [], [])
+                for sym, at, rest in group:
+                    some = at[at >= 0]
+                    classed = sym[:-1][sym[:-1] >= v.symbols] - v.symbols
+                    found = Counter(rest)
+                    for o, x in zip(out, (
+                        len(sym), len(some) + (v.ends > 0),
+                        log_count[some].sum() + np.log10(v.ends + 1.0) - len(sym) * v.base_denominator(),
+                        log_count[some[some >= v.symbols]].sum() - within[classed].sum(),
+                        list(found), list(found.values()), sym.astype(np.uint16).tobytes(),
+                    )):
+                        o.append(x)
+                n = len(group)
+                kinds = (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.binary()), pa.list_(pa.int64()), pa.binary())
+                yield pa.RecordBatch.from_arrays(
+                    [*(batch.column(c).slice(row, n) for c in ("_row", "_id", "_train")), *(pa.array(o, t) for o, t in zip(out, kinds))],
+                    ["_row", "_id", "_train", "n_tokens", "_known", "_base", "_within", "_tail", "_times", "_symbols"],
+                )
+                row += n
+
+    kind = docs.schema["_id"].dataType.simpleString()
+    return cut(
+        docs.mapInArrow(
+            work,
+            f"_row long, _id {kind}, _train boolean, n_tokens long, _known long, _base double, _within double, "
+            "_tail array<binary>, _times array<long>, _symbols binary",
+        )
+    )
+
+
+def _symbols(column: pa.Array) -> Iterator[list[np.ndarray]]:
+    """Symbol sequences in groups of bounded size."""
+    group, size = [], 0
+    for x in column:
+        s = np.frombuffer(x.as_py(), np.uint16).astype(np.int64)
+        group.append(s)
+        size += len(s)
+        if size > 600_000:
+            yield group
+            group, size = [], 0
+    if group:
+        yield group
+
+
 def train(
-    docs: DataFrame, vocab: Vocabulary, text: str, doc_id: str, states: int = STATES, iterations: int = 3,
-    seed_docs: int = SEED_DOCS,
-) -> Model:
-    """Baum-Welch over all rows of ``docs``.
+    rows: DataFrame, vocab: Vocabulary, states: int = STATES, iterations: int = 3, seed_docs: int = SEED_DOCS
+) -> Model:
+    """Baum-Welch over the symbols of all training rows.
 
     Only the starting point comes from a bounded sample (``seed_docs`` rows
     with the smallest hash of their id).  Every iteration reads all rows;
     tasks emit their expected counts by symbol and Spark adds them up.
     """
-    sample = docs.orderBy(F.xxhash64(F.col(doc_id)), doc_id).limit(seed_docs)
-    spark = docs.sparkSession
-    held = spark.sparkContext.broadcast(vocab)
-
-    def symbols_only(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for group in _sequences(held.value, batch.column(0)):
-                yield pa.RecordBatch.from_arrays([pa.array([s.astype(np.int32).tobytes() for s, _, _ in group], pa.binary())], ["s"])
-
-    seeds = [np.frombuffer(r["s"], np.int32) for r in sample.select(text).mapInArrow(symbols_only, "s binary").collect()]
+    spark = rows.sparkSession
+    taught = rows.where("_train").select("_id", "_symbols")
+    sample = taught.orderBy(F.xxhash64("_id"), "_id").limit(seed_docs).select("_symbols").toArrow()
+    seeds = [np.frombuffer(x.as_py(), np.uint16).astype(np.int64) for x in sample.column(0)]
     seeds.sort(key=lambda s: (len(s), s.tobytes()))
     model = initial(vocab, seeds, states)
     names = [f"s{i}" for i in range(states)]
@@ -275,12 +338,12 @@ def train(
         now = spark.sparkContext.broadcast(model)
 
         def work(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
-            m, v = now.value, held.value
+            m = now.value
             starts, moves, emits = np.zeros(states), np.zeros((states, states)), np.zeros_like(m.emit)
             any_rows = False
             for batch in batches:
-                for group in _sequences(v, batch.column(0)):
-                    a, b, c, _ = expected_counts(m, [s for s, _, _ in group])
+                for group in _symbols(batch.column(0)):
+                    a, b, c, _ = expected_counts(m, group)
                     starts, moves, emits, any_rows = starts + a, moves + b, emits + c, True
             if any_rows:
                 rows = np.flatnonzero(emits.any(1))
@@ -288,16 +351,14 @@ def train(
                 values = np.concatenate([emits[rows], moves, starts[None]])
                 yield pa.RecordBatch.from_arrays([pa.array(symbol), *(pa.array(values[:, i]) for i in range(states))], ["symbol", *names])
 
-        summed = docs.select(text).mapInArrow(work, schema).groupBy("symbol").agg(*(F.sum(n).alias(n) for n in names))
+        summed = taught.select("_symbols").mapInArrow(work, schema).groupBy("symbol").agg(*(F.sum(n).alias(n) for n in names))
         emit, move, start = prior[:, None] * 50 + np.zeros(states), np.eye(states) * 0.5 + 0.05, np.full(states, 0.1)
-        for r in summed.collect():  # one row for each symbol: bounded by the vocabulary
-            at, values = r[0], np.array(r[1:])
-            if at >= 0:
-                emit[at] += values
-            elif at == -1:
-                start += values
-            else:
-                move[-2 - at] += values
+        got = summed.toArrow()  # one row for each symbol: bounded by the vocabulary
+        at = np.asarray(got.column(0), np.int64)
+        values = np.stack([np.asarray(got.column(1 + i), float) for i in range(states)], 1)
+        emit[at[at >= 0]] += values[at >= 0]
+        start += values[at == -1].sum(0)
+        move[-2 - at[at < -1]] += values[at < -1]
         model = Model(start / start.sum(), move / move.sum(1, keepdims=True), emit / emit.sum(0))
         now.unpersist()
     return model
@@ -322,50 +383,26 @@ def score(
     Counts cover all training rows.  Words outside the ``head`` most frequent
     ones are looked up by a shuffle on the word, each word of a document once.
     """
-    taught = docs.where(F.coalesce(training, F.lit(False))).select(F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text"))
+    spark = docs.sparkSession
+    rows = docs.select(
+        F.monotonically_increasing_id().alias("_row"), F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text"),
+        F.coalesce(training, F.lit(False)).alias("_train"),
+    )
+    taught = rows.where("_train")
     counts = cut(count_words(taught, "_text"))
     vocab = vocabulary(counts, taught.count(), head, symbols)
-    model = train(taught, vocab, "_text", "_id", states, iterations)
-    spark = docs.sparkSession
-    held = spark.sparkContext.broadcast((vocab, model))
+    rows = encoded(rows, spark.sparkContext.broadcast(vocab), "_text", "_id")
+    held = spark.sparkContext.broadcast(train(rows, vocab, states, iterations))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        v, m = held.value
-        log_count = np.log10(v.counts + 1.0)
-        within = np.log10(v.class_total + v.class_distinct + 1.0)
         for batch in batches:
-            row = 0
-            for group in _sequences(v, batch.column("_text")):
-                ll = log_likelihood(m, [s for s, _, _ in group]) / LOG10
-                tokens, known, base, tail, times, model_score = [], [], [], [], [], []
-                for (sym, at, rest), one in zip(group, ll):
-                    tokens.append(len(sym))
-                    some = at[at >= 0]
-                    known.append(len(some) + (v.ends > 0))
-                    base.append(log_count[some].sum() + np.log10(v.ends + 1.0) - len(sym) * v.base_denominator())
-                    classed = sym[:-1][sym[:-1] >= v.symbols] - v.symbols
-                    model_score.append(one - within[classed].sum() + log_count[some[some >= v.symbols]].sum())
-                    found = Counter(rest)
-                    tail.append(list(found))
-                    times.append(list(found.values()))
-                n = len(group)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column("_row").slice(row, n), batch.column("_id").slice(row, n), pa.array(tokens, pa.int64()),
-                     pa.array(known, pa.int64()), pa.array(base, pa.float64()), pa.array(model_score, pa.float64()),
-                     pa.array(tail, pa.list_(pa.binary())), pa.array(times, pa.list_(pa.int64()))],
-                    ["_row", "_id", "n_tokens", "_known", "_base", "_score", "_tail", "_times"],
-                )
-                row += n
+            ll = [np.zeros(0)] + [log_likelihood(held.value, group) / LOG10 for group in _symbols(batch.column("_symbols"))]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("_row"), pa.array(np.concatenate(ll))], ["_row", "_ll"]
+            )
 
-    kind = docs.schema[doc_id].dataType.simpleString()
-    rows = docs.select(F.monotonically_increasing_id().alias("_row"), F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text"))
-    scored = cut(
-        rows.mapInArrow(
-            work,
-            f"_row long, _id {kind}, n_tokens long, _known long, _base double, _score double, _tail array<binary>, _times array<long>",
-        )
-    )
-    pairs = scored.select("_row", F.explode(F.arrays_zip("_tail", "_times")).alias("x")).select(
+    likely = rows.select("_row", "_symbols").mapInArrow(work, "_row long, _ll double")
+    pairs = rows.select("_row", F.explode(F.arrays_zip("_tail", "_times")).alias("x")).select(
         "_row", F.col("x._tail").alias("word"), F.col("x._times").alias("times")
     )
     found = (
@@ -374,11 +411,12 @@ def score(
         .agg(F.sum("times").alias("_more"), F.sum(F.col("times") * F.log10(F.col("n") + 1)).alias("_add"))
     )
     more, add = F.coalesce("_more", F.lit(0)), F.coalesce("_add", F.lit(0.0))
-    return scored.drop("_tail", "_times").join(found, "_row", "left").select(
+    narrow = rows.select("_row", "_id", "n_tokens", "_known", "_base", "_within")
+    return narrow.join(likely, "_row").join(found, "_row", "left").select(
         F.col("_id").alias(doc_id),
         "n_tokens",
         (F.col("_known") + more).cast("long").alias("n_known"),
         F.lit(vocab.total).cast("long").alias("train_tokens"),
         (F.col("_base") + add).alias("base_score"),
-        (F.col("_score") + add).alias("score"),
+        (F.col("_ll") + F.col("_within") + add).alias("score"),
     )
