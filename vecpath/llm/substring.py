@@ -10,10 +10,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import flat
 from .bloom import blocks_for, may_hold, present_bits
 from .common import cut
-from .shingles import Spans, mixed, words
+from .hashes import Spans, mixed, texts
 
 FLUSH = 400_000  # records held by a task
 FEW = 4  # documents for one name that a task passes on
@@ -206,13 +205,9 @@ def _parsed(docs: DataFrame, window: int, buckets: int, keep_text: bool) -> Data
                 yield _out(len(rows[0]), kind=PACKED, bucket=rows[0], core=rows[1], span=rows[2], place=rows[3], docs=rows[4])
 
         for batch in batches:
-            offsets, data = flat(batch.column("text"))
             ids = batch.column("doc_id").to_pylist()
-            at = offsets.tolist()
             rows, n_words, sha, kept = [], [], [], []
-            for k, doc in enumerate(ids):
-                part = data[at[k] : at[k + 1]]
-                h, _, _ = words(part, fold=False)
+            for k, (doc, (h, part)) in enumerate(zip(ids, texts(batch.column("text"), False))):
                 row = _row(h)
                 rows.append(row)
                 n_words.append(len(h))
@@ -306,10 +301,8 @@ def substring_dedup(
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         half = window // 2
         for batch in batches:
-            offsets, data = flat(batch.column("text"))
-            at = offsets.tolist()
-            for k, (doc, row, found) in enumerate(zip(*(batch.column(c) for c in ("doc_id", "row", "found")))):
-                h, _, _ = words(data[at[k] : at[k + 1]], fold=False)
+            listed_rows = zip(*(batch.column(c) for c in ("doc_id", "row", "found")))
+            for (doc, row, found), (h, _) in zip(listed_rows, texts(batch.column("text"), False)):
                 if _row(h) != row.as_py():
                     continue
                 pairs = np.unique(np.array([(x["s"], x["e"]) for x in found.as_py()], np.int64), axis=0)
@@ -330,12 +323,9 @@ def substring_dedup(
     def removed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         half = window // 2
         for batch in batches:
-            offsets, data = flat(batch.column("text"))
-            at = offsets.tolist()
             out = ([], [], [], [], [])
-            for k, (doc, row, found) in enumerate(zip(*(batch.column(c) for c in ("doc_id", "row", "found")))):
-                part = data[at[k] : at[k + 1]]
-                h, _, _ = words(part, fold=False)
+            listed_rows = zip(*(batch.column(c) for c in ("doc_id", "row", "found")))
+            for (doc, row, found), (h, part) in zip(listed_rows, texts(batch.column("text"), False)):
                 if _row(h) != row.as_py():
                     continue
                 edge = np.zeros(len(h) + 1, np.int64)
