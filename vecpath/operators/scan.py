@@ -128,7 +128,7 @@ def scan(
     if pushdown not in ("late", "inline", "minibatch", "none"):
         raise ValueError(f"unknown pushdown {pushdown!r}")
     theta = F.lit(True) if cond is None else F.coalesce(cond, F.lit(False))
-    rows = df.where(theta) if cond is not None and pushdown == "late" else df
+    rows = df.where(cond) if cond is not None and pushdown == "late" else df  # bare, so that the files see it
     rows = rows.select(
         F.col(row_id).alias("_id"), F.col(vector).alias("_v"), (F.lit(True) if pushdown == "late" else theta).alias("_theta")
     )

@@ -31,23 +31,24 @@ def matches(c):
     return scan(c.embeddings, block(c, 20), bound=0.2).join(docs, "vec_id")
 
 
-N = F.count(F.lit(1)).alias("n")
+def n():
+    return F.count(F.lit(1)).alias("n")
 
 
 @query("match_cube", f"SELECT lang, source, count(*) AS n FROM {MATCHES} GROUP BY CUBE (lang, source)")
 def _(c):
-    return matches(c).cube("lang", "source").agg(N)
+    return matches(c).cube("lang", "source").agg(n())
 
 
 @query("match_rollup", f"SELECT lang, source, count(*) AS n FROM {MATCHES} GROUP BY ROLLUP (lang, source)")
 def _(c):
-    return matches(c).rollup("lang", "source").agg(N)
+    return matches(c).rollup("lang", "source").agg(n())
 
 
 @query("match_grouping_sets", f"SELECT lang, source, count(*) AS n FROM {MATCHES} GROUP BY GROUPING SETS ((lang), (source))")
 def _(c):
     m = matches(c)
-    return m.groupingSets([[F.col("lang")], [F.col("source")]], "lang", "source").agg(N)
+    return m.groupingSets([[F.col("lang")], [F.col("source")]], "lang", "source").agg(n())
 
 
 @query(
@@ -151,7 +152,7 @@ def _(c):
 @query("selectivity_deciles", f"SELECT label, decile, count(*) AS n, CAST(max(price) AS BIGINT) AS most FROM (SELECT label, price, CAST(ntile(10) OVER (PARTITION BY label ORDER BY price, vec_id) AS INTEGER) AS decile FROM {PRICES}) GROUP BY label, decile")
 def _(c):
     w = Window.partitionBy("label").orderBy("price", "vec_id")
-    return prices(c).withColumn("decile", F.ntile(10).over(w)).groupBy("label", "decile").agg(N, F.max("price").alias("most"))
+    return prices(c).withColumn("decile", F.ntile(10).over(w)).groupBy("label", "decile").agg(n(), F.max("price").alias("most"))
 
 
 # ---- functions
@@ -175,7 +176,7 @@ def _(c):
     rows = c.mix_orders().where(
         F.col("o_orderpriority").like("%-%") & F.col("o_orderdate").between(F.lit("1993-01-01").cast("timestamp_ntz"), F.lit("1997-12-31").cast("timestamp_ntz"))
     )
-    return rows.groupBy(F.year("o_orderdate").alias("y"), F.lower(F.substring("o_orderpriority", 1, 1)).alias("p")).agg(N)
+    return rows.groupBy(F.year("o_orderdate").alias("y"), F.lower(F.substring("o_orderpriority", 1, 1)).alias("p")).agg(n())
 
 
 @query(
@@ -185,7 +186,7 @@ def _(c):
 def _(c):
     """Counts by label held as a map and unfolded, beside the largest absolute component."""
     largest = F.array_max(F.transform("embedding", lambda x: F.abs(x.cast("double"))))
-    per = c.embeddings.groupBy("label").agg(N, F.max(largest).alias("most"))
+    per = c.embeddings.groupBy("label").agg(n(), F.max(largest).alias("most"))
     held = per.select(F.map_from_arrays(F.array("label"), F.array("n")).alias("counts"), "most")
     return held.select(F.explode("counts").alias("label", "n"), "most").select("label", "n", u6("most").alias("most_u6"))
 

@@ -28,6 +28,12 @@ class IndexSource(DataSource):
         return IndexReader(self.options)
 
 
+def register(spark) -> None:
+    """Install the source; the session must let Python sources see filters."""
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    spark.dataSource.register(IndexSource)
+
+
 class IndexReader(DataSourceReader):
     """One partition for each shard; a filter on the shard prunes partitions."""
 
