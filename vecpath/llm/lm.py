@@ -17,6 +17,7 @@ from .common import cut
 
 HEAD = 200_000  # words whose counts every task holds
 SYMBOLS = 30_000  # of these, words with an emission of their own
+LEAST = 3  # occurrences of a word with an emission of its own
 CLASSES = 512  # classes by ending of all other words
 STATES = 10
 SEED_DOCS = 2_000
@@ -118,7 +119,8 @@ def vocabulary(counts: DataFrame, n_docs: int, head: int = HEAD, symbols: int =
     total, distinct = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
     for r in by_class:
         total[r["c"]], distinct[r["c"]] = r["n"], r["v"]
-    symbols = min(symbols, len(index), (1 << 16) - CLASSES - 1)  # a symbol has two bytes
+    # a symbol has two bytes; rare words say too little of the states to be one
+    symbols = min(symbols, int((known >= LEAST).sum()), (1 << 16) - CLASSES - 1)
     everything, v = int(total.sum()), int(distinct.sum())
     for i in order[:symbols]:
         c = class_of(words[i])
@@ -333,7 +335,7 @@ def train(
     model = initial(vocab, seeds, states)
     names = [f"s{i}" for i in range(states)]
     schema = "symbol long, " + ", ".join(f"{n} double" for n in names)
-    prior = model.emit.mean(1)
+    prior, smooth = model.emit.mean(1), 0.5 * vocab.symbols + 50
     for _ in range(iterations):
         now = spark.sparkContext.broadcast(model)
 
@@ -352,7 +354,8 @@ def train(
                 yield pa.RecordBatch.from_arrays([pa.array(symbol), *(pa.array(values[:, i]) for i in range(states))], ["symbol", *names])
 
         summed = taught.select("_symbols").mapInArrow(work, schema).groupBy("symbol").agg(*(F.sum(n).alias(n) for n in names))
-        emit, move, start = prior[:, None] * 50 + np.zeros(states), np.eye(states) * 0.5 + 0.05, np.full(states, 0.1)
+        # emissions are smoothed towards the prior by as much as there are symbols seen
+        emit, move, start = prior[:, None] * smooth + np.zeros(states), np.eye(states) * 0.5 + 0.05, np.full(states, 0.1)
         got = summed.toArrow()  # one row for each symbol: bounded by the vocabulary
         at = np.asarray(got.column(0), np.int64)
         values = np.stack([np.asarray(got.column(1 + i), float) for i in range(states)], 1)
