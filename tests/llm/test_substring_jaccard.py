@@ -137,6 +137,23 @@ def test_jaccard_join_matches_brute_force(spark, seed, monkeypatch):
     assert sorted(tuple(r) for r in jaccard_join(df).collect()) == jaccard_expected(rows)
 
 
+def test_large_groups_settled_in_rounds(spark, monkeypatch):
+    """Small limits, so that groups are large, give few pairs a round and are looked at again."""
+    monkeypatch.setattr(jaccard, "SMALL_GROUP", 3)
+    monkeypatch.setattr(jaccard, "NEAREST", 1)
+    monkeypatch.setattr(jaccard, "TILE", 8)
+    rng = random.Random(4)
+    base = word_list(rng, 60, 5000)
+    rows = []
+    for i in range(40):
+        w = list(base)
+        for at in rng.sample(range(60), rng.randint(0, 4)):
+            w[at] = f"y{rng.randint(0, 9999)}"
+        rows.append((i, " ".join(w)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(tuple(r) for r in jaccard_join(df).collect()) == jaccard_expected(rows)
+
+
 def test_jaccard_join_of_odd_rows(spark):
     same = "a b c d e f g h"
     rows = [(5, same), (5, same), (3, same.upper()), (None, same), (None, "alone it is"), (9, "x"), (8, "x")]
@@ -156,7 +173,7 @@ def test_tiles_of_large_groups_lose_no_link():
         s[at] = rng.integers(1, 1 << 60, len(at))
         sets.append(np.unique(s))
     rows = {"x": list(range(40)), "c": list(range(40)), "x_n": [len(s) for s in sets], "x_pre": [jaccard._prefixes(s, 80, orders) for s in sets]}
-    got = set(jaccard._tile_pairs(rows, list(range(40)), list(range(40)), 80))
+    got = set(jaccard._tile_pairs(rows, list(range(40)), list(range(40)), 80)[0])
     for i in range(40):
         for j in range(i + 1, 40):
             both = len(np.intersect1d(sets[i], sets[j]))
