@@ -81,6 +81,22 @@ def test_path_ratios_find_the_content_without_marks():
     assert got.startswith("Head Sentence number 0") and "Section" not in got and "Imprint" not in got
 
 
+@pytest.mark.parametrize("outer", ["body", "main"])
+def test_article_elements_do_not_discard_text_outside_them(outer):
+    parts = [f"Sentence number {i}, which goes on for a while, and then it ends." for i in range(8)]
+    body = "".join(f"<p>{x}</p>" for x in parts)
+    cards = "".join(f"<article><a href='{i}'>Card {i}</a></article>" for i in range(4))
+    for page in (f"<{outer}><div>{body}</div>{cards}</{outer}>", f"<{outer}><article>Note.</article><div>{body}</div></{outer}>"):
+        got = html.main_text(page)
+        assert " ".join(parts) in got and "Card" not in got
+
+
+def test_short_paths_of_an_article_stay():
+    body = "".join(f"<p>Sentence number {i}, which goes on for a while, and then it ends.</p>" for i in range(8))
+    page = f"<article>{body}<div><i>By X</i></div></article><div><span>Imprint</span></div>"
+    assert html.main_text(page).endswith("By X") and html.main_text(page.replace("article", "section")).endswith("ends.")
+
+
 def test_odd_pages():
     for page in ["", None, "<", "<<>>", "<p", "<!-- x", "<div " * 500, "</p></div>", "&bogus; &#0; &#x110000;", "<script>x", "\0<p>\0"]:
         assert isinstance(html.main_text(page), str)

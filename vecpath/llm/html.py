@@ -56,7 +56,7 @@ class Block:
     path: tuple[str, ...]
     tag: str
     boiler: bool
-    article: bool
+    region: int  # number of the innermost article or main element around it, or 0
     parts: list[str] = field(default_factory=list)
     linked: int = 0
     text: str = ""
@@ -79,10 +79,10 @@ def _flags(name: str, raw: str) -> tuple[str, bool]:
 
 def blocks(page: str) -> list[Block]:
     """Text blocks of a page in order.  Any text is taken; nothing is an error."""
-    stack: list[tuple[str, str, bool, bool]] = []  # name, path step, not the article, in an article
+    stack: list[tuple[str, str, bool, bool, int]] = []  # name, path step, not the article, in an article, region
     out: list[Block] = []
     current: Block | None = None
-    links = 0
+    links = regions = 0
     pos, size = 0, len(page)
 
     def add(text: str) -> None:
@@ -94,7 +94,7 @@ def blocks(page: str) -> list[Block]:
                 return
             outer = [s for s in stack if s[0] not in INLINE]
             boiler = any(s[2] for s in stack)
-            current = Block(tuple(s[1] for s in outer), outer[-1][0] if outer else "", boiler, bool(stack) and stack[-1][3])
+            current = Block(tuple(s[1] for s in outer), outer[-1][0] if outer else "", boiler, stack[-1][4] if stack else 0)
             out.append(current)
         if any(s[2] for s in stack[-3:] if s[0] in INLINE) and not current.boiler:
             return  # a marked inline element inside a block
@@ -179,7 +179,11 @@ def blocks(page: str) -> list[Block]:
             current = None
         elif name == "a":
             links += 1
-        stack.append((name, step, marked or name in BOILERPLATE, inside or (name == "article" and not marked)))
+        region = stack[-1][4] if stack else 0
+        if name in ("article", "main") and not marked:
+            regions += 1
+            region = regions
+        stack.append((name, step, marked or name in BOILERPLATE, inside or (name == "article" and not marked), region))
     for b in out:
         b.text = " ".join(entities.unescape("".join(b.parts)).split())
     return [b for b in out if b.text]
@@ -194,14 +198,15 @@ def content(found: list[Block], smoothing: float = 1.0, share: float = 0.25) ->
     page are smoothed by a Gaussian, own and smoothed ratio are fused by their
     geometric mean, and paths whose mean fused ratio reaches a share of the
     ratios' standard deviation are content.  Headings before content are
-    content.  Blocks that markup names as something else never are; where the
-    page marks its article, only blocks within it are, and all of them.
+    content.  Blocks that markup names as something else never are.
+
+    An article or main element is one more input of the score: its blocks have
+    at least the mean fused ratio of the element's text, so short paths within
+    a rich article stay.  It only lifts, and takes nothing from paths outside.
     """
     found = [b for b in found if not b.boiler]
     if not found:
         return []
-    if any(b.article for b in found):
-        return [b for b in found if b.article]
     length, marks, linked, count = (defaultdict(int) for _ in range(4))
     for b in found:
         length[b.path] += len(b.text)
@@ -222,7 +227,13 @@ def content(found: list[Block], smoothing: float = 1.0, share: float = 0.25) ->
     mean = sum(own) / len(own)
     spread = math.sqrt(sum((v - mean) ** 2 for v in own) / len(own))
     least = min(share * spread if spread else 0.0, max(fused.values()))
-    chosen = [fused[b.path] >= least and fused[b.path] > 0 for b in found]
+    held, size = defaultdict(float), defaultdict(int)
+    for b in found:
+        if b.region:
+            held[b.region] += fused[b.path] * len(b.text)
+            size[b.region] += len(b.text)
+    score = [max(fused[b.path], held[b.region] / size[b.region] if b.region else 0.0) for b in found]
+    chosen = [v >= least and v > 0 for v in score]
     for i in range(len(found) - 2, -1, -1):
         if found[i].tag in HEADINGS and chosen[i + 1]:
             chosen[i] = True
