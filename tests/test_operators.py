@@ -186,6 +186,14 @@ def test_post_filter_loses_answers_and_growing_brings_them_back(c, graph):
     assert rows_of(graph_post_grow(graph, q, 10, ok, 1000), "query_id", "rank", "vec_id") == want
 
 
+def test_growing_ends_in_an_exact_scan_when_rounds_run_out(c, graph):
+    q = collect_queries(c.queries(20))
+    want = rows_of(scan(c.embeddings, q, k=10, cond=F.expr("vec_id % 40 = 7")), "query_id", "rank", "vec_id")
+    ok = c.embeddings.where("vec_id % 40 = 7").select("vec_id")
+    assert len(want) > 0 and rows_of(graph_post_grow(graph, q, 10, ok, 16, max_rounds=2), "query_id", "rank", "vec_id") == want
+    assert graph_post_grow(graph, q, 10, ok.where("false"), 16, max_rounds=2).count() == 0
+
+
 def test_index_round_trip_and_data_source(c, graph, tmp_path):
     from vecpath.sources.index_source import register
 

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scan import QueryBlock, best, densify
+from .scan import QueryBlock, best, densify, scan
 
 PACKED = "shard long, n long, dim long, ids binary, vecs binary, levels binary, degrees binary, edges binary"
 INDEX_METRICS = ("ip", "cosine")
@@ -309,17 +309,25 @@ def graph_post_grow(
 ) -> DataFrame:
     """Post-filter with a growing search until k results survive for every query, or all were seen.
 
-    One driver round trip for each round: only counts come back.
+    One driver round trip for each round: only ids of queries come back.
+    Queries still short after ``max_rounds``, or when the whole index was
+    walked, are answered by an exact scan of the index's qualifying rows.
     """
     total = index.packed.agg(F.sum("n")).first()[0] or 0
-    possible = min(k, qualifying.select(row_id).distinct().count())
+    passed = qualifying.select(F.col(row_id).cast("long").alias("id")).distinct()
+    rows = index.nodes().join(passed, "id", "left_semi").select(F.col("id").alias(row_id), "vec")
+    possible = min(k, rows.count())
     wide = k
-    for _ in range(max_rounds):
+    for left in reversed(range(max(1, max_rounds))):
         found = graph_search(index, queries, wide, max(ef, wide), qualifying, "post", row_id)
         kept = best(found.drop("rank"), k, index.metric, row_id)
-        short = kept.groupBy("query_id").count().where(F.col("count") < possible).count()
-        answered = kept.select("query_id").distinct().count()
-        if wide >= total or (not short and answered == len(queries)):
+        full = kept.groupBy("query_id").count().where(F.col("count") >= possible)
+        short = ~np.isin(queries.ids, [r[0] for r in full.collect()]) & (possible > 0)  # at most one id for each query
+        if not short.any():
             return kept
+        if wide >= total or not left:
+            break
         wide = min(total, wide * growth)
-    return kept
+    rest = QueryBlock(queries.ids[short], queries.matrix[short])
+    answered = kept.join(full.select("query_id"), "query_id", "left_semi")
+    return answered.unionByName(scan(rows, rest, row_id, "vec", index.metric, k=k).select(*answered.columns))
