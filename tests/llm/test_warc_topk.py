@@ -1,3 +1,4 @@
+import gzip
 import hashlib
 import io
 import random
@@ -58,6 +59,26 @@ def test_uncompressed_archive_and_bad_lengths():
     assert found == ids(0, 2, 3) and len(gaps) == 1
 
 
+def test_salvage_within_members_of_several_records():
+    plain = [gzip.decompress(warc.page_record(i, f"u{i}", random.Random(i).randbytes(3000), "d", None, False)) for i in range(5)]
+    bad = [plain[0], plain[1].replace(b"Content-Length: ", b"Content-Length: 9"), plain[2], plain[3][:-9] + b"?????" + plain[3][-4:], plain[4]]
+    found, gaps = read(gzip.compress(b"".join(bad)))
+    assert found == ids(0, 2, 4) and len(gaps) == 2
+    whole = gzip.compress(b"".join(plain))
+    found, gaps = read(whole[: len(whole) * 7 // 10])
+    assert found == ids(0, 1, 2) and len(gaps) == 1 and "truncated" in gaps[0][2]
+    hurt = bytearray(whole)
+    hurt[len(whole) * 7 // 10] ^= 255
+    found, gaps = read(bytes(hurt))
+    assert found == ids(0, 1, 2, 4) and len(gaps) == 1
+
+
+def test_long_headers_of_records_that_are_not_compressed():
+    plain = [gzip.decompress(warc.page_record(i, "data:" + "x" * 200_000, b"<p>", "d", None, False)) for i in range(2)]
+    assert read(b"".join(plain)) == (ids(0, 1), [])
+    assert read(plain[0] + b"WARC/1.1\r\nA: " + b"x" * 200_000)[0] == ids(0)
+
+
 def test_pages_round_trip(spark):
     big = "<p>" + "long text " * 300000 + "</p>"
     rows = [(i, f"http://x/{i}\r\nEvil: 1", f"<p>{i % 7}</p>" * 30) for i in range(40)]

@@ -28,6 +28,7 @@ VERSION_LINE = re.compile(rb"WARC/1\.[01]\r?\n")
 
 ARCHIVE_BYTES = 16 << 20
 STEP = 1 << 20
+HEAD_STEP = 1 << 16
 MIN_REVISIT = 100
 
 
@@ -85,32 +86,56 @@ class Record:
 class Salvage:
     """Reads an archive from start to end and goes on after what is broken.
 
-    A member whose check sum, version line, length or block digest fails is
-    given up; the reader looks for the next place at which a member starts
-    whose first bytes are a version line (in archives that are not
-    compressed: the next version line) and goes on there.  ``gaps`` lists
-    (start, end, reason) of the bytes passed over.  At most one member and one
-    step are held in memory.
+    A record whose version line, headers, length or block digest fails is
+    given up and the reader goes on at the next record, or version line, of the
+    same member.  Of a member that is cut off or whose check sum fails, what can
+    be inflated is read too, but only records with a block digest that holds
+    count, and none if it is the member's only one; then the reader looks for the next place at which a member starts
+    whose first bytes are a version line (in archives that are not compressed:
+    the next version line) and goes on there.  ``gaps`` lists (start, end,
+    reason) of the bytes passed over; within a member, as in ``Record.start``,
+    a place is the member's start plus that in its content.  At most one member
+    (or the headers of one record) and one step are held in memory.
     """
 
     file: object
     size: int
     gaps: list[tuple[int, int, str]] = field(default_factory=list)
+    endless: int | None = None  # from here on no headers end
 
     def _at(self, start: int, length: int) -> bytes:
         self.file.seek(start)
         return self.file.read(max(0, min(length, self.size - start)))
 
-    def _member(self, start: int) -> tuple[bytes, int]:
-        """(content, end) of the gzip member at ``start``; the check sum holds."""
+    def _member(self, start: int) -> tuple[bytes, int, str]:
+        """(content, end, what is wrong or '') of the gzip member at ``start``."""
         tool, out, at = zlib.decompressobj(31), [], start
         while not tool.eof:
             part = self._at(at, STEP)
             if not part:
-                raise ValueError("truncated member")
-            out.append(tool.decompress(part))
+                return b"".join(out), at, "truncated member"
+            before = tool.copy()
+            try:
+                out.append(tool.decompress(part))
+            except zlib.error as e:
+                return b"".join(out) + self._before_error(before, part), at, str(e)
             at += len(part) - len(tool.unused_data)
-        return b"".join(out), at
+        return b"".join(out), at, ""
+
+    @staticmethod
+    def _before_error(tool, part: bytes) -> bytes:
+        """What a step that ends in an error inflates to before it."""
+        out, at = [], 0
+        for size in (4096, 64, 1):
+            while at < len(part):
+                before = tool.copy()
+                try:
+                    out.append(tool.decompress(part[at : at + size]))
+                except zlib.error:
+                    tool = before
+                    break
+                at += size
+        return b"".join(out)
 
     def _starts(self, start: int) -> bool:
         """Whether a record seems to start here."""
@@ -151,17 +176,28 @@ class Salvage:
             raise ValueError("no content length")
         return fields.get("warc-type", ""), fields, end + len(END), int(fields["content-length"])
 
-    def _records(self, body: bytes, start: int) -> list[Record]:
-        found, at = [], 0
+    def _records(self, body: bytes, start: int, sound: bool) -> tuple[list[Record], list[tuple[int, int, str]]]:
+        """(records, gaps) of a member's content; unless it is ``sound``, only records with a digest count."""
+        found, gaps, at = [], [], 0
         while at < len(body):
-            kind, fields, first, length = self._head(body, at)
-            block = body[first : first + length]
-            if len(block) < length or body[first + length : first + length + 4] != END:
-                raise ValueError("block is not of the stated length")
-            self._checked(fields, block)
-            found.append(Record(kind, fields, block, start + at))
-            at = first + length + len(END)
-        return found
+            past = None
+            try:
+                kind, fields, first, length = self._head(body, at)
+                block = body[first : first + length]
+                if len(block) < length or body[first + length : first + length + 4] != END:
+                    raise ValueError("block is not of the stated length")
+                past = first + length + len(END)
+                self._checked(fields, block)
+                if not sound and not fields.get("warc-block-digest", "").startswith("sha256:"):
+                    raise ValueError("no block digest in a broken member")
+                found.append(Record(kind, fields, block, start + at))
+            except ValueError as e:
+                if past is None:
+                    m = VERSION_LINE.search(body, at + 1)
+                    past = m.start() if m else len(body)
+                gaps.append((start + at, start + past, str(e)[:200]))
+            at = past
+        return ([] if not sound and len(found) == 1 and not gaps else found), gaps
 
     @staticmethod
     def _checked(fields: dict[str, str], block: bytes) -> None:
@@ -169,10 +205,22 @@ class Salvage:
         if name == "sha256" and hashlib.sha256(block).hexdigest() != stated:
             raise ValueError("block digest differs")
 
+    def _headers_end(self, start: int) -> int:
+        """End of the headers of the record that is not compressed at ``start``."""
+        if not VERSION_LINE.match(self._at(start, 16)):
+            raise ValueError("no version line")
+        at = start
+        while at < self.size and (self.endless is None or at < self.endless):
+            k = self._at(at, HEAD_STEP + len(END) - 1).find(END)
+            if k >= 0:
+                return at + k + len(END)
+            at += HEAD_STEP
+        self.endless = min(start, self.size if self.endless is None else self.endless)
+        raise ValueError("headers do not end")
+
     def _plain(self, start: int) -> tuple[Record, int]:
         """The record at ``start`` of an archive that is not compressed."""
-        most = 1 << 16
-        head = self._at(start, most)
+        head = self._at(start, self._headers_end(start) - start)
         kind, fields, first, length = self._head(head, 0)
         body = self._at(start + first, length + len(END))
         if body[length:] != END:
@@ -185,12 +233,16 @@ class Salvage:
         while at < self.size:
             try:
                 if self._at(at, 3) == GZIP_START:
-                    body, end = self._member(at)
-                    found = self._records(body, at)
+                    body, end, wrong = self._member(at)
+                    found, gaps = self._records(body, at, not wrong)
+                    if wrong or not found and gaps:  # the member's own bytes
+                        end = self._next(at + 1) if wrong else end
+                        gaps = [(at, end, wrong or gaps[0][2])]
+                    self.gaps += gaps
                 else:
                     one, end = self._plain(at)
                     found = [one]
-            except (ValueError, zlib.error) as e:
+            except ValueError as e:
                 end = self._next(at + 1)
                 self.gaps.append((at, end, str(e)[:200]))
                 found = []
