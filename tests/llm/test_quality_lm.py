@@ -101,6 +101,21 @@ def test_scores_against_brute_force(spark):
         assert math.isfinite(r.score) and r.score < 0
 
 
+def test_words_whose_emissions_are_joined_score_like_those_tasks_hold(spark):
+    rng = random.Random(8)
+    rows = [(i, " ".join(f"w{int(3400 * rng.random() ** 1.2)}" for _ in range(rng.randint(0, 300)))) for i in range(300)]
+    df = spark.createDataFrame(rows + [(300, None), (301, "new w1 w1 newer")], "doc_id long, text string")
+    got = [
+        {r.doc_id: r for r in lm.score(df, F.col("doc_id") % 7 != 2, states=3, head=h, symbols=n).collect()}
+        for h, n in ((200_000, 100_000), (3_300, 3_010), (200_000, 3_010))
+    ]
+    for other in got[1:]:
+        assert other.keys() == got[0].keys() == set(range(302))
+        for i, r in got[0].items():
+            assert abs(r.score - other[i].score) < 1e-5 * abs(r.score) and abs(r.base_score - other[i].base_score) < 1e-6 * abs(r.base_score)
+            assert (r.n_tokens, r.n_known) == (other[i].n_tokens, other[i].n_known)
+
+
 def test_no_training_rows(spark):
     df = spark.createDataFrame([(1, "a b")], "doc_id long, text string")
     r = lm.score(df, F.lit(False)).first()
