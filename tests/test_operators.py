@@ -194,6 +194,30 @@ def test_growing_ends_in_an_exact_scan_when_rounds_run_out(c, graph):
     assert graph_post_grow(graph, q, 10, ok.where("false"), 16, max_rounds=2).count() == 0
 
 
+def test_every_request_of_the_stream_is_answered(c, spark, sf, vectors):
+    from collections import Counter
+
+    from vecpath.queries import QUERIES
+    from vecpath.streaming.requests import answer_batches, request_stream
+
+    ids, x = vectors
+    x = x / np.linalg.norm(x, axis=1, keepdims=True)
+    matches = dict(zip(ids.tolist(), (x @ x.T > 0.3).sum(1).tolist()))
+    events = spark.read.parquet(f"{sf}/events.parquet").collect()
+    want = {e.event_id: matches[e.event_id % len(ids)] for e in events}
+    assert {r.query_id: r.n_matches for r in QUERIES["stream_answers_all"](spark, sf).collect()} == want
+    hours, total = Counter(), Counter()
+    for e in events:
+        at = e.ts.replace(minute=0, second=0, microsecond=0, tzinfo=None)
+        hours[at] += 1
+        total[at] += want[e.event_id]
+    got = QUERIES["stream_hourly_matches"](spark, sf).collect()
+    assert {r.window_start: (r.n_requests, r.n_matches) for r in got} == {t: (hours[t], total[t]) for t in hours}
+    of = lambda b: b.join(c.embeddings, b.event_id == F.col("vec_id")).select(F.col("event_id").alias("query_id"), F.col("embedding").alias("qvec"))
+    few = lambda most: answer_batches(spark, request_stream(spark, sf), c.embeddings, of, max_bytes=most, bound=0.3)
+    assert rows_of(few(1_000), "query_id", "vec_id") == rows_of(few(64 << 20), "query_id", "vec_id")
+
+
 def test_index_round_trip_and_data_source(c, graph, tmp_path):
     from vecpath.sources.index_source import register
 

@@ -51,7 +51,11 @@ PENDING = """SELECT event_id AS query_id, embedding AS qvec FROM events JOIN emb
 
 @query("stream_answers", f"SELECT query_id, count(*) AS n_matches FROM ({sql_bound(PENDING, 'embeddings', 0.3)}) GROUP BY query_id")
 def _(c):
-    """Pending requests answered batch by batch; the rows do not depend on the batches."""
+    """The first requests answered batch by batch; ``stream_answers_all`` answers every one."""
+    return _answers(c, request_stream(c.spark, c.sf_dir).where("event_id < 200")).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
+
+
+def _answers(c, requests):
     vectors = c.embeddings
     n = vectors.count()
 
@@ -59,5 +63,22 @@ def _(c):
         asked = batch.select("event_id", F.pmod("event_id", F.lit(n)).alias("vec_id"))
         return asked.join(vectors, "vec_id").select(F.col("event_id").alias("query_id"), F.col("embedding").alias("qvec"))
 
-    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir).where("event_id < 200"), vectors, queries_of, bound=0.3)
-    return found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
+    return answer_batches(c.spark, requests, vectors, queries_of, bound=0.3)
+
+
+@query("stream_answers_all")
+def _(c):
+    """All pending requests answered batch by batch; the rows do not depend on the batches."""
+    return _answers(c, request_stream(c.spark, c.sf_dir)).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
+
+
+@query("stream_hourly_matches")
+def _(c):
+    """Requests of each hour and how many matches they have."""
+    per = _answers(c, request_stream(c.spark, c.sf_dir)).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    asked = c.spark.read.parquet(f"{c.sf_dir}/events.parquet").select("event_id", "ts")
+    return (
+        asked.join(per, asked.event_id == per.query_id, "left")
+        .groupBy(F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("window_start"))
+        .agg(F.count(F.lit(1)).alias("n_requests"), F.coalesce(F.sum("n"), F.lit(0)).alias("n_matches"))
+    )

@@ -1,4 +1,4 @@
-"""Pending requests as a stream: tumbling, sliding and session batches, repeated requests, answers from a cache."""
+"""Pending requests as a stream: tumbling, sliding and session batches, repeated requests, answers per micro-batch."""
 
 from __future__ import annotations
 
@@ -9,7 +9,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.scan import QueryBlock, collect_queries, scan
+from ..operators.joins import vector_range_join, vector_topk_join
+from ..operators.scan import QUERY_BYTES, QueryBlock, collect_queries, scan
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -60,20 +61,31 @@ def run_once(spark: SparkSession, stream: DataFrame, mode: str = "append") -> Da
 
 def answer_batches(
     spark: SparkSession, requests: DataFrame, vectors: DataFrame, queries_of: Callable[[DataFrame], DataFrame],
-    strategy_of: Callable[[int], str] = lambda n: "tensor" if n >= 10 else "block_rows", **how,
+    strategy_of: Callable[[int], str] = lambda n: "tensor" if n >= 10 else "block_rows",
+    max_bytes: int = QUERY_BYTES, **how,
 ) -> DataFrame:
     """Answer each micro-batch as one query block; larger batches use the matrix product.
 
-    Results do not depend on how requests fall into micro-batches: every
+    A micro-batch of more than ``max_bytes`` is not gathered but joined with the
+    vectors in blocks (``how`` has bound or k, and metric).  Results do not depend on how requests fall into micro-batches: every
     request is answered against all vectors.
     """
     place = f"{shared_folder(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
     out = f"{place}/out"
 
     def answer(batch: DataFrame, number: int) -> None:
-        block: QueryBlock = collect_queries(queries_of(batch))
-        if len(block):
-            scan(vectors, block, strategy=strategy_of(len(block)), **how).write.mode("overwrite").parquet(f"{out}/batch={number}")
+        asked = queries_of(batch).where("qvec is not null").cache()
+        n, dim = asked.agg(F.count(F.lit(1)), F.max(F.size("qvec"))).first()
+        if n and n * dim * 8 > max_bytes:
+            asked_of = asked.select("query_id", F.col("qvec").alias("embedding"))
+            meet, bounds = (vector_topk_join, how["k"]) if how.get("k") else (vector_range_join, how["bound"])
+            found = meet(asked_of, vectors, bounds, how.get("metric", "cosine"), "query_id").withColumnsRenamed({"l_id": "query_id", "r_id": "vec_id"})
+        elif n:
+            block: QueryBlock = collect_queries(asked, max_bytes=max_bytes)
+            found = scan(vectors, block, strategy=strategy_of(n), **how)
+        if n:
+            found.write.mode("overwrite").parquet(f"{out}/batch={number}")
+        asked.unpersist()
 
     running = requests.writeStream.foreachBatch(answer).option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).start()
     running.awaitTermination()
