@@ -140,7 +140,6 @@ def test_jaccard_join_matches_brute_force(spark, seed, monkeypatch):
 def test_large_groups_settled_in_rounds(spark, monkeypatch):
     """Small limits, so that groups are large, give few pairs a round and are looked at again."""
     monkeypatch.setattr(jaccard, "SMALL_GROUP", 3)
-    monkeypatch.setattr(jaccard, "NEAREST", 1)
     monkeypatch.setattr(jaccard, "TILE", 8)
     rng = random.Random(4)
     base = word_list(rng, 60, 5000)
@@ -164,7 +163,6 @@ def test_jaccard_join_of_odd_rows(spark):
 
 def test_tiles_of_large_groups_lose_no_link():
     rng = np.random.default_rng(3)
-    orders = [jaccard.Order(k, np.zeros(0, np.uint64), np.zeros(0, np.int64)) for k in range(jaccard.ORDERS)]
     base = rng.integers(1, 1 << 60, 100).astype(np.uint64)
     sets = []
     for _ in range(40):
@@ -172,13 +170,21 @@ def test_tiles_of_large_groups_lose_no_link():
         at = rng.choice(100, rng.integers(0, 25), replace=False)
         s[at] = rng.integers(1, 1 << 60, len(at))
         sets.append(np.unique(s))
-    rows = {"x": list(range(40)), "c": list(range(40)), "x_n": [len(s) for s in sets], "x_pre": [jaccard._prefixes(s, 80, orders) for s in sets]}
-    got = set(jaccard._tile_pairs(rows, list(range(40)), list(range(40)), 80)[0])
-    for i in range(40):
-        for j in range(i + 1, 40):
-            both = len(np.intersect1d(sets[i], sets[j]))
-            if 100 * both >= 80 * (len(sets[i]) + len(sets[j]) - both):
-                assert (i, j) in got
+    middle = np.unique(base)
+    others = [np.setxor1d(s, middle) for s in sets]
+    n = np.array([len(s) for s in sets])
+    both = np.arange(80) % 40  # the first rows against the same ones
+    x, y = jaccard._tile_links(both, n[both], [others[i] for i in both], 40, 80)
+    got = jaccard.roots(both[x], both[y], 40)
+    links = [
+        (i, j)
+        for i in range(40)
+        for j in range(i + 1, 40)
+        if 100 * (c := len(np.intersect1d(sets[i], sets[j]))) >= 80 * (len(sets[i]) + len(sets[j]) - c)
+    ]
+    want = jaccard.roots(np.array([a for a, _ in links]), np.array([b for _, b in links]), 40)
+    assert 1 < len(set(want.tolist())) < 40
+    assert got.tolist() == want.tolist()
 
 
 def test_components(spark):
@@ -196,5 +202,6 @@ def test_components(spark):
         x, y = find(a), find(b)
         parent[max(x, y)] = min(x, y)
     want = {x: find(x) for a, b in links for x in (a, b) if a != b}
-    got = {r.node: r.component for r in components(spark.createDataFrame(links, "a long, b long")).collect()}
-    assert got == want
+    for per_task in (1_000_000, 100):
+        got = {r.node: r.component for r in components(spark.createDataFrame(links, "a long, b long"), per_task=per_task).collect()}
+        assert got == want
