@@ -134,7 +134,10 @@ def near_corpus(seed):
 def test_jaccard_join_matches_brute_force(spark, seed, monkeypatch):
     rows = near_corpus(seed)
     df = spark.createDataFrame([(a, b, "clash") for a, b in rows], SCHEMA).repartition(3)
-    assert sorted(tuple(r) for r in jaccard_join(df).collect()) == jaccard_expected(rows)
+    want = jaccard_expected(rows)
+    assert sorted(tuple(r) for r in jaccard_join(df).collect()) == want
+    monkeypatch.setattr(jaccard, "PART_SETS", 2 + seed * 10)  # larger parts are joined, not settled in a task
+    assert sorted(tuple(r) for r in jaccard_join(df).collect()) == want
 
 
 def test_large_groups_settled_in_rounds(spark, monkeypatch):
@@ -150,7 +153,9 @@ def test_large_groups_settled_in_rounds(spark, monkeypatch):
             w[at] = f"y{rng.randint(0, 9999)}"
         rows.append((i, " ".join(w)))
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    assert sorted(tuple(r) for r in jaccard_join(df).collect()) == jaccard_expected(rows)
+    for most in (1_000, 5):
+        monkeypatch.setattr(jaccard, "PART_SETS", most)
+        assert sorted(tuple(r) for r in jaccard_join(df).collect()) == jaccard_expected(rows)
 
 
 def test_jaccard_join_of_odd_rows(spark):
