@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from .scan import QueryBlock, best, densify, scan
 
-PACKED = "shard long, n long, dim long, ids binary, vecs binary, levels binary, degrees binary, edges binary"
+PACKED = "shard long, n long, rejected long, dim long, ids binary, vecs binary, levels binary, degrees binary, edges binary"
 INDEX_METRICS = ("ip", "cosine")
 
 
@@ -143,7 +143,7 @@ class Shard:
         flat = [x for node in self.links for x in node]
         degrees = np.array([len(x) for x in flat], np.int32)
         edges = np.concatenate([np.zeros(0, np.int32), *[np.asarray(x, np.int32) for x in flat]])
-        return (shard, len(self.ids), self.vecs.shape[1] if len(self.ids) else 0, self.ids.tobytes(), self.vecs.tobytes(), self.levels.tobytes(), degrees.tobytes(), edges.astype(np.int32).tobytes())
+        return (shard, len(self.ids), 0, self.vecs.shape[1] if len(self.ids) else 0, self.ids.tobytes(), self.vecs.tobytes(), self.levels.tobytes(), degrees.tobytes(), edges.astype(np.int32).tobytes())
 
     @classmethod
     def unpack(cls, n: int, dim: int, ids: bytes, vecs: bytes, levels: bytes, degrees: bytes, edges: bytes) -> Shard:
@@ -180,6 +180,10 @@ class GraphIndex:
         names = [c.split()[0] for c in PACKED.split(", ")]
         return cls(rows.withColumn("shard", F.col("shard").cast("long")).select(names), *meta)
 
+    def rejected(self) -> int:
+        """Rows that the index has no node for."""
+        return self.packed.agg(F.sum("rejected")).first()[0] or 0
+
     def nodes(self) -> DataFrame:
         """(shard, node, id, level, vec): the index's points."""
 
@@ -215,31 +219,47 @@ def shard_of(row_id: str, shards: int) -> Column:
     return F.pmod(F.xxhash64(F.col(row_id).cast("long")), F.lit(shards))
 
 
+SHARD_ROWS = 100_000
+
+
 def graph_build(
     df: DataFrame, row_id: str = "vec_id", vector: str = "embedding", metric: str = "ip", m: int = 16, ef_build: int = 64,
-    shards: int = 4, seed: int = 42,
+    shards: int | None = 4, seed: int = 42, dim: int | None = None, path: str | None = None,
 ) -> GraphIndex:
     """Build one graph per shard: one shuffle by shard, then local work.
 
-    Choose ``shards`` so that a shard fits a worker; no shard sees another.
-    Vectors that are null or not whole are left out.
+    ``shards`` None gives a shard for every ``SHARD_ROWS`` rows; no shard sees
+    another.  ``dim`` is the length of the indexed vectors; without it, the
+    one that most rows have (the least of several).  Vectors that are null or
+    not whole, of another length or, under cosine, zero are left out and
+    counted in ``rejected``.  With ``path`` the index is written there and
+    read back, so that searches do not build it again.
     """
     if metric not in INDEX_METRICS:
         raise ValueError(f"the graph is built for one of {INDEX_METRICS}, not {metric!r}")
+    if dim is None:
+        most = df.where(F.col(vector).isNotNull()).groupBy(F.size(vector).alias("d")).count().orderBy(F.desc("count"), "d").first()
+        dim = most["d"] if most else 0
+    if shards is None:
+        shards = max(1, -(-df.count() // SHARD_ROWS))
     rows = df.select(shard_of(row_id, shards).alias("shard"), F.col(row_id).cast("long").alias("id"), F.col(vector).alias("v"))
 
     def build(key, table):
         ids, vectors = np.asarray(table.column("id"), np.int64), table.column("v").combine_chunks()
-        sizes = [len(v) for v in vectors.slice(0, 50).to_pylist() if v is not None]
-        at, x = densify(vectors, max(sizes, default=0))
+        at, x = densify(vectors, dim)
         if metric == "cosine":
             norm = np.sqrt(np.einsum("ij,ij->i", x, x))
             at, x = at[norm > 0], x[norm > 0] / norm[norm > 0, None]
-        packed = Shard.build(ids[at], x, m, ef_build, seed).pack(key[0].as_py())
+        packed = list(Shard.build(ids[at], x, m, ef_build, seed).pack(key[0].as_py()))
+        packed[2] = table.num_rows - len(at)
         names = [c.split()[0] for c in PACKED.split(", ")]
         return pa.table({n: [v] for n, v in zip(names, packed)})
 
-    return GraphIndex(rows.groupBy("shard").applyInArrow(build, PACKED), metric, shards, m, ef_build)
+    index = GraphIndex(rows.where("id is not null").groupBy("shard").applyInArrow(build, PACKED), metric, shards, m, ef_build)
+    if path is None:
+        return index
+    index.save(path)
+    return GraphIndex.load(df.sparkSession, path)
 
 
 def _allowed_by_shard(index: GraphIndex, qualifying: DataFrame, row_id: str) -> DataFrame:
@@ -303,6 +323,39 @@ def graph_search(
     return ranked
 
 
+def graph_search_blocks(
+    index: GraphIndex, blocks: DataFrame, k: int, ef: int = 64, qualifying: DataFrame | None = None, row_id: str = "vec_id"
+) -> DataFrame:
+    """The pre-filtered search for queries that stay distributed: packed blocks (shard, dim, i_ids, i_x), each once for every shard."""
+    shards = index.packed
+    if qualifying is not None:
+        shards = shards.join(_allowed_by_shard(index, qualifying, row_id), "shard", "left").withColumn(
+            "allowed", F.coalesce("allowed", F.array().cast("array<long>"))
+        )
+    cosine = index.metric == "cosine"
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                row = {c: batch.column(c)[i] for c in batch.schema.names}
+                g = Shard.unpack(*(row[c].as_py() for c in ("n", "dim", "ids", "vecs", "levels", "degrees", "edges")))
+                allowed = np.isin(g.ids, np.asarray(row["allowed"].values, np.int64)) if "allowed" in row else None
+                x = np.frombuffer(row["i_x"].as_py(), float).reshape(-1, row["dim"].as_py())
+                if cosine:
+                    norm = np.sqrt(np.einsum("ij,ij->i", x, x))[:, None]
+                    x = x / np.where(norm > 0, norm, 1)
+                out = [
+                    (name, j, s)
+                    for q, name in zip(x, np.frombuffer(row["i_ids"].as_py(), np.int64).tolist())
+                    for s, j in g.search(q, k, ef, allowed)[0]
+                ]
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out)], ["query_id", row_id, "score"])
+
+    pairs = shards.join(blocks, ["shard", "dim"])
+    return best(pairs.mapInArrow(work, f"query_id long, {row_id} long, score double"), k, index.metric, row_id)
+
+
 def graph_post_grow(
     index: GraphIndex, queries: QueryBlock, k: int, qualifying: DataFrame, ef: int = 64, growth: int = 2,
     max_rounds: int = 12, row_id: str = "vec_id",

@@ -2,58 +2,78 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric, resolve
-from .graph import GraphIndex, graph_search
-from .scan import best, collect_queries, densify
+from .graph import GraphIndex, graph_search, graph_search_blocks
+from .scan import QUERY_BYTES, _pick, best, collect_queries, densify, query_bytes
 
 BLOCK_ROWS = 2_000
 
 
-def _dealt(df: DataFrame, row_id: str, vector: str, cond: Column | None, blocks: int, side: str, other: int) -> DataFrame:
-    """Rows of one side, once for each block of the other side."""
+def _packed(df: DataFrame, row_id: str, vector: str, cond: Column | None, block_rows: int, side: str) -> tuple[DataFrame, int]:
+    """(side, dim, ids, x), one row for each block of about ``block_rows`` whole vectors of one length; and how many blocks."""
     rows = df if cond is None else df.where(cond)
     rows = rows.where(F.col(row_id).isNotNull() & F.col(vector).isNotNull()).select(
-        F.col(row_id).cast("long").alias("id"),
-        F.transform(vector, lambda x: x.cast("double")).alias("v"),
-        F.pmod(F.xxhash64(F.col(row_id)), F.lit(blocks)).alias(side),
+        F.col(row_id).cast("long").alias("id"), F.transform(vector, lambda x: x.cast("double")).alias("v"), F.size(vector).cast("long").alias("dim")
     )
-    name = "j" if side == "i" else "i"
-    return rows.withColumn(name, F.explode(F.sequence(F.lit(0).cast("long"), F.lit(other - 1).cast("long"))))
+    blocks = max(1, -(-rows.count() // block_rows))
+    rows = rows.withColumn(side, F.pmod(F.xxhash64("id"), F.lit(blocks)))
+
+    def pack(key, table):
+        at, x = densify(table.column("v"), key[1].as_py())
+        ids = np.asarray(table.column("id"), np.int64)[at]
+        return pa.table(
+            {side: pa.array([key[0].as_py()], pa.int64()), "dim": pa.array([key[1].as_py()], pa.int64()),
+             f"{side}_ids": pa.array([ids.tobytes()], pa.binary()), f"{side}_x": pa.array([x.tobytes()], pa.binary())}
+        )
 
+    return rows.groupBy(side, "dim").applyInArrow(pack, f"{side} long, dim long, {side}_ids binary, {side}_x binary"), blocks
 
-def _blocks(df: DataFrame, cond: Column | None, block_rows: int) -> int:
-    return max(1, -(-(df if cond is None else df.where(cond)).count() // block_rows))
+
+def _each(name: str, least, most) -> Column:
+    """``name``: the numbers from ``least`` to ``most``, a row each."""
+    whole = lambda x: x if isinstance(x, Column) else F.lit(x).cast("long")
+    return F.explode(F.sequence(whole(least), whole(most))).alias(name)
 
 
 def _pairs(l, r, l_id, r_id, vector, metric: Metric, bound, k, l_cond, r_cond, block_rows, upper) -> DataFrame:
-    nl, nr = _blocks(l, l_cond, block_rows), _blocks(r, r_cond, block_rows)
-    left = _dealt(l, l_id, vector, l_cond, nl, "i", nr)
-    right = _dealt(r, r_id, vector, r_cond, nr, "j", nl)
-
-    def meet(a, b):
-        none = pa.table({"query_id": pa.array([], pa.int64()), "r_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-        if not a.num_rows or not b.num_rows:
-            return none
-        dim = max((len(v) for v in a.column("v").slice(0, 20).to_pylist()), default=0)
-        ia, x = densify(a.column("v"), dim)
-        ib, y = densify(b.column("v"), dim)
-        ids_a, ids_b = np.asarray(a.column("id"), np.int64)[ia], np.asarray(b.column("id"), np.int64)[ib]
-        if not len(ids_a) or not len(ids_b):
-            return none
-        from .scan import _pick
-
-        s = metric.block(y, x)
-        if upper:
-            s = np.where(ids_b[:, None] > ids_a[None, :], s, np.nan)
-        at_b, at_a = _pick(s, ids_b, metric, bound, k)
-        return pa.table({"query_id": ids_a[at_a], "r_id": ids_b[at_b], "score": s[at_b, at_a]})
-
-    return left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(meet, "query_id long, r_id long, score double")
+    """(query_id, r_id, score): each pair of blocks of one vector length is a row, dealt evenly to the tasks.
+
+    With ``upper`` both sides are the same rows: a pair of blocks meets once,
+    and a pair of rows comes with the smaller id first.
+    """
+    left, n_left = _packed(l, l_id, vector, l_cond, block_rows, "i")
+    right, n_right = _packed(r, r_id, vector, r_cond, block_rows, "j")
+    left = left.select("*", _each("j", F.col("i") if upper else 0, n_right - 1))
+    right = right.select("*", _each("i", 0, F.col("j") if upper else n_left - 1))
+    pairs = left.join(right, ["i", "j", "dim"])
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in range(batch.num_rows):
+                got = {c: batch.column(c)[row].as_py() for c in batch.schema.names}
+                ids_a, ids_b = (np.frombuffer(got[f"{c}_ids"], np.int64) for c in "ij")
+                x, y = (np.frombuffer(got[f"{c}_x"], float).reshape(-1, got["dim"]) for c in "ij")
+                if not len(ids_a) or not len(ids_b):
+                    continue
+                s = metric.block(y, x)
+                if upper and got["i"] == got["j"]:
+                    s = np.where(ids_b[:, None] > ids_a[None, :], s, np.nan)
+                elif upper:
+                    s = np.where(ids_b[:, None] != ids_a[None, :], s, np.nan)
+                at_b, at_a = _pick(s, ids_b, metric, bound, k)
+                one, two = ids_a[at_a], ids_b[at_b]
+                if upper:
+                    one, two = np.minimum(one, two), np.maximum(one, two)
+                yield pa.RecordBatch.from_arrays([pa.array(one), pa.array(two), pa.array(s[at_b, at_a])], ["query_id", "r_id", "score"])
+
+    return pairs.mapInArrow(meet, "query_id long, r_id long, score double")
 
 
 def vector_range_join(
@@ -63,8 +83,11 @@ def vector_range_join(
     """(l_id, r_id, score) of all pairs within the bound.
 
     Both sides are dealt into blocks of about ``block_rows`` rows by a hash of
-    the id; every pair of blocks is one task with one matrix product.  Neither
-    side is broadcast or collected.  Self pairs stay if both sides share ids.
+    the id and packed to one row each; every pair of blocks is one matrix
+    product.  Vectors meet vectors of their own length, whatever the lengths
+    of other rows.  Neither side is broadcast or collected.  Self pairs stay
+    if both sides share ids.  Null ids and vectors that are null or hold null
+    or NaN take no part.
     """
     out = _pairs(l, r, l_id, r_id, vector, resolve(metric), bound, None, l_cond, r_cond, block_rows, False)
     return out.select(F.col("query_id").alias("l_id"), "r_id", "score")
@@ -81,11 +104,19 @@ def vector_topk_join(
 
 def vector_probe_join(
     l: DataFrame, index: GraphIndex, k: int, ef: int = 64, l_id: str = "vec_id", vector: str = "embedding",
-    qualifying: DataFrame | None = None,
+    qualifying: DataFrame | None = None, block_rows: int = BLOCK_ROWS, max_bytes: int = QUERY_BYTES,
 ) -> DataFrame:
-    """The same by probing a graph, with the left side (of a checked size) as the query batch."""
-    q = collect_queries(l.select(F.col(l_id).alias("query_id"), F.col(vector).alias("qvec")))
-    found = graph_search(index, q, k, ef, qualifying)
+    """The same by probing a graph.
+
+    A left side of up to ``max_bytes`` is one query batch; beyond it, packed
+    blocks of the left side meet the shards, and nothing is gathered.
+    """
+    asked = l.select(F.col(l_id).alias("query_id"), F.col(vector).alias("qvec")).where("query_id is not null")
+    if query_bytes(asked, "qvec") <= max_bytes:
+        found = graph_search(index, collect_queries(asked, max_bytes=max_bytes), k, ef, qualifying)
+    else:
+        blocks = _packed(l, l_id, vector, None, block_rows, "i")[0].select("*", _each("shard", 0, index.shards - 1))
+        found = graph_search_blocks(index, blocks, k, ef, qualifying)
     return found.select(F.col("query_id").alias("l_id"), "rank", F.col("vec_id").alias("r_id"), "score")
 
 

@@ -8,6 +8,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -33,18 +34,24 @@ class QueryBlock:
         return len(self.ids)
 
 
+def query_bytes(queries: DataFrame, qvec: str = "qvec") -> int:
+    """Bytes of a query batch as a dense matrix with its ids."""
+    n, components = queries.where(F.col(qvec).isNotNull()).agg(F.count(F.lit(1)), F.sum(F.size(qvec))).first()
+    return 8 * (n + (components or 0))
+
+
 def collect_queries(queries: DataFrame, query_id: str = "query_id", qvec: str = "qvec", max_bytes: int = QUERY_BYTES) -> QueryBlock:
-    """Gather a query batch; beyond ``max_bytes`` use the joins of blocks by blocks instead."""
-    bounded = queries.select(query_id, qvec).where(F.col(qvec).isNotNull()).limit(1 + max_bytes // 64)
-    rows = bounded.toArrow()
+    """Gather a query batch of at most ``max_bytes``; it raises beyond that, where the joins of blocks by blocks take over."""
+    wanted = queries.select(query_id, qvec).where(F.col(qvec).isNotNull())
+    if (size := query_bytes(wanted, qvec)) > max_bytes:
+        raise ValueError(f"query batch of {size} bytes; use vector_range_join or vector_topk_join")
+    rows = wanted.toArrow()
     ids = np.asarray(rows.column(0), np.int64)
     vectors = rows.column(1).combine_chunks()
     flat = np.asarray(vectors.flatten(), float)
-    if len(ids) and len(flat) % len(ids):
+    if len(ids) and len(set(vectors.value_lengths().to_pylist())) > 1:
         raise ValueError("queries of different dimensions")
     matrix = flat.reshape(len(ids), -1) if len(ids) else np.zeros((0, 0))
-    if matrix.nbytes > max_bytes:
-        raise ValueError(f"query batch of {matrix.nbytes} bytes; use vector_range_join or vector_topk_join")
     order = np.argsort(ids, kind="stable")
     return QueryBlock(ids[order], np.ascontiguousarray(matrix[order]))
 
@@ -149,7 +156,7 @@ def scan(
                     continue
                 ids, passed = part.column("_id").take(pa.array(at)), part.column("_theta").take(pa.array(at))
                 s = block_scores(x, queries.matrix, m, strategy)
-                numbers = np.asarray(ids.to_numpy(zero_copy_only=False)) if pa.types.is_integer(ids.type) else np.arange(len(ids))
+                numbers = np.asarray(pc.rank(ids, tiebreaker="dense"), np.int64)  # by the id, of whatever kind
                 r, c = _pick(s, numbers, m, bound, block_k)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(queries.ids[c]), ids.take(pa.array(r)), pa.array(s[r, c]), passed.take(pa.array(r))],
@@ -191,9 +198,12 @@ def select_product(
 ) -> DataFrame:
     """Product of the query relation with the rows, filtered: the plain nested-loop form.
 
-    The queries' side must be small; it is what the other forms are compared with.
+    The queries' side is broadcast, behind a check of its size; it is what the
+    other forms are compared with.
     """
     m = resolve(metric)
+    if (size := query_bytes(queries)) > QUERY_BYTES:
+        raise ValueError(f"query batch of {size} bytes; use vector_range_join")
     rows = df if cond is None else df.where(cond)
     pairs = F.broadcast(queries.select("query_id", "qvec")).crossJoin(rows.select(F.col(row_id), F.col(vector).alias("_v")))
     return pairs.withColumn("score", m.column(F.col("_v"), F.col("qvec"))).where(m.within(F.col("score"), bound)).select("query_id", row_id, "score")
