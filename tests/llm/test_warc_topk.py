@@ -132,3 +132,20 @@ def test_topk_of_few_and_no_rows(spark):
     rows = [(0, [1.0, 2.0]), (1, [1.0, 1.0])]
     assert sorted(tuple(r) for r in topk.topk_inner(spark.createDataFrame(rows, schema)).collect()) == [(0, 1, 1, 256 * 256 * 3)]
     assert topk.topk_inner(spark.createDataFrame([], schema)).count() == 0
+
+
+def test_topk_of_large_components(spark):
+    schema = "vec_id long, embedding array<double>, score string, rank int"
+    rows = [(0, [1.0, 2.0]), (1, [600000.0, 1.0]), (2, [3.0, 1.0]), (3, [2.0**25, -1.0]), (50, [-(2.0**20), 0.5])]
+    got = sorted(tuple(r) for r in topk.topk_inner(spark.createDataFrame([(*r, "x", 1) for r in rows], schema)).collect())
+    assert got == brute(rows)
+    # beyond a long: ranked by what they are, given as the nearest long
+    rows = [(0, [1e30, 1.0]), (1, [1e30, 0.0]), (2, [-1e300, 0.0]), (3, [1e3, 0.0]), (4, [2e30, 0.0])]
+    got = [(r.vec_id, r.score) for r in topk.topk_inner(spark.createDataFrame([(*r, "x", 1) for r in rows], schema)).orderBy("rank").collect()]
+    top, low = (1 << 63) - 1, -(1 << 63)
+    assert {v: s for v, s in got} == {1: top, 3: top, 4: top, 2: low} and got[-1][0] == 2
+
+
+def test_topk_of_empty_vectors(spark):
+    rows = [(0, []), (1, []), (2, [1.0])]
+    assert [tuple(r) for r in topk.topk_inner(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()] == [(0, 1, 1, 0)]

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from decimal import Decimal
 
 import numpy as np
 import pyarrow as pa
@@ -13,21 +14,34 @@ from .common import cut
 
 ROWS_PER_BLOCK = 32_768
 QUERIES_PER_BLOCK = 128
-LIMIT = 1 << 27  # of a quantised component; sums of products stay within a long
+EXACT = float(1 << 60)  # whole numbers below this fit a long with room for an offset
+MOST = 10**38 - 1  # of a score while blocks are merged
+
+
+def whole(x: np.ndarray) -> np.ndarray:
+    """floor(256 * x) as integers: longs, or Python's where a component is too large for a long."""
+    with np.errstate(over="ignore"):
+        y = np.floor(x * 256.0)
+    if np.abs(y).max(initial=0) < EXACT:
+        return y.astype(np.int64)
+    flat = [int(a) if np.isfinite(a) else int(b) * 256 for a, b in zip(y.ravel().tolist(), x.ravel().tolist())]
+    out = np.empty(len(flat), object)
+    out[:] = flat
+    return out.reshape(x.shape)
 
 
 def slices_of(x: np.ndarray) -> tuple[np.ndarray, int]:
     """(slices, offset): bit j of every x[row, dim] + offset, as bitmaps [dim, j, word]."""
-    offset = int(max(-x.min(initial=0), x.max(initial=0) + 1, 1))
+    offset = max(-int(x.min(initial=0)), int(x.max(initial=0)) + 1, 1)
     width = max(1, (2 * offset - 1).bit_length())
     offset = 1 << (width - 1)
     rows, dims = x.shape
     words = -(-rows // 64)
     out = np.zeros((dims, width, words), np.uint64)
-    up = (x + offset).astype(np.uint64)
+    up = x + offset
     for d in range(dims):
         for j in range(width):
-            bits = np.packbits((up[:, d] >> np.uint64(j)).astype(np.uint8) & 1, bitorder="little")
+            bits = np.packbits(((up[:, d] >> j) & 1).astype(np.uint8), bitorder="little")
             out[d, j].view(np.uint8)[: len(bits)] = bits
     return out, offset
 
@@ -69,11 +83,12 @@ def scores(slices: np.ndarray, offset: int, query: np.ndarray) -> tuple[list[np.
     width = slices.shape[1]
     top = (1 << width) - 1
     size = np.abs(query)
-    constant = -offset * int(query.sum()) + top * int(query[query < 0].sum())
+    values = [int(q) for q in query]
+    constant = -offset * sum(values) + top * sum(q for q in values if q < 0)
     # inner = sum q*(u - offset); a negative q gives q*u = |q|*(top - u) - |q|*top
     columns: dict[int, list[np.ndarray]] = {}
     for b in range(int(size.max(initial=0)).bit_length()):
-        chosen = [~slices[d] if query[d] < 0 else slices[d] for d in np.flatnonzero((size >> b) & 1)]
+        chosen = [~slices[d] if query[d] < 0 else slices[d] for d in np.flatnonzero(((size >> b) & 1).astype(bool))]
         for k, counts in _compress({0: chosen}).items():
             for j in range(width):
                 columns.setdefault(b + k + j, []).append(counts[j])
@@ -105,22 +120,20 @@ def best_rows(sliced: list[np.ndarray | None], valid: np.ndarray, k: int) -> np.
     return rows
 
 
-def quantised(df: DataFrame, vec_id: str, vector: str) -> DataFrame:
-    """(vec_id, q array<long>, dim) of the rows that take part."""
+def taking_part(df: DataFrame, vec_id: str, vector: str) -> DataFrame:
+    """(vec_id, x array<double>, dim) of the rows that take part."""
     x = F.col(vector).cast("array<double>")
-    whole = F.transform(x, lambda v: F.floor(v * F.lit(256.0)).cast("long"))
-    bad = F.exists(
-        x, lambda v: v.isNull() | F.isnan(v) | (F.abs(v) >= F.lit(LIMIT / 256.0))
-    )
+    bad = F.exists(x, lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf"))))
     return (
-        df.where(F.col(vec_id).isNotNull() & F.col(vector).isNotNull() & (F.size(vector) > 0) & ~bad)
-        .select(F.col(vec_id).cast("long").alias("vec_id"), whole.alias("q"))
-        .withColumn("dim", F.size("q").cast("long"))
+        df.where(F.col(vec_id).isNotNull() & F.col(vector).isNotNull() & ~bad)
+        .select(F.col(vec_id).cast("long").alias("vec_id"), x.alias("x"))
+        .withColumn("dim", F.size("x").cast("long"))
     )
 
 
 def _matrix(column: pa.Array, dim: int) -> np.ndarray:
-    return np.asarray(column.combine_chunks().flatten() if isinstance(column, pa.ChunkedArray) else column.flatten(), np.int64).reshape(-1, dim)
+    flat = column.combine_chunks().flatten() if isinstance(column, pa.ChunkedArray) else column.flatten()
+    return np.asarray(flat, float).reshape(len(column), dim)
 
 
 def topk_inner(
@@ -132,10 +145,13 @@ def topk_inner(
     Components become floor(256 * x); the score is their integer inner
     product.  Queries are the rows whose id is divisible by ``every``,
     candidates all rows but those with the query's id; ties go to the smaller
-    id, and fewer rows than k give all.  Vectors that are null, empty or hold
-    null, NaN, infinite or (so that sums fit a long) components of 2**19 and
-    more take no part, and neither do null ids.  Vectors meet only vectors of
-    their own length.  Repeated rows are candidates each; a query id that
+    id, and fewer rows than k give all.  Vectors that are null or hold null,
+    NaN or infinite components take no part, and neither do null ids; any
+    other component counts in full, however large.  A score beyond a long is
+    given as the nearest long, and ranked by its first 38 digits at most.
+    Vectors meet only vectors of their own length; empty ones score 0.  An
+    empty table gives an empty result, and other columns are not looked at.
+    Repeated rows are candidates each; a query id that
     occurs with several different vectors is answered for each of them
     together, keeping its k best.
 
@@ -145,7 +161,7 @@ def topk_inner(
     from the most significant slice downward, and the ties at the boundary
     are settled by id.  A last window keeps the k best of all blocks.
     """
-    rows = cut(quantised(df, vec_id, vector))
+    rows = cut(taking_part(df, vec_id, vector))
     total = rows.count()
     blocks = max(1, -(-total // rows_per_block))
     groups = max(1, -(-total // (every * QUERIES_PER_BLOCK)))
@@ -153,17 +169,16 @@ def topk_inner(
     def index(key, table):
         dim = key[0].as_py()
         ids = np.asarray(table.column("vec_id"), np.int64)
-        x = _matrix(table.column("q"), dim)
         order = np.argsort(ids, kind="stable")
-        s, offset = slices_of(x[order])
+        s, offset = slices_of(whole(_matrix(table.column("x"), dim))[order])
         return pa.table(
             {"dim": [dim], "block": pa.array([key[1].as_py()], pa.int64()), "n": [len(ids)], "width": [s.shape[1]],
-             "base": pa.array([offset], pa.int64()), "ids": [ids[order].tobytes()], "slices": [s.tobytes()]}
+             "base": [str(offset)], "ids": [ids[order].tobytes()], "slices": [s.tobytes()]}
         )
 
     def packed(key, table):
         ids = np.asarray(table.column("vec_id"), np.int64)
-        x = _matrix(table.column("q"), key[0].as_py())
+        x = _matrix(table.column("x"), key[0].as_py())
         return pa.table(
             {"qdim": [key[0].as_py()], "part": pa.array([key[1].as_py()], pa.int64()), "qids": [ids.tobytes()], "qs": [x.tobytes()]}
         )
@@ -171,7 +186,7 @@ def topk_inner(
     dealt = rows.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
     built = cut(
         dealt.groupBy("dim", "block").applyInArrow(
-            index, "dim long, block long, n long, width long, base long, ids binary, slices binary"
+            index, "dim long, block long, n long, width long, base string, ids binary, slices binary"
         )
     )
     asked = (
@@ -192,9 +207,10 @@ def topk_inner(
             for i in range(batch.num_rows):
                 dim, n, width, base, ids, s, qids, qs = (c[i].as_py() for c in batch.columns)
                 ids, qids = np.frombuffer(ids, np.int64), np.frombuffer(qids, np.int64)
-                s = np.frombuffer(s, np.uint64).reshape(dim, width, -1)
-                qs = np.frombuffer(qs, np.int64).reshape(-1, dim)
-                valid = np.zeros(s.shape[2] * 8, np.uint8)
+                words = -(-n // 64)
+                s, base = np.frombuffer(s, np.uint64).reshape(dim, width, words), int(base)
+                qs = whole(np.frombuffer(qs, float).reshape(len(qids), dim))
+                valid = np.zeros(words * 8, np.uint8)
                 valid[: -(-n // 8)] = np.packbits(np.ones(n, np.uint8), bitorder="little")
                 out = ([], [], [])
                 for q, own in zip(qs, qids):
@@ -204,19 +220,22 @@ def topk_inner(
                     sliced, constant = scores(s, base, q)
                     found = best_rows(sliced, mask.view(np.uint64), k)
                     word, bit = found >> 6, (found & 63).astype(np.uint64)
-                    score = np.full(len(found), constant, np.int64)
+                    score = [constant] * len(found)
                     for p, bits in enumerate(sliced):
                         if bits is not None:
-                            score += ((bits[word] >> bit) & np.uint64(1)).astype(np.int64) << p
+                            score = [v + (x << p) for v, x in zip(score, ((bits[word] >> bit) & np.uint64(1)).tolist())]
                     out[0].append(np.full(len(found), own))
                     out[1].append(ids[found])
-                    out[2].append(score)
+                    out[2].extend(Decimal(max(-MOST, min(MOST, v))) for v in score)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate(c).astype(np.int64)) for c in out], ["query_id", "vec_id", "score"]
+                    [*(pa.array(np.concatenate(c).astype(np.int64)) for c in out[:2]), pa.array(out[2], pa.decimal128(38, 0))],
+                    ["query_id", "vec_id", "score"],
                 )
 
-    found = pairs.mapInArrow(search, "query_id long, vec_id long, score long")
+    found = pairs.mapInArrow(search, "query_id long, vec_id long, score decimal(38,0)")
     best = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    least, most = F.lit(-(1 << 63)).cast("decimal(38,0)"), F.lit((1 << 63) - 1).cast("decimal(38,0)")
+    score = F.least(F.greatest("score", least), most).cast("long").alias("score")
     return (
-        found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", score)
     )
