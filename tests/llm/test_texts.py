@@ -1,5 +1,7 @@
 import hashlib
+import math
 import random
+import statistics
 
 import pyarrow as pa
 import pytest
@@ -107,3 +109,76 @@ def test_extract_frame(spark):
     rows = [(1, "u", f"<article>{ARTICLE}</article>", "clash"), (2, None, None, None), (2, None, None, None)]
     out = html.extract(spark.createDataFrame(rows, "page_id long, url string, html string, text string")).collect()
     assert sorted((r.page_id, r.text, r.n_chars) for r in out) == [(1, TEXT, len(TEXT)), (2, "", 0), (2, "", 0)]
+
+
+STORY = "".join(f"<p>Paragraph {i} of the story, with commas, and enough words to count as text.</p>" for i in range(8))
+
+
+@pytest.mark.parametrize(
+    "page",
+    [
+        f'<article class="post with-share">{STORY}</article>',
+        f'<div class="layout has-sidebar">{STORY}</div>',
+        f'<div class="post no-comments">{STORY}</div>',
+        f'<div class="layout sidebar-left"><main>{STORY}</main><div class="sidebar"><p>Side text, with things in it.</p></div></div>',
+        f'<div class="story">{STORY}</div>' + "<article><h3>Teaser</h3><p>Short note.</p></article>" * 3,
+        f'<div class="story">{STORY}<div id="comments">{STORY.replace("Paragraph", "Remark") * 3}</div></div>',
+    ],
+)
+def test_hints_do_not_delete_the_story(page):
+    got = html.main_text(f"<html><body><nav>a b</nav>{page}</body></html>")
+    assert all(f"Paragraph {i} of the story" in got for i in range(8))
+    assert "Side text" not in got and "Remark" not in got and "Teaser" not in got
+
+
+def chosen_by_brute_force(blocks, share=0.25):
+    """The same decision written out block by block, from its description."""
+    left = [b for b in blocks if not b.boiler]
+    if not left:
+        return []
+
+    def ratio(path):
+        own = [b for b in left if b.path == path]
+        chars, marks = sum(len(b.text) for b in own), sum(sum(c in ".,;:!?…、。，！？" for c in b.text) for b in own)
+        linked = sum(min(b.linked, len(b.text)) for b in own)
+        return chars / len(own) * (1 + marks / len(own)) * (1 - linked / chars) ** 2
+
+    r = [ratio(b.path) for b in left]
+    smooth = []
+    for i in range(len(r)):
+        near = {j: math.exp(-((i - j) ** 2) / 2) for j in range(i - 2, i + 3) if 0 <= j < len(r)}
+        smooth.append(sum(r[j] * w for j, w in near.items()) / sum(near.values()))
+    both = [math.sqrt(a * b) for a, b in zip(r, smooth)]
+    fused = {p: statistics.mean(v for v, b in zip(both, left) if b.path == p) for p in {b.path for b in left}}
+    least = min(share * statistics.pstdev(r), max(fused.values()))
+    lifted = []
+    for b in left:
+        inside = [c for c in left if c.region == b.region]
+        mean = sum(fused[c.path] * len(c.text) for c in inside) / sum(len(c.text) for c in inside)
+        lifted.append(max(fused[b.path], mean) if b.region else fused[b.path])
+    keep = [v >= least and v > 0 for v in lifted]
+    for i in reversed(range(len(left) - 1)):
+        keep[i] = keep[i] or (left[i].tag in html.HEADINGS and keep[i + 1])
+    return [b for b, k in zip(left, keep) if k]
+
+
+def test_content_by_brute_force_on_random_trees():
+    rng = random.Random(12)
+    words = "rain, river town. bridge stone! market people hill; winter summer bread".split()
+
+    def tree(depth):
+        out = []
+        for _ in range(rng.randint(1, 4)):
+            tag = rng.choice(["div", "p", "ul", "li", "section", "article", "h2", "td"])
+            body = tree(depth - 1) if depth and rng.random() < 0.6 else " ".join(rng.choices(words, k=rng.choice([1, 3, 40])))
+            body = f"<a href=x>{body}</a>" if rng.random() < 0.1 else body
+            out.append(f'<{tag} class="{rng.choice("abc")}">{body}</{tag}>')
+        return "".join(out)
+
+    some = 0
+    for _ in range(300):
+        blocks = html.blocks(tree(3))
+        want = chosen_by_brute_force(blocks)
+        some += 0 < len(want) < len(blocks)
+        assert [b.text for b in html.content(blocks)] == [b.text for b in want]
+    assert some > 50

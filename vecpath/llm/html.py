@@ -39,7 +39,10 @@ HINTS = re.compile(
     r"footer|comments?|comment-?list|disqus|replies|reply|respond|share|sharing|social|related|recommended|recommendations|pagination|"
     r"pager|login|widget|toolbar|skip-?link|copyright|hidden|sr-only|visually-hidden)(?![a-z])"
 )
+# First parts of a class that tell of an element's state, not of what it is.
+STATES = set("has with no without is not show hide js wide enable enabled disable disabled".split())
 CAMEL = re.compile(r"(?<=[a-z])(?=[A-Z])")
+PARTS = re.compile(r"[-_:]+")
 TOKEN = re.compile(
     r"<(?:!--(?:>|->|.*?(?:--!?>|\Z))|(?P<decl>[!?])[^>]*(?:>|\Z)|"
     r"(?P<end>/?)(?P<name>[A-Za-z][^\s/>]*)(?P<attrs>(?>[^>\"']+|\"[^\"]*\"|'[^']*')*+)[^>]*(?:>|\Z))",
@@ -57,29 +60,38 @@ class Block:
     tag: str
     boiler: bool
     region: int  # number of the innermost article or main element around it, or 0
+    hints: tuple[int, ...] = ()  # numbers of the elements around it whose class or id is a hint
     parts: list[str] = field(default_factory=list)
     linked: int = 0
     text: str = ""
 
 
-def _flags(name: str, raw: str) -> tuple[str, bool]:
-    """(first class, whether the attributes mark what is not the article)."""
+def _flags(name: str, raw: str) -> tuple[str, bool, bool]:
+    """(first class, whether the element is hidden or has another role, whether class or id hint at it)."""
     if not raw or raw.isspace():
-        return "", False
+        return "", False, False
     got = {}
     for m in ATTR.finditer(raw):
         got.setdefault(m[1].lower(), m[2] or m[3] or m[4] or "")
-    kind = " ".join(got.get(k, "") for k in ("class", "id"))
-    marked = bool(kind.strip()) and name not in ("html", "body") and HINTS.search(CAMEL.sub("-", kind).lower()) is not None
+    names = [CAMEL.sub("-", x).lower() for k in ("class", "id") for x in got.get(k, "").split()]
+    hinted = name not in ("html", "body") and any(HINTS.search(x) and PARTS.split(x)[0] not in STATES for x in names)
     style = got.get("style", "").replace(" ", "").lower()
     hidden = "hidden" in got or got.get("aria-hidden") == "true" or "display:none" in style or "visibility:hidden" in style
     first = got.get("class", "").split()
-    return (first[0] if first else ""), marked or hidden or got.get("role", "").lower() in BOILER_ROLES
+    return (first[0] if first else ""), hidden or got.get("role", "").lower() in BOILER_ROLES, hinted
 
 
 def blocks(page: str) -> list[Block]:
-    """Text blocks of a page in order.  Any text is taken; nothing is an error."""
-    stack: list[tuple[str, str, bool, bool, int]] = []  # name, path step, not the article, in an article, region
+    """Text blocks of a page in order.  Any text is taken; nothing is an error.
+
+    What an element's kind, role or style says of it holds for all that is in
+    it.  A class or id is only a hint: where the element has all of the other
+    text, or most of it with a first heading, an article or a main element,
+    the hint says nothing.
+    """
+    # name, path step, not the article, in an article, region, hints
+    stack: list[tuple[str, str, bool, bool, int, tuple[int, ...]]] = []
+    chief: list[bool] = [False]  # by hint: whether the element has a first heading, an article or a main element
     out: list[Block] = []
     current: Block | None = None
     links = regions = 0
@@ -94,7 +106,8 @@ def blocks(page: str) -> list[Block]:
                 return
             outer = [s for s in stack if s[0] not in INLINE]
             boiler = any(s[2] for s in stack)
-            current = Block(tuple(s[1] for s in outer), outer[-1][0] if outer else "", boiler, stack[-1][4] if stack else 0)
+            region, hints = stack[-1][4:] if stack else (0, ())
+            current = Block(tuple(s[1] for s in outer), outer[-1][0] if outer else "", boiler, region, hints)
             out.append(current)
         if any(s[2] for s in stack[-3:] if s[0] in INLINE) and not current.boiler:
             return  # a marked inline element inside a block
@@ -170,8 +183,14 @@ def blocks(page: str) -> list[Block]:
             continue
         if closed and name not in INLINE and name not in ENDS_P:
             continue
-        first, marked = _flags(name, m["attrs"])
+        first, marked, hinted = _flags(name, m["attrs"])
         inside = bool(stack) and stack[-1][3]
+        hints = stack[-1][5] if stack else ()
+        if name in INLINE:
+            marked = marked or hinted
+        elif hinted:
+            hints = (*hints, len(chief))
+            chief.append(False)
         if name == "header":
             marked = marked or not inside
         step = name + ("." + first if first and name not in INLINE else "")
@@ -180,13 +199,26 @@ def blocks(page: str) -> list[Block]:
         elif name == "a":
             links += 1
         region = stack[-1][4] if stack else 0
-        if name in ("article", "main") and not marked:
-            regions += 1
-            region = regions
-        stack.append((name, step, marked or name in BOILERPLATE, inside or (name == "article" and not marked), region))
+        if name in ("article", "main", "h1") and not marked:
+            for h in hints:
+                chief[h] = True
+            if name != "h1":
+                regions += 1
+                region = regions
+        stack.append((name, step, marked or name in BOILERPLATE, inside or (name == "article" and not marked), region, hints))
     for b in out:
         b.text = " ".join(entities.unescape("".join(b.parts)).split())
-    return [b for b in out if b.text]
+    out = [b for b in out if b.text]
+    size, total = [0] * len(chief), 0
+    for b in out:
+        if not b.boiler:
+            total += len(b.text)
+            for h in b.hints:
+                size[h] += len(b.text)
+    void = {h for h in range(1, len(chief)) if size[h] == total or (chief[h] and 2 * size[h] > total)}
+    for b in out:
+        b.boiler = b.boiler or any(h not in void for h in b.hints)
+    return out
 
 
 def content(found: list[Block], smoothing: float = 1.0, share: float = 0.25) -> list[Block]:
