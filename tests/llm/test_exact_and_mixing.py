@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 
 from pyspark.sql import functions as F
@@ -106,3 +107,18 @@ def test_mix_of_odd_rows(spark):
     assert len(out) == 6
     assert {r.source: r.target for r in out}[None] == 0
     assert mix(spark.createDataFrame([], "doc_id long, text string, source string")).count() == 0
+
+
+def test_copies_cross_whole_numbers(spark):
+    """Systematic sampling: any run of the order takes its expected copies but for less than one at either end."""
+    rng = random.Random(3)
+    rows = [(i, "w " * rng.choice([0, 1, 5, 9, 40, 300]), rng.choice("aaab")) for i in range(900)]
+    out = mix(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    for s in "ab":
+        mine = [r for r in out if r.source == s]
+        rate = mine[0].target / mine[0].source_size
+        assert all(r.copies in (math.floor(rate), math.ceil(rate)) for r in mine)
+        assert abs(sum(r.copies for r in mine) - rate * len(mine)) < 1
+        for k in range(10):
+            some = [r for r in mine if int(math.log2(r.size + 1)) == k]
+            assert abs(sum(r.copies for r in some) - rate * len(some)) < 1 + 1e-9 if some else True

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -11,6 +13,55 @@ SMALL_SOURCES = 50_000
 OFFSETS = 16
 
 
+def numbered(rows: DataFrame, *order: Column) -> DataFrame:
+    """``rows`` with ``_number``, their place from 0 on in the given order; partitions are sorted side by side."""
+    rows = cut(rows.orderBy(*order).withColumns({"_part_": F.spark_partition_id(), "_at_": F.monotonically_increasing_id()}))
+    sizes = dict(rows.groupBy("_part_").count().collect())  # one row for each partition
+    before, first = 0, {}
+    for part in sorted(sizes):
+        first[part], before = before, before + sizes[part]
+    if not first:
+        return rows.drop("_part_", "_at_").withColumn("_number", F.lit(0).cast("long"))
+    starts = F.create_map(*[F.lit(x) for pair in first.items() for x in pair])
+    place = starts[F.col("_part_")] + F.col("_at_").bitwiseAND(F.lit((1 << 33) - 1))
+    return rows.withColumn("_number", place.cast("long")).drop("_part_", "_at_")
+
+
+def _level(per: DataFrame, total: float) -> float | None:
+    """The level at which sum(min(_cap, level * _w)) is the total; None if all caps together do not reach it.
+
+    Sources are capped when _cap / _w is below the level.  The range in which
+    the level lies is split again and again by sums over all sources, until
+    all sources are known to be below or above; the driver sees one row for
+    each part of the range.
+    """
+    per = per.withColumn("_q", F.col("_cap") / F.col("_w"))
+    caps, most = per.agg(F.sum("_cap"), F.max("_q")).first()
+    if caps is None or caps <= total:
+        return None
+    low, high, parts = -1.0, float(most), 256
+    below, above = 0.0, float(per.agg(F.sum("_w")).first()[0])  # caps of sources under the range, weights of the others
+    while True:
+        step = (high - low) / parts
+        at = F.least(F.floor((F.col("_q") - low) / step), F.lit(parts - 1))
+        inside = per.where((F.col("_q") > low) & (F.col("_q") <= high)) if step > 0 else per.where("false")
+        got = sorted(tuple(r) for r in inside.groupBy(at.alias("b")).agg(F.sum("_cap"), F.sum("_w"), F.min("_q"), F.max("_q")).collect())
+        level = (total - below) / above
+        for _, cap, weight, least, last in got:
+            if level <= least:  # the sources from here on are not capped
+                return level
+            after = above - weight
+            if after <= 0 or (total - below - cap) / after <= last:
+                break  # the level lies among the sources of this part
+            below, above = below + cap, after
+            level = (total - below) / above
+        else:
+            return level
+        if least == last:
+            return level
+        low, high = math.nextafter(least, -math.inf), last
+
+
 def source_targets(sizes: DataFrame, max_repeat: float = 3.0, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
     """(source, n_docs, source_size, target) from rows of (source, size).
 
@@ -18,28 +69,18 @@ def source_targets(sizes: DataFrame, max_repeat: float = 3.0, weights: tuple[flo
     targets share the sum of all sizes by weight; none is above ``max_repeat``
     times its source's size, and what is cut off goes to the others by weight
     until none is above: target = min(cap, level * weight) for the one level
-    at which the targets sum to the total.
+    at which the targets sum to the total.  No task holds all sources.
     """
     per = sizes.groupBy("source").agg(F.count(F.lit(1)).alias("n_docs"), F.sum("size").alias("source_size"))
-    ordered = Window.orderBy(F.col("source").isNull(), F.col("source").cast("binary"))
     turn = F.array(*[F.lit(float(w)) for w in weights])
-    per = per.withColumn(
-        "_w", F.element_at(turn, (F.pmod(F.row_number().over(ordered) - 1, F.lit(len(weights))) + 1).cast("int"))
-    ).withColumn("_cap", F.col("source_size") * F.lit(float(max_repeat)))
-    every = Window.partitionBy(F.lit(1))
-    filled = every.orderBy(F.col("_cap") / F.col("_w"), "_w", "_cap").rowsBetween(Window.unboundedPreceding, -1)
-    per = (
-        per.withColumn("_total", F.sum("source_size").over(every).cast("double"))
-        .withColumn("_left", F.col("_total") - F.coalesce(F.sum("_cap").over(filled), F.lit(0.0)))
-        .withColumn("_open", F.sum("_w").over(every) - F.coalesce(F.sum("_w").over(filled), F.lit(0.0)))
-        .withColumn("_level", F.col("_left") / F.col("_open"))
-        # the first source, in this order, whose cap is not reached fixes the level;
-        # later ones, which take more sources as capped than are, have lower levels
-        .withColumn(
-            "_at", F.max(F.when(F.col("_cap") >= F.col("_level") * F.col("_w"), F.col("_level"))).over(every)
-        )
+    per = numbered(per, F.col("source").isNull(), F.col("source").cast("binary"))
+    per = cut(
+        per.withColumn("_w", F.element_at(turn, (F.pmod("_number", F.lit(len(weights))) + 1).cast("int")))
+        .withColumn("_cap", F.col("source_size") * F.lit(float(max_repeat)))
     )
-    target = F.least(F.col("_cap"), F.coalesce(F.col("_at") * F.col("_w"), F.col("_cap")))
+    total = per.agg(F.sum("source_size")).first()[0] or 0
+    level = _level(per, float(total))
+    target = F.col("_cap") if level is None else F.least(F.col("_cap"), F.col("_w") * F.lit(level))
     return per.select("source", "n_docs", "source_size", target.alias("target"))
 
 
@@ -85,21 +126,17 @@ def mix(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str
             }
         ).withColumn("_part", F.pmod("_hash", ways))
 
-    cells = (
-        dealt(narrow, "doc_id", "source")
-        .groupBy("source", "_class", "_part")
-        .agg(F.count(F.lit(1)).alias("_n"))
-        .withColumn(
-            "_before",
-            F.coalesce(
-                F.sum("_n").over(
-                    Window.partitionBy("source").orderBy("_class", "_part").rowsBetween(Window.unboundedPreceding, -1)
-                ),
-                F.lit(0),
-            ),
-        )
-        .select(F.col("source").alias("_s"), F.col("_class").alias("_c"), F.col("_part").alias("_p"), "_before")
+    # rows before a cell: those of the classes before its own, and of the cells before it in its class
+    cells = cut(dealt(narrow, "doc_id", "source").groupBy("source", "_class", "_part").agg(F.count(F.lit(1)).alias("_n")))
+    earlier = lambda w: F.coalesce(F.sum("_n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    classes = cells.groupBy("source", "_class").agg(F.sum("_n").alias("_n")).select(
+        F.col("source").alias("_s"), F.col("_class").alias("_c"), earlier(Window.partitionBy("source").orderBy("_class")).alias("_first")
+    )
+    cells = cells.withColumn("_in", earlier(Window.partitionBy("source", "_class").orderBy("_part"))).join(
+        classes, F.col("source").eqNullSafe(F.col("_s")) & (F.col("_class") == F.col("_c"))
     )
+    cells = cells.select("_s", "_c", F.col("_part").alias("_p"), (F.col("_first") + F.col("_in")).alias("_before"))
+
     def ranked(df: DataFrame, sid: str, src: str) -> DataFrame:
         here = Window.partitionBy(src, "_class", "_part").orderBy("size", "_hash", sid)
         out = dealt(df, sid, src).withColumn("_rn", F.row_number().over(here))
