@@ -17,7 +17,7 @@ _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, *range(0x09, 0x0E)]] = True
 _ODD = {"byte": 0x9E3779B97F4A7C15, "word": 0xD6E8FEB86659FD93}
 _held: dict[tuple[str, bool], np.ndarray] = {}
-PIECE = 1 << 20
+PIECE = 1 << 18
 
 
 def mixed(x: np.ndarray, seed: int = 0) -> np.ndarray:
