@@ -235,7 +235,7 @@ def scan_sparse(df: DataFrame, query: dict[int, float], bound: float, row_id: st
 def phase_times(
     df: DataFrame, queries: QueryBlock, cond: Column, vector: str = "embedding", batch_rows: int = 10_000
 ) -> DataFrame:
-    """(phase, seconds, share) of filtering with copying, normalising and computing.
+    """(phase, seconds, n_rows, share) of filtering with copying, normalising and computing.
 
     Times travel as rows, not as accumulators, so a task run again is not
     counted twice.
@@ -243,12 +243,13 @@ def phase_times(
     rows = df.select(F.col(vector).alias("_v"), F.coalesce(cond, F.lit(False)).alias("_theta"))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        spent = dict.fromkeys(("filter", "normalise", "compute"), 0.0)
+        spent, n = dict.fromkeys(("filter", "normalise", "compute"), 0.0), 0
         for batch in batches:
             t0 = time.perf_counter()
             part = batch.filter(batch.column("_theta"))
             _, x = densify(part.column("_v"), queries.dim)
             x = np.ascontiguousarray(x)
+            n += len(x)
             t1 = time.perf_counter()
             norm = np.sqrt(np.einsum("ij,ij->i", x, x))[:, None]
             x = x / np.where(norm > 0, norm, 1)
@@ -258,9 +259,13 @@ def phase_times(
             t3 = time.perf_counter()
             for name, t in zip(spent, (t1 - t0, t2 - t1, t3 - t2)):
                 spent[name] += t
-        yield pa.RecordBatch.from_arrays([pa.array(list(spent)), pa.array(list(spent.values()))], ["phase", "seconds"])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(list(spent)), pa.array(list(spent.values())), pa.array([n] * len(spent))], ["phase", "seconds", "n_rows"]
+        )
 
-    timed = rows.mapInArrow(work, "phase string, seconds double").groupBy("phase").agg(F.sum("seconds").alias("seconds"))
+    timed = rows.mapInArrow(work, "phase string, seconds double, n_rows long").groupBy("phase").agg(
+        F.sum("seconds").alias("seconds"), F.sum("n_rows").alias("n_rows")
+    )
     whole = Window.partitionBy(F.lit(1))
     return timed.withColumn("share", 100 * F.col("seconds") / F.sum("seconds").over(whole))
 

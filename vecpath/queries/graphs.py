@@ -6,9 +6,10 @@ from pyspark.sql import functions as F
 
 from ..api import search_per_shard
 from ..measures.accuracy import mean_counters, recall_at_k, shortfall
-from ..operators.graph import graph_build, graph_post_grow, graph_search
+from ..operators.graph import GraphIndex, graph_build, graph_post_grow, graph_search
 from ..operators.joins import vector_probe_join
 from ..operators.scan import scan
+from ..sources.stored import stored
 from ..sources.tables import LADDER
 from .registry import MIX, query, sql_queries, sql_topk, u6
 from .scans import CHEAP, SQL_JOIN_TOPK, block
@@ -18,7 +19,10 @@ FULL = 1 << 20  # a search width above any shard's size: the walk is saturated
 
 
 def index(c, metric="cosine", m=16, ef=64, shards=4):
-    return graph_build(c.embeddings, metric=metric, m=m, ef_build=ef, shards=shards)
+    """The index over all vectors with these parameters, built once and read back for every search."""
+    name = f"graph-{metric}-{m}-{ef}-{shards}"
+    build = lambda path: graph_build(c.embeddings, metric=metric, m=m, ef_build=ef, shards=shards, path=path)
+    return GraphIndex.load(c.spark, stored(c.spark, name, c.sf_dir, build))
 
 
 @query("graph_topk_saturated", sql_topk(sql_queries(50), "embeddings", 10))
@@ -83,6 +87,56 @@ def _(c):
     return graph_post_grow(index(c), block(c, 50), 10, ok, FULL).select(*RANKED)
 
 
+def sql_answers(cond: str, k: int = 10, b: int = 50) -> str:
+    return f"(SELECT CAST({b} * least({k}, count(*)) AS BIGINT) FROM {MIX} WHERE {cond})"
+
+
+@query(
+    "graph_recall_ladder",
+    " UNION ALL ".join(
+        f"SELECT {bound} AS bound, '{mode}' AS mode, {sql_answers(f'o_totalprice < {bound}')} AS n_exact, TRUE AS recall_ok"
+        for bound in LADDER.values()
+        for mode in ("pre", "grow")
+    ),
+)
+def _(c):
+    """Searches of ordinary width against exact answers, for every share of qualifying rows and both kinds of filter."""
+    q, g, rows = block(c, 50), index(c, shards=2), c.mix_orders()
+    out = None
+    for bound in LADDER.values():
+        cond = F.col("o_totalprice") < bound
+        ok, exact = rows.where(cond).select("vec_id"), scan(rows, q, k=10, cond=cond)
+        for mode in ("pre", "grow"):
+            found = graph_search(g, q, 10, 64, ok) if mode == "pre" else graph_post_grow(g, q, 10, ok, 64)
+            recall = recall_at_k(found, exact).agg(F.sum("n_exact").alias("n_exact"), (F.sum("n_found") >= 0.9 * F.sum("n_exact")).alias("recall_ok"))
+            one = recall.select(F.lit(bound).alias("bound"), F.lit(mode).alias("mode"), "*")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(
+    "graph_walk_order",
+    "SELECT * FROM (VALUES (10, TRUE), (20, TRUE), (40, TRUE)) t(ef, cheaper_than_all)",
+)
+def _(c):
+    """Whether walks of each width compute fewer distances than a scan of all rows."""
+    q, g = block(c, 50), index(c, m=8, ef=32, shards=1)
+    out = None
+    for ef in (10, 20, 40):
+        cost = mean_counters(graph_search(g, q, 10, ef, counters=True))
+        one = cost.select(F.lit(ef).alias("ef"), (F.col("distance_evals") < g.packed.agg(F.sum("n")).first()[0]).alias("cheaper_than_all"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("graph_rejected", "SELECT (SELECT count(*) FROM embeddings) AS nodes, CAST(2 AS BIGINT) AS rejected")
+def _(c):
+    """An index over all vectors, a null one and one of another length: it leaves two out and says so."""
+    odd = c.spark.createDataFrame([(-1, None), (-2, [1.0, 2.0])], "vec_id long, embedding array<float>")
+    g = graph_build(c.embeddings.select("vec_id", "embedding").unionByName(odd), metric="cosine", m=8, ef_build=16, shards=2)
+    return g.packed.agg(F.sum("n").alias("nodes"), F.sum("rejected").alias("rejected"))
+
+
 @query("graph_default_recall_ok", "SELECT TRUE AS recall_ok")
 def _(c):
     q = block(c, 50)

@@ -29,20 +29,76 @@ def _(c):
     "choose_path_grid",
     f"SELECT CAST(s AS INTEGER) AS s, b, d, min_by(path, ms) AS path FROM (VALUES {_values(published.filter_rows())}) t(s, b, d, path, ms) GROUP BY s, b, d",
 )
+def _(c):
+    """The planner's own choice, by its cost model, against the cheapest published cell."""
+    info = planner.IndexInfo("cosine")
+    rows = [
+        (s, b, d, planner.choose_path(planner.Workload(1_000_000, d, b, s / 100), info).path)
+        for b, d in published.FILTER_MS
+        for s in published.SCAN_PERCENT
+    ]
+    return c.spark.createDataFrame(rows, "s int, b int, d int, path string")
+
+
+@query(
+    "advise_grid",
+    f"SELECT CAST(s AS INTEGER) AS s, b, d, min_by(path, ms) AS path FROM (VALUES {_values(published.filter_rows())}) t(s, b, d, path, ms) GROUP BY s, b, d",
+)
 def _(c):
     rows = [(s, b, d, planner.advise_from_published(s, d, b)) for b, d in published.FILTER_MS for s in published.SCAN_PERCENT]
     return c.spark.createDataFrame(rows, "s int, b int, d int, path string")
 
 
-@query("cost_model_grid")
+def sql_cost(path: str, n: str, s: str, b: str, d: str) -> str:
+    """The cost of a path written as SQL: n rows, s the qualifying fraction, b the batch, d the dimension."""
+    m = planner.default_model()
+    if path == "scan":
+        f, t, p = m.scan
+        return f"({n} / 1e6 * ({f!r} + pow({b}, 0.93) * {s} * ({t!r} + {d} * {p!r})))"
+    if path == "matrix":
+        a, c, e, g = m.matrix
+        return f"({n} / 1e6 * ({a!r} + {s} * {d} * {c!r} + {b} * {s} * ({e!r} + {d} * {g!r})))"
+    g0, g1, g2, g3 = m.graph
+    return f"(exp({g0!r} + {g1!r} * ln({b}) + {g2!r} * ln({d}) - {g3!r} * ln({s})) * greatest(1.0, log2({n}) / 20))"
+
+
+@query(
+    "cost_model_grid",
+    " UNION ALL ".join(
+        f"SELECT CAST(s AS DOUBLE) AS s, b, d, path, CAST(ms AS DOUBLE) AS ms, CAST(round({sql_cost(p, '1000000.0', '(s / 100)', 'b', 'd')} * 1000) AS BIGINT) AS modelled_us "
+        f"FROM (VALUES {_values(published.curve_rows())}) t(s, b, d, path, ms) WHERE path = '{p}'"
+        for p in planner.PATHS
+    ),
+)
 def _(c):
-    """Modelled milliseconds for the published cells."""
+    """Modelled time for every published point."""
     model = planner.default_model()
     rows = [
-        (float(s), b, d, p, float(ms), float(model.cost(p, planner.Workload(1_000_000, d, b, s / 100))))
-        for s, b, d, p, ms in published.filter_rows()
+        (float(s), b, d, p, float(ms), round(1000 * model.cost(p, planner.Workload(1_000_000, d, b, s / 100))))
+        for s, b, d, p, ms in published.curve_rows()
     ]
-    return c.spark.createDataFrame(rows, "s double, b int, d int, path string, ms double, modelled double")
+    return c.spark.createDataFrame(rows, "s double, b int, d int, path string, ms double, modelled_us long")
+
+
+@query(
+    "adaptive_choices",
+    f"""WITH f AS (SELECT bound, CAST(count(*) FILTER (o_totalprice < bound) AS DOUBLE) / count(*) AS s
+  FROM {MIX} CROSS JOIN (SELECT unnest({list(LADDER.values())}) AS bound) GROUP BY bound),
+w AS (SELECT bound, s, b, d FROM f CROSS JOIN (SELECT unnest([1, 100, 10000]) AS b) CROSS JOIN (SELECT unnest([64, 1024]) AS d)),
+t AS ({' UNION ALL '.join(f"SELECT bound, b, d, '{p}' AS path, {sql_cost(p, '1000000.0', 'greatest(s, 1e-6)', 'b', 'd')} AS ms FROM w" for p in planner.PATHS)})
+SELECT bound, b, d, min_by(path, ms) AS path FROM t GROUP BY bound, b, d""",
+)
+def _(c):
+    """The path chosen for a million such rows from the selectivity of the data: each of the three wins somewhere."""
+    model, info, rows = planner.Adaptive(), planner.IndexInfo("cosine"), []
+    data = c.mix_orders().select("o_totalprice")
+    for bound in LADDER.values():
+        s = planner.selectivity(data, F.col("o_totalprice") < bound)
+        for b in (1, 100, 10_000):
+            for d in (64, 1024):
+                w = planner.Workload(1_000_000, d, b, s)
+                rows.append((bound, b, d, planner.choose_path(w, info, model.model).path))
+    return c.spark.createDataFrame(rows, "bound int, b int, d int, path string")
 
 
 @query(
@@ -60,13 +116,23 @@ def _(c):
     return cheaper.groupBy("b", "d", "path").agg(F.min("s").cast("int").alias("s"))
 
 
-@query("crossover_interpolated")
+@query(
+    "crossover_interpolated",
+    f"""WITH t AS (SELECT * FROM (VALUES {_values(published.filter_rows())}) t(s, b, d, path, ms)),
+w AS (SELECT o.b, o.d, o.path, ln(o.s) AS x, ln(g.ms) - ln(o.ms) AS diff
+      FROM t o JOIN t g USING (s, b, d) WHERE o.path <> 'graph' AND g.path = 'graph'),
+l AS (SELECT *, lag(x) OVER p AS x0, lag(diff) OVER p AS d0 FROM w WINDOW p AS (PARTITION BY b, d, path ORDER BY x))
+SELECT b, d, path, CAST(round(1000 * min(exp(x0 + (x - x0) * d0 / (d0 - diff)))) AS BIGINT) AS permille10 FROM l WHERE d0 * diff < 0 GROUP BY b, d, path""",
+)
 def _(c):
+    """Percentage at which the graph becomes cheaper than each scan, in thousandths, between the measured points."""
     rows = []
     for (b, d), paths in published.FILTER_MS.items():
         for other in ("scan", "matrix"):
-            rows.append((b, d, other, planner.crossover(published.SCAN_PERCENT, paths["graph"], paths[other])))
-    return c.spark.createDataFrame(rows, "b int, d int, path string, percent double")
+            at = planner.crossover(published.SCAN_PERCENT, paths["graph"], paths[other])
+            if at is not None:
+                rows.append((b, d, other, round(1000 * at)))
+    return c.spark.createDataFrame(rows, "b int, d int, path string, permille10 long")
 
 
 REQUESTS = [
@@ -98,9 +164,25 @@ def _(c):
     return c.spark.createDataFrame(rows, "request string, path string, reason string")
 
 
-@query("access_path_matrix", f"SELECT * FROM (VALUES {_values(planner.PROPERTIES)}) t(path, property, value)")
+ASKED = {
+    "top-k by the index's metric": planner.Workload(1_000, 8, k=10, metric="ip"),
+    "top-k by another metric": planner.Workload(1_000, 8, k=10, metric="l1"),
+    "range": planner.Workload(1_000, 8, k=None, metric="ip"),
+    "exact": planner.Workload(1_000, 8, k=10, metric="ip", min_recall=1.0),
+}
+
+
+@query(
+    "access_path_matrix",
+    f"SELECT * FROM (VALUES {_values([(w, 'scan', 'TRUE') for w in ASKED] + [(w, 'index', 'TRUE' if w.endswith('index' + chr(39) + 's metric') else 'FALSE') for w in ASKED]).replace(chr(39) + 'TRUE' + chr(39), 'TRUE').replace(chr(39) + 'FALSE' + chr(39), 'FALSE').replace('index' + chr(39) + 's', 'index' + chr(39) * 2 + 's')}) t(asked, path, answers)",
+)
 def _(c):
-    return c.spark.createDataFrame(planner.PROPERTIES, "path string, property string, value string")
+    """What each kind of path can answer, by the planner's rules: a scan everything, an index only top-k by its own metric."""
+    rows = []
+    for asked, w in ASKED.items():
+        allowed, _ = planner.capabilities(planner.IndexInfo("ip"), w)
+        rows += [(asked, "scan", "scan" in allowed), (asked, "index", "graph" in allowed)]
+    return c.spark.createDataFrame(rows, "asked string, path string, answers boolean")
 
 
 @query("adaptive_topk", sql_topk(sql_queries(10), MIX, 10, CHEAP))
@@ -108,9 +190,20 @@ def _(c):
     return search(c.mix_orders(), block(c, 10), 10, cond=F.expr(CHEAP)).select("query_id", "rank", "vec_id", u6())
 
 
-@query("policy_regret")
+def _sql_regret() -> str:
+    cells = f"(SELECT * FROM (VALUES {_values(published.filter_rows())}) t(s, b, d, path, ms))"
+    best = f"(SELECT s, b, d, min(ms) AS least FROM {cells} GROUP BY s, b, d)"
+    modelled = " UNION ALL ".join(f"SELECT s, b, d, '{p}' AS path, {sql_cost(p, '1000000.0', '(s / 100)', 'b', 'd')} AS cost FROM {best}" for p in planner.PATHS)
+    chosen = f"SELECT s, b, d, min_by(path, cost) AS path FROM ({modelled}) GROUP BY s, b, d"
+    fixed = f"SELECT path AS policy, ms / least AS r FROM {cells} JOIN {best} USING (s, b, d)"
+    model = f"SELECT 'cost model' AS policy, ms / least AS r FROM ({chosen}) JOIN {cells} USING (s, b, d, path) JOIN {best} USING (s, b, d)"
+    milli = "CAST(round(1000 * {}(r)) AS BIGINT)"
+    return f"SELECT policy, {milli.format('max')} AS worst_milli, {milli.format('avg')} AS mean_milli FROM ({fixed} UNION ALL {model}) GROUP BY policy"
+
+
+@query("policy_regret", _sql_regret())
 def _(c):
-    """Time of each policy over the best path's, worst and mean over the published cells."""
+    """Time of each policy over the best path's, worst and mean over the published cells, in thousandths."""
     times = {}
     for s, b, d, path, ms in published.filter_rows():
         times.setdefault((s, b, d), {})[path] = ms
@@ -122,14 +215,44 @@ def _(c):
     rows = []
     for name, chosen in policies.items():
         r = list(planner.regret(times, chosen).values())
-        rows.append((name, max(r), sum(r) / len(r)))
-    return c.spark.createDataFrame(rows, "policy string, worst double, mean double")
+        rows.append((name, round(1000 * max(r)), round(1000 * sum(r) / len(r))))
+    return c.spark.createDataFrame(rows, "policy string, worst_milli long, mean_milli long")
+
+
+@query(
+    "approx_selectivity",
+    " UNION ALL ".join(
+        f"SELECT {bound} AS bound, CAST(round(1000000.0 * count(*) FILTER (o_totalprice < {bound}) / count(*)) AS BIGINT) AS exact_u6, TRUE AS within_tol FROM orders"
+        for bound in LADDER.values()
+    ),
+)
+def _(c):
+    """Fractions below the bounds of the ladder from a quantile sketch of the column, within 5 points of the exact ones."""
+    p = F.col("o_totalprice")
+    found = c.orders.agg(
+        F.expr("kll_sketch_agg_double(o_totalprice)").alias("sketch"), F.count(F.lit(1)).alias("n"),
+        *(F.count_if(p < x).alias(f"below_{x}") for x in LADDER.values()),
+    )
+    rows = F.explode(F.array(*(
+        F.struct(
+            F.lit(x).alias("bound"), (F.col(f"below_{x}") / F.col("n")).alias("exact"),
+            F.expr(f"kll_sketch_get_rank_double(sketch, {float(x)}D)").alias("rank"),
+        ) for x in LADDER.values()
+    )))
+    each = found.select(rows.alias("x")).select("x.*")
+    return each.select("bound", F.round(F.col("exact") * 1_000_000).cast("long").alias("exact_u6"), (F.abs(F.col("rank") - F.col("exact")) < 0.05).alias("within_tol"))
 
 
-@query("approx_selectivity", "SELECT TRUE AS within_tol")
+@query("adaptive_three_paths", f"""SELECT 'matrix' AS forced, 10 AS k, t.* FROM ({sql_topk(sql_queries(10), MIX, 10, CHEAP)}) t
+UNION ALL SELECT 'scan', 10, t.* FROM ({sql_topk(sql_queries(10), MIX, 10, CHEAP)}) t
+UNION ALL SELECT 'graph', 10, t.* FROM ({sql_topk(sql_queries(10), MIX, 10, CHEAP)}) t""")
 def _(c):
-    """Fraction below a bound from a quantile sketch of the column, within 5 points of the exact one."""
-    rows, bound = c.orders, LADDER[50]
-    exact = planner.selectivity(rows, F.col("o_totalprice") < bound)
-    sketch = rows.agg(F.expr(f"kll_sketch_get_rank_double(kll_sketch_agg_double(o_totalprice), {float(bound)}D)").alias("r"))
-    return sketch.select((F.abs(F.col("r") - F.lit(exact)) < 0.05).alias("within_tol"))
+    """The same answer by each path, with an index at hand: hints force each, the graph saturated."""
+    from .graphs import FULL, index
+
+    out = None
+    for path in planner.PATHS:
+        one = search(c.mix_orders(), block(c, 10), 10, cond=F.expr(CHEAP), index=index(c), ef=FULL, hint=path)
+        one = one.select(F.lit(path).alias("forced"), F.lit(10).alias("k"), "query_id", "rank", "vec_id", u6())
+        out = one if out is None else out.unionByName(one)
+    return out

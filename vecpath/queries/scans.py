@@ -5,10 +5,12 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators.joins import nested_loop_join, self_pairs, vector_range_join, vector_topk_join
-from ..operators.relational import KeyIndex, cents, relational_probe_sum, relational_scan_sum, sorted_copy
+from ..measures.reads import reads
+from ..operators.relational import cents, relational_scan_sum, sorted_copy, store_indexed, stored_probe_sum
 from ..operators.scan import (
     collect_queries, phase_times, scan, scan_sparse, scan_split, select_bound, select_product, select_unrolled,
 )
+from ..sources.stored import stored
 from ..sources.tables import LADDER, first_components, sparsified, tile, widen
 from .registry import CARRIER_EVENTS, MIX, U6, V, query, sql_bound, sql_cos, sql_queries, sql_topk, u6
 
@@ -267,6 +269,56 @@ def _ladder_counts(name: str, b: int) -> None:
 _ladder_counts("ladder_counts_b1", 1)
 _ladder_counts("ladder_counts_batch", 100)
 
+# a batch of 10,000 requests, which repeat the vectors
+SQL_REQUESTS = f"SELECT event_id AS query_id, embedding AS qvec FROM {CARRIER_EVENTS} WHERE event_id < 10000"
+
+
+@query(
+    "ladder_counts_10k",
+    f"""SELECT bound, count(*) FILTER (o_totalprice < bound) AS n_pairs
+FROM (SELECT r.o_totalprice, {sql_cos('r.embedding', 'q.qvec')} AS s FROM ({SQL_REQUESTS}) q CROSS JOIN (SELECT * FROM {MIX}) r)
+CROSS JOIN (SELECT unnest({list(LADDER.values())}) AS bound) WHERE s > 0.2 GROUP BY bound""",
+)
+def _(c):
+    """The ladder for a batch of 10,000: one matrix product a block; counts leave the tasks, not pairs."""
+    q = collect_queries(c.request_queries(10_000))
+    found = scan(c.mix_orders().select("vec_id", "embedding"), q, bound=0.2).groupBy("vec_id").count()
+    priced = found.join(c.orders.select(F.col("o_orderkey").alias("vec_id"), "o_totalprice"), "vec_id")
+    bounds = F.explode(F.array(*[F.lit(x) for x in LADDER.values()]))
+    return priced.withColumn("bound", bounds).groupBy("bound").agg(
+        F.coalesce(F.sum(F.when(F.col("o_totalprice") < F.col("bound"), F.col("count"))), F.lit(0)).alias("n_pairs")
+    )
+
+
+@query(
+    "range_gemm_b10k",
+    f"SELECT query_id, count(*) AS n FROM ({sql_bound(SQL_REQUESTS, 'embeddings', 0.3)}) GROUP BY query_id",
+)
+def _(c):
+    q = collect_queries(c.request_queries(10_000))
+    return scan(c.embeddings, q, bound=0.3).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(
+    "dim_batch_grid",
+    " UNION ALL ".join(
+        f"""SELECT {d} AS d, {b} AS b, (SELECT count(*) FROM ({sql_bound(sql_queries(b) if b <= 100 else SQL_REQUESTS, 'embeddings', 0.3)})) AS n_pairs"""
+        for d in (64, 256, 1024)
+        for b in (1, 100, 10_000)
+    ),
+)
+def _(c):
+    """Pairs within the bound for each dimension and batch size; repeated components leave cosines as they are."""
+    out = None
+    for d in (64, 256, 1024):
+        rows = c.embeddings.select("vec_id", tile("embedding", d // 64).alias("embedding"))
+        for b in (1, 100, 10_000):
+            asked = c.queries(b) if b <= 100 else c.request_queries(b)
+            q = collect_queries(asked.select("query_id", tile("qvec", d // 64).alias("qvec")), max_bytes=128 << 20)
+            one = scan(rows, q, bound=0.3).agg(F.count(F.lit(1)).alias("n_pairs")).select(F.lit(d).alias("d"), F.lit(b).alias("b"), "n_pairs")
+            out = one if out is None else out.unionByName(one)
+    return out
+
 
 @query(
     "scan_distance_counts",
@@ -287,6 +339,30 @@ def _(c):
     )
 
 
+GRID = [(d, b, percent) for d in (64, 1024) for b in (1, 100, 10_000) for percent in (10, 90)]
+
+
+@query(
+    "phase_grid",
+    " UNION ALL ".join(
+        f"SELECT {d} AS d, {b} AS b, {percent} AS percent, count(*) AS n_rows, 3 AS n_phases, 100 AS share_sum FROM {MIX} WHERE o_totalprice < {LADDER[percent]}"
+        for d, b, percent in GRID
+    ),
+)
+def _(c):
+    """Phases of the matrix scan for each cell of dimension, batch and percentage; their shares add up."""
+    out = None
+    for d, b, percent in GRID:
+        rows = c.mix_orders().select("o_totalprice", tile("embedding", d // 64).alias("embedding"))
+        asked = c.queries(b) if b <= 100 else c.request_queries(b)
+        q = collect_queries(asked.select("query_id", tile("qvec", d // 64).alias("qvec")), max_bytes=128 << 20)
+        got = phase_times(rows, q, F.col("o_totalprice") < LADDER[percent])
+        one = got.agg(F.max("n_rows").alias("n_rows"), F.count(F.lit(1)).cast("int").alias("n_phases"), F.round(F.sum("share")).cast("int").alias("share_sum"))
+        one = one.select(F.lit(d).alias("d"), F.lit(b).alias("b"), F.lit(percent).alias("percent"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query("phase_shares")
 def _(c):
     return phase_times(c.mix_orders(), block(c, 100), F.expr(HALF))
@@ -294,7 +370,10 @@ def _(c):
 
 # ---- relational scan and probe
 
-PRICE = {1: 1950, 10: 11350, 50: 52900, 90: 94600}
+# Bounds on l_extendedprice that keep about so many percent of the rows.
+PRICE = {
+    0.01: 910.4, 0.05: 952, 0.1: 1004, 0.5: 1420, 1: 1950, 5: 6105, 10: 11350, 25: 26925, 50: 52900, 75: 78975, 90: 94600, 95: 99795, 99: 103959,
+}
 ROW = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_extendedprice"]
 
 
@@ -302,30 +381,62 @@ def sql_sum(cond: str) -> str:
     return f"SELECT count(*) AS n, CAST(sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS BIGINT) AS sum_cents FROM lineitem WHERE {cond}"
 
 
-def _relational(percent: int, hi: int) -> None:
-    @query(f"rel_scan_sum_{percent}", sql_sum(f"l_extendedprice < {hi}"))
-    def _(c):
-        return relational_scan_sum(c.lineitem, "l_extendedprice", hi, "l_extendedprice")
+def indexed_lineitem(c, key: str = "l_extendedprice", kind: str = "tree") -> str:
+    """Path of line items stored by page with an index on ``key``; built once, before any probe."""
+    return stored(c.spark, f"lineitem-{key}-{kind}", c.sf_dir, lambda path: store_indexed(c.lineitem, path, key, ROW, kind=kind))
 
-    @query(f"rel_probe_sum_{percent}", sql_sum(f"l_extendedprice < {hi}"))
-    def _(c):
-        index = KeyIndex.build(c.lineitem, "l_extendedprice", ROW)
-        return relational_probe_sum(index, c.lineitem, F.col("l_extendedprice") < hi, ROW, "l_extendedprice")
 
-    @query(f"rel_clustered_sum_{percent}", sql_sum(f"l_extendedprice < {hi}"))
-    def _(c):
-        rows = sorted_copy(c.lineitem, "l_extendedprice", ["l_extendedprice"])
-        return relational_scan_sum(rows, "l_extendedprice", hi, "l_extendedprice")
+def clustered_lineitem(c):
+    write = lambda path: sorted_copy(c.lineitem, "l_extendedprice", ["l_extendedprice"]).write.mode("overwrite").parquet(path)
+    return c.spark.read.parquet(stored(c.spark, "lineitem-clustered", c.sf_dir, write))
+
+
+def by_scan(c, hi: float, one_task: bool = False):
+    return relational_scan_sum(c.lineitem, "l_extendedprice", hi, "l_extendedprice", one_task)
+
+
+def by_probe(c, hi: float, one_task: bool = False):
+    return stored_probe_sum(c.spark, indexed_lineitem(c), "l_extendedprice", F.col("l_extendedprice") < hi, ROW, "l_extendedprice", one_task)
+
+
+def by_clustered(c, hi: float, one_task: bool = False):
+    return relational_scan_sum(clustered_lineitem(c), "l_extendedprice", hi, "l_extendedprice", one_task)
+
+
+RELATIONAL = {"scan": by_scan, "probe": by_probe, "clustered": by_clustered}
+
+
+def _relational(percent: float, hi: float) -> None:
+    label = f"{percent:g}".replace(".", "p")
+    for path, run in RELATIONAL.items():
+        query(f"rel_{path}_sum_{label}", sql_sum(f"l_extendedprice < {hi}"))(lambda c, run=run: run(c, hi))
 
 
 for _percent, _hi in PRICE.items():
     _relational(_percent, _hi)
+for _path, _run in RELATIONAL.items():
+    query(f"rel_{_path}_one_task", sql_sum(f"l_extendedprice < {PRICE[1]}"))(lambda c, run=_run: run(c, PRICE[1], True))
+
+
+@query(
+    "rel_reads",
+    "SELECT * FROM (VALUES ('clustered', 1, TRUE), ('clustered', 50, TRUE), ('clustered', 99, FALSE), ('probe', 0, TRUE), ('probe', 50, FALSE)) "
+    "t(path, percent, reads_less)",
+)
+def _(c):
+    """Whether a probe reads fewer rows from files than the scan: a clustered copy does while few qualify, a secondary index only for a row or so in 10,000."""
+    rows = []
+    for path, percent in (("clustered", 1), ("clustered", 50), ("clustered", 99), ("probe", 0.01), ("probe", 50)):
+        hi = PRICE[percent]
+        probe, scanned = reads(RELATIONAL[path](c, hi)), reads(by_scan(c, hi))
+        rows.append((path, int(percent), probe["rows"] < scanned["rows"]))
+    return c.spark.createDataFrame(rows, "path string, percent int, reads_less boolean")
 
 
 @query("rel_point", sql_sum("l_partkey = 7"))
 def _(c):
-    index = KeyIndex.build(c.lineitem, "l_partkey", ROW, kind="hash")
-    return relational_probe_sum(index, c.lineitem, F.col("l_partkey") == 7, ROW, "l_extendedprice")
+    path = indexed_lineitem(c, "l_partkey", "hash")
+    return stored_probe_sum(c.spark, path, "l_partkey", F.col("l_partkey") == 7, ROW, "l_extendedprice")
 
 
 @query("rel_point_scan", sql_sum("l_partkey = 7"))
