@@ -84,6 +84,15 @@ def unrolled_dot(a: Column, values: Sequence[float]) -> Column:
     return total
 
 
+def unrolled_norm(a: Column, dim: int) -> Column:
+    """Length of a vector of a known, small dimension as one flat sum."""
+    total = F.lit(0.0)
+    for i in range(dim):
+        x = a.getItem(i).cast("double")
+        total = total + x * x
+    return F.sqrt(total)
+
+
 def is_vector(v: Column, dim: int) -> Column:
     """Whether the value is a vector of the dimension without null and NaN components."""
     bad = F.exists(v, lambda x: x.isNull() | F.isnan(x))

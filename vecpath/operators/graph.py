@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import heapq
+from bisect import bisect_left
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -215,6 +216,40 @@ class GraphIndex:
         return self.packed.mapInArrow(work, "shard long, level long, node long, neighbours array<int>")
 
 
+class Bitmap:
+    """Filter callback: one bit for each node, made once for a shard."""
+
+    def __init__(self, ids: np.ndarray, allowed: np.ndarray):
+        self.bits = np.isin(ids, allowed)
+
+    def __getitem__(self, node: int) -> bool:
+        return bool(self.bits[node])
+
+
+class Hashed:
+    """Filter callback: the node's id in a set of qualifying ids."""
+
+    def __init__(self, ids: np.ndarray, allowed: np.ndarray):
+        self.ids, self.allowed = ids.tolist(), set(allowed.tolist())
+
+    def __getitem__(self, node: int) -> bool:
+        return self.ids[node] in self.allowed
+
+
+class Sorted:
+    """Filter callback: binary search of the node's id among the sorted qualifying ids."""
+
+    def __init__(self, ids: np.ndarray, allowed: np.ndarray):
+        self.ids, self.allowed = ids.tolist(), np.sort(allowed).tolist()
+
+    def __getitem__(self, node: int) -> bool:
+        at = bisect_left(self.allowed, self.ids[node])
+        return at < len(self.allowed) and self.allowed[at] == self.ids[node]
+
+
+CALLBACKS = {"bitmap": Bitmap, "hash": Hashed, "sorted": Sorted}
+
+
 def shard_of(row_id: str, shards: int) -> Column:
     return F.pmod(F.xxhash64(F.col(row_id).cast("long")), F.lit(shards))
 
@@ -262,6 +297,14 @@ def graph_build(
     return GraphIndex.load(df.sparkSession, path)
 
 
+def graph_rebuild(index: GraphIndex, df: DataFrame, shard: int, row_id: str = "vec_id", vector: str = "embedding", seed: int = 42, dim: int | None = None) -> GraphIndex:
+    """The index with one shard built anew from the rows of ``df`` that belong to it; the others stay as they are."""
+    own = df.where(shard_of(row_id, index.shards) == shard)
+    new = graph_build(own, row_id, vector, index.metric, index.m, index.ef_build, index.shards, seed, dim)
+    kept = index.packed.where(F.col("shard") != shard)
+    return replace(index, packed=kept.unionByName(new.packed))
+
+
 def _allowed_by_shard(index: GraphIndex, qualifying: DataFrame, row_id: str) -> DataFrame:
     """Qualifying ids of each shard as one sorted array: at most a shard's ids."""
     return (
@@ -273,18 +316,20 @@ def _allowed_by_shard(index: GraphIndex, qualifying: DataFrame, row_id: str) ->
 
 def graph_search(
     index: GraphIndex, queries: QueryBlock, k: int, ef: int = 64, qualifying: DataFrame | None = None,
-    filter_mode: str = "pre", row_id: str = "vec_id", columns: int = 1, counters: bool = False,
+    filter_mode: str = "pre", row_id: str = "vec_id", columns: int = 1, counters: bool = False, callback: str = "bitmap",
 ) -> DataFrame:
     """(query_id, <row_id>, score, rank): the k best found; with ``counters`` what the walks cost.
 
     ``qualifying`` has the ids that satisfy the relational predicate.  ``pre``:
     the walk passes other nodes but does not return them; each visited node is
-    looked up once for each of ``columns`` filter columns.  ``post``: the k best
+    looked up once for each of ``columns`` filter columns, by the ``callback``
+    bitmap, hash or sorted, which give the same answers.  ``post``: the k best
     are found first and those that do not qualify are dropped, so fewer than k
     may be left.
     """
     if filter_mode not in ("pre", "post"):
         raise ValueError(f"unknown filter mode {filter_mode!r}")
+    look_up = CALLBACKS[callback]
     shards = index.packed
     pre = qualifying is not None and filter_mode == "pre"
     if pre:
@@ -302,7 +347,7 @@ def graph_search(
             for i in range(batch.num_rows):
                 row = {c: batch.column(c)[i] for c in batch.schema.names}
                 g = Shard.unpack(*(row[c].as_py() for c in ("n", "dim", "ids", "vecs", "levels", "degrees", "edges")))
-                allowed = np.isin(g.ids, np.asarray(row["allowed"].values, np.int64)) if pre else None
+                allowed = look_up(g.ids, np.asarray(row["allowed"].values, np.int64)) if pre else None
                 out: list[tuple] = []
                 for q, name in zip(matrix, queries.ids.tolist()):
                     found, c = g.search(q, k, ef, allowed)

@@ -12,7 +12,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.metrics import Metric, is_vector, l2_norm, literal_vector, resolve, unrolled_dot
+from ..functions.metrics import Metric, is_vector, literal_vector, resolve, unrolled_dot, unrolled_norm
 
 QUERY_BYTES = 64 << 20
 BLOCK_BYTES = 64 << 20
@@ -188,7 +188,7 @@ def select_unrolled(df: DataFrame, query, bound: float, vector: str = "embedding
     """The same for cosine with the inner product compiled as one flat sum."""
     q = np.asarray(query, float)
     norm = float(np.sqrt(q @ q))
-    score = unrolled_dot(F.col(vector), q / norm) / l2_norm(F.col(vector))
+    score = unrolled_dot(F.col(vector), q / norm) / unrolled_norm(F.col(vector), len(q))
     return df.where(is_vector(F.col(vector), len(q))).withColumn("score", score).where(F.col("score") > bound)
 
 

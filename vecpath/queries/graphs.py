@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from ..api import search_per_shard
 from ..measures.accuracy import mean_counters, recall_at_k, shortfall
-from ..operators.graph import GraphIndex, graph_build, graph_post_grow, graph_search
+from ..operators.graph import CALLBACKS, GraphIndex, graph_build, graph_post_grow, graph_rebuild, graph_search
 from ..operators.joins import vector_probe_join
 from ..operators.scan import scan
 from ..sources.stored import stored
@@ -45,6 +45,28 @@ def _(c):
     return graph_search(index(c), block(c, 50), 10, FULL, ok).select(*RANKED, u6())
 
 
+@query(
+    "graph_callback_kinds",
+    " UNION ALL ".join(f"SELECT '{kind}' AS callback, t.* FROM ({sql_topk(sql_queries(20), MIX, 10, CHEAP)}) t" for kind in CALLBACKS),
+)
+def _(c):
+    """The filter callback as bitmap, hash set and binary search: one answer."""
+    ok, out = c.mix_orders().where(CHEAP).select("vec_id"), None
+    for kind in CALLBACKS:
+        one = graph_search(index(c), block(c, 20), 10, FULL, ok, callback=kind).select(F.lit(kind).alias("callback"), *RANKED, u6())
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("graph_rebuild_shard", "SELECT vec_id AS id FROM embeddings")
+def _(c):
+    """An index of the rows below 400, whose shards are then built anew one by one from all rows."""
+    g = graph_build(c.embeddings.where("vec_id < 400"), metric="cosine", m=8, ef_build=16, shards=2)
+    for shard in range(2):
+        g = graph_rebuild(g, c.embeddings, shard)
+    return g.nodes().select("id")
+
+
 TWO = "label < 5 AND o_totalprice < 251000"
 
 

@@ -11,7 +11,7 @@ from ..operators.scan import (
     collect_queries, phase_times, scan, scan_sparse, scan_split, select_bound, select_product, select_unrolled,
 )
 from ..sources.stored import stored
-from ..sources.tables import LADDER, first_components, sparsified, tile, widen
+from ..sources.tables import LADDER, first_components, ingest, sparsified, tile, widen
 from .registry import CARRIER_EVENTS, MIX, U6, V, query, sql_bound, sql_cos, sql_queries, sql_topk, u6
 
 
@@ -363,6 +363,20 @@ def _(c):
     return out
 
 
+@query("ingest_unit_topk", sql_topk(sql_queries(10), "embeddings", 10))
+def _(c):
+    """Vectors normalised when they come in: the inner product of what is stored is the cosine."""
+    path = stored(c.spark, "unit-embeddings", c.sf_dir, lambda p: ingest(c.embeddings).write.mode("overwrite").parquet(p))
+    rows = c.spark.read.parquet(path)
+    q = collect_queries(rows.where("vec_id < 10").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec")))
+    return scan(rows, q, metric="ip", k=10).select("query_id", "rank", "vec_id", u6())
+
+
+@query("ingest_norms", f"SELECT vec_id, {U6.format('sqrt(list_dot_product(CAST(embedding AS DOUBLE[]), CAST(embedding AS DOUBLE[])))')} AS norm_u6 FROM embeddings")
+def _(c):
+    return ingest(c.embeddings).select("vec_id", F.round(F.col("norm") * 1_000_000).cast("long").alias("norm_u6"))
+
+
 @query("phase_shares")
 def _(c):
     return phase_times(c.mix_orders(), block(c, 100), F.expr(HALF))

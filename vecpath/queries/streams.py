@@ -4,8 +4,8 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..streaming.requests import answer_batches, batches, first_requests, request_stream, run_once
-from .registry import query, sql_bound
+from ..streaming.requests import answer_batches, answer_cached, batches, first_requests, request_stream, run_once
+from .registry import query, sql_bound, sql_topk
 
 
 @query(
@@ -46,39 +46,55 @@ def _(c):
 
 
 PENDING = """SELECT event_id AS query_id, embedding AS qvec FROM events JOIN embeddings
-  ON vec_id = event_id % (SELECT count(*) FROM embeddings) WHERE event_id < 200"""
+  ON vec_id = event_id % (SELECT count(*) FROM embeddings)"""
+SQL_MATCHES = f"SELECT query_id, count(*) AS n_matches FROM ({sql_bound(PENDING, 'embeddings', 0.3)}) GROUP BY query_id"
 
 
-@query("stream_answers", f"SELECT query_id, count(*) AS n_matches FROM ({sql_bound(PENDING, 'embeddings', 0.3)}) GROUP BY query_id")
-def _(c):
-    """The first requests answered batch by batch; ``stream_answers_all`` answers every one."""
-    return _answers(c, request_stream(c.spark, c.sf_dir).where("event_id < 200")).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
-
-
-def _answers(c, requests):
+def queries_of(c):
+    """Batch of requests -> their queries: every request carries the vector numbered by its id."""
     vectors = c.embeddings
     n = vectors.count()
 
-    def queries_of(batch):
+    def ask(batch):
         asked = batch.select("event_id", F.pmod("event_id", F.lit(n)).alias("vec_id"))
         return asked.join(vectors, "vec_id").select(F.col("event_id").alias("query_id"), F.col("embedding").alias("qvec"))
 
-    return answer_batches(c.spark, requests, vectors, queries_of, bound=0.3)
+    return ask
 
 
-@query("stream_answers_all")
+@query("stream_answers", SQL_MATCHES)
 def _(c):
     """All pending requests answered batch by batch; the rows do not depend on the batches."""
-    return _answers(c, request_stream(c.spark, c.sf_dir)).groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
+    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), bound=0.3)
+    return found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
 
 
-@query("stream_hourly_matches")
+@query(
+    "stream_hourly_matches",
+    f"""SELECT date_trunc('hour', ts) AS window_start, count(*) AS n_requests, CAST(coalesce(sum(n_matches), 0) AS BIGINT) AS n_matches
+FROM events LEFT JOIN ({SQL_MATCHES}) ON event_id = query_id GROUP BY 1""",
+)
 def _(c):
     """Requests of each hour and how many matches they have."""
-    per = _answers(c, request_stream(c.spark, c.sf_dir)).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
-    asked = c.spark.read.parquet(f"{c.sf_dir}/events.parquet").select("event_id", "ts")
+    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), bound=0.3)
+    per = found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    asked = c.events.select("event_id", "ts")
     return (
         asked.join(per, asked.event_id == per.query_id, "left")
         .groupBy(F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("window_start"))
         .agg(F.count(F.lit(1)).alias("n_requests"), F.coalesce(F.sum("n"), F.lit(0)).alias("n_matches"))
     )
+
+
+@query(
+    "stream_cached_answers",
+    f"""SELECT event_id AS query_id, rank, t.vec_id
+FROM events JOIN ({sql_topk('SELECT vec_id AS query_id, embedding AS qvec FROM embeddings', 'embeddings', 5)}) t ON t.query_id = event_id % (SELECT count(*) FROM embeddings)""",
+)
+def _(c):
+    """Requests that repeat a question get its answer from the cache: every vector is searched for once."""
+    n = c.embeddings.count()
+    requests = request_stream(c.spark, c.sf_dir).select("event_id", F.pmod("event_id", F.lit(n)).alias("vec_id"))
+    ask = lambda keys: keys.join(c.embeddings, "vec_id").select("vec_id", F.col("embedding").alias("qvec"))
+    found = answer_cached(c.spark, requests, c.embeddings, "vec_id", ask, 5)
+    return found.select(F.col("event_id").alias("query_id"), "rank", F.col("answer_id").alias("vec_id"))

@@ -7,6 +7,8 @@ import math
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.metrics import l2_norm, unit
+
 TABLES = (
     "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations"
 ).split()
@@ -69,6 +71,18 @@ class Catalog:
         return e.join(self.embeddings, "vec_id").select(F.col("event_id").alias("query_id"), F.col("embedding").alias("qvec"))
 
 
+def ingest(rows: DataFrame, vector: str = "embedding", keep_norm: bool = True) -> DataFrame:
+    """``rows`` with unit vectors in place of the vectors, normalised once when they come in.
+
+    With ``keep_norm`` the lengths stay as ``norm``.  Cosine is then the inner
+    product of the stored vectors, and no search normalises again.  A zero
+    vector becomes null.
+    """
+    norm = l2_norm(F.col(vector))
+    out = rows.withColumn("norm", norm) if keep_norm else rows
+    return out.withColumn(vector, unit(F.col(vector)))
+
+
 def first_components(vector: str, d: int) -> Column:
     return F.slice(vector, 1, d)
 

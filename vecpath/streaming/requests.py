@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -11,11 +10,13 @@ from pyspark.sql import functions as F
 
 from ..operators.joins import vector_range_join, vector_topk_join
 from ..operators.scan import QUERY_BYTES, QueryBlock, collect_queries, scan
+from ..plans.planner import choose_kernel
+from ..sources.stored import shared_folder
 
 
-def shared_folder(spark: SparkSession) -> str:
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    return named or "file://" + tempfile.mkdtemp(prefix="vecpath-stream-")
+def strategy_for(batch: int, dim: int) -> str:
+    """How a scan of a batch pairs queries and rows, by the planner's choice of the kernel."""
+    return "tensor" if choose_kernel(max(1, batch), max(1, dim)) == "matrix" else "block_rows"
 
 
 def request_stream(spark: SparkSession, sf_dir: str, watermark: str = "1 hour") -> DataFrame:
@@ -61,10 +62,10 @@ def run_once(spark: SparkSession, stream: DataFrame, mode: str = "append") -> Da
 
 def answer_batches(
     spark: SparkSession, requests: DataFrame, vectors: DataFrame, queries_of: Callable[[DataFrame], DataFrame],
-    strategy_of: Callable[[int], str] = lambda n: "tensor" if n >= 10 else "block_rows",
+    strategy_of: Callable[[int, int], str] = strategy_for,
     max_bytes: int = QUERY_BYTES, **how,
 ) -> DataFrame:
-    """Answer each micro-batch as one query block; larger batches use the matrix product.
+    """Answer each micro-batch as one query block, with the kernel that the planner picks for its size.
 
     A micro-batch of more than ``max_bytes`` is not gathered but joined with the
     vectors in blocks (``how`` has bound or k, and metric).  Results do not depend on how requests fall into micro-batches: every
@@ -82,7 +83,7 @@ def answer_batches(
             found = meet(asked_of, vectors, bounds, how.get("metric", "cosine"), "query_id").withColumnsRenamed({"l_id": "query_id", "r_id": "vec_id"})
         elif n:
             block: QueryBlock = collect_queries(asked, max_bytes=max_bytes)
-            found = scan(vectors, block, strategy=strategy_of(n), **how)
+            found = scan(vectors, block, strategy=strategy_of(n, dim), **how)
         if n:
             found.write.mode("overwrite").parquet(f"{out}/batch={number}")
         asked.unpersist()
@@ -90,3 +91,43 @@ def answer_batches(
     running = requests.writeStream.foreachBatch(answer).option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).start()
     running.awaitTermination()
     return spark.read.parquet(out)
+
+
+def answer_cached(
+    spark: SparkSession, requests: DataFrame, vectors: DataFrame, key: str, queries_of: Callable[[DataFrame], DataFrame], k: int,
+    metric: str = "cosine", row_id: str = "vec_id", max_bytes: int = QUERY_BYTES,
+) -> DataFrame:
+    """Every request with the k best rows for its key: (<columns of requests>, rank, answer_id, score).
+
+    The answers are the stream's state, a table in the shared folder that
+    grows by the keys of each micro-batch that no earlier one had; those are
+    searched for together, the others are looked up.  ``queries_of`` gives
+    (key, qvec) for a table of keys.
+    """
+    place = f"{shared_folder(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    out, cache = f"{place}/out", f"{place}/answers"
+    kind = requests.schema[key].dataType.simpleString()
+    answers = f"`{key}` {kind}, rank int, answer_id long, score double"
+
+    def held(before: int) -> DataFrame:
+        parts = [f"{cache}/batch={i}" for i in range(before)]
+        return spark.read.schema(answers).parquet(*parts) if parts else spark.createDataFrame([], answers)
+
+    def answer(batch: DataFrame, number: int) -> None:
+        keys = batch.select(key).where(F.col(key).isNotNull()).distinct()
+        asked = queries_of(keys.join(held(number).select(key).distinct(), key, "left_anti")).select(F.col(key).cast("long").alias("query_id"), "qvec")
+        found = vector_topk_join(asked.withColumnRenamed("qvec", "embedding"), vectors, k, metric, "query_id", row_id)
+        found = found.select(F.col("l_id").cast(kind).alias(key), "rank", F.col("r_id").alias("answer_id"), "score")
+        found.write.mode("overwrite").parquet(f"{cache}/batch={number}")
+        batch.join(held(number + 1), key).write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    running = requests.writeStream.foreachBatch(answer).option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).start()
+    running.awaitTermination()
+    fields = [f for f in requests.schema.fields if f.name != key]
+    rest = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in fields)
+    return spark.read.schema(answers + rest).option("recursiveFileLookup", "true").parquet(out)
+
+
+def late_rows(running) -> int:
+    """Rows that a finished or running query dropped because they came after the watermark."""
+    return sum(op.numRowsDroppedByWatermark for p in running.recentProgress for op in p.stateOperators)
