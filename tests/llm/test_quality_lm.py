@@ -101,19 +101,31 @@ def test_scores_against_brute_force(spark):
         assert math.isfinite(r.score) and r.score < 0
 
 
-def test_words_whose_emissions_are_joined_score_like_those_tasks_hold(spark):
+def test_words_looked_up_by_a_join_score_like_those_tasks_hold(spark):
+    """Words outside the head are joined; with the same symbols the scores are the same."""
     rng = random.Random(8)
     rows = [(i, " ".join(f"w{int(3400 * rng.random() ** 1.2)}" for _ in range(rng.randint(0, 300)))) for i in range(300)]
     df = spark.createDataFrame(rows + [(300, None), (301, "new w1 w1 newer")], "doc_id long, text string")
     got = [
-        {r.doc_id: r for r in lm.score(df, F.col("doc_id") % 7 != 2, states=3, head=h, symbols=n).collect()}
-        for h, n in ((200_000, 100_000), (3_300, 3_010), (200_000, 3_010))
+        {r.doc_id: r for r in lm.score(df.withColumns({"score": F.lit(1), "_row": F.lit(1)}), F.col("doc_id") % 7 != 2, states=3, head=h, symbols=900).collect()}
+        for h in (200_000, 1_500)
     ]
-    for other in got[1:]:
-        assert other.keys() == got[0].keys() == set(range(302))
-        for i, r in got[0].items():
-            assert abs(r.score - other[i].score) < 1e-5 * abs(r.score) and abs(r.base_score - other[i].base_score) < 1e-6 * abs(r.base_score)
-            assert (r.n_tokens, r.n_known) == (other[i].n_tokens, other[i].n_known)
+    assert got[1].keys() == got[0].keys() == set(range(302))
+    for i, r in got[0].items():
+        other = got[1][i]
+        assert abs(r.score - other.score) < 1e-6 * abs(r.score) and abs(r.base_score - other.base_score) < 1e-6 * abs(r.base_score)
+        assert (r.n_tokens, r.n_known) == (other.n_tokens, other.n_known)
+
+
+def test_long_texts_are_counted_in_stretches(monkeypatch):
+    rng = np.random.default_rng(4)
+    seqs = [rng.integers(0, 4, n) for n in (1, 700, 40, 41, 3)]
+    whole = lm.expected_counts(small_model(), seqs)
+    for stretch, block in ((7, 200_000), (100, 30), (1, 1)):
+        monkeypatch.setattr(lm, "STRETCH", stretch)
+        monkeypatch.setattr(lm, "BLOCK_TOKENS", block)
+        for a, b in zip(whole, lm.expected_counts(small_model(), seqs)):
+            assert np.allclose(a, b)
 
 
 def test_no_training_rows(spark):

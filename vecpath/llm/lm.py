@@ -16,13 +16,13 @@ from .blocks import flat, pieces
 from .common import cut
 
 HEAD = 200_000  # words whose counts every task holds
-SYMBOLS = HEAD  # words whose emissions every task holds; others are joined by word, with the same result
+SYMBOLS = 50_000  # of these, words with an emission of their own; more of them score held-out texts no better
 LEAST = 3  # occurrences of a word with an emission of its own
 CLASSES = 512  # classes by ending of all other words
 STATES = 10
 SEED_DOCS = 2_000
 BLOCK_TOKENS = 200_000
-BUCKET_TOKENS = 1_500_000
+STRETCH = 400_000  # symbols whose alphas are held at a time
 LOG10 = float(np.log(10.0))
 
 
@@ -44,11 +44,9 @@ def class_column(word: Column) -> Column:
 class Vocabulary:
     """What all tasks know of the counts; its size is bounded by HEAD.
 
-    Symbols: words whose emissions tasks hold, the classes of words with few
-    occurrences, the end, and from ``size`` on the other words with LEAST
-    occurrences or more (``tails`` of them), by their number.  A word of a class
-    has, within it, the probability (c + 1) / (N + V + 1) of the class's own
-    counts.
+    Symbols: the first SYMBOLS words by count, then the classes of all other
+    words, then the end.  A word of a class has, within it, the probability
+    (c + 1) / (N + V + 1) of the class's own counts.
     """
 
     index: dict[bytes, int]
@@ -59,8 +57,6 @@ class Vocabulary:
     class_total: np.ndarray
     class_distinct: np.ndarray
     symbols: int
-    tails: int
-    tail_total: int
 
     @property
     def size(self) -> int:
@@ -116,34 +112,24 @@ def vocabulary(counts: DataFrame, n_docs: int, head: int = HEAD, symbols: int =
     got = counts.where(steps >= least).select("word", "n").toArrow()
     words, n = got.column("word").to_pylist(), np.asarray(got.column("n"), np.int64)
     order = sorted(range(len(words)), key=lambda i: (-n[i], words[i]))
+    index = {words[i]: k for k, i in enumerate(order)}
     known = n[order]
-    by_class = counts.where(F.col("n") < LEAST).groupBy(class_column(F.col("word")).alias("c")).agg(
+    by_class = counts.groupBy(class_column(F.col("word")).alias("c")).agg(
         F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")
     ).collect()
     total, distinct = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
     for r in by_class:
         total[r["c"]], distinct[r["c"]] = r["n"], r["v"]
-    everything, v = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    symbols = min(symbols, int((known >= LEAST).sum()))
-    tails = v - int(distinct.sum()) - symbols
-    # a word with an emission of its own that tasks do not hold is not in the index
-    index = {words[i]: k for k, i in enumerate(order) if k < symbols or n[i] < LEAST}
+    # a symbol has two bytes; rare words say too little of the states to be one
+    symbols = min(symbols, int((known >= LEAST).sum()), (1 << 16) - CLASSES - 1)
+    everything, v = int(total.sum()), int(distinct.sum())
+    for i in order[:symbols]:
+        c = class_of(words[i])
+        total[c] -= n[i]
+        distinct[c] -= 1
     return Vocabulary(
-        index, known, n_docs, everything + n_docs, v + (n_docs > 0), total, distinct, symbols,
-        tails, everything - int(total.sum()) - int(known[:symbols].sum()),
-    )
-
-
-def numbered(counts: DataFrame) -> DataFrame:
-    """``counts``, which must be written, with a number of four bytes for every word."""
-    sizes = dict(counts.groupBy(F.spark_partition_id().alias("p")).count().collect())
-    before = np.cumsum([0] + [sizes.get(p, 0) for p in range(max(sizes, default=0) + 1)]).tolist()
-    if before[-1] >= 1 << 31:
-        raise ValueError("more words than numbers of four bytes")
-    at = F.monotonically_increasing_id()
-    rows = counts.withColumn("_at", at)
-    first = F.element_at(F.array(*(F.lit(x).cast("long") for x in before)), (F.shiftright("_at", 33) + 1).cast("int"))
-    return rows.select("word", "n", (first + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))).alias("number"))
+        index, known, n_docs, everything + n_docs, v + (n_docs > 0), total, distinct, symbols
+    )
 
 
 def lookup(vocab: Vocabulary, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
@@ -199,39 +185,59 @@ def log_likelihood(model: Model, symbols: list[np.ndarray]) -> np.ndarray:
     return out
 
 
+def _forward(model: Model, sym: np.ndarray, first: np.ndarray, active: np.ndarray, a: int, b: int, alpha: np.ndarray | None):
+    """(emissions, scaled alphas, scales) of the steps a to b - 1, after the alphas of step a - 1."""
+    lo = int(first[a])
+    e = model.emit[sym[lo : first[b]]]
+    alphas, scales = np.empty_like(e), np.empty(len(e))
+    for t in range(a, b):
+        n = int(active[t])
+        at = slice(first[t] - lo, first[t] - lo + n)
+        alpha = e[at] * model.start if t == 0 else (alpha[:n] @ model.move) * e[at]
+        scale = alpha.sum(1)
+        alpha = alpha / scale[:, None]
+        alphas[at], scales[at] = alpha, scale
+    return e, alphas, scales
+
+
 def expected_counts(model: Model, symbols: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
     """Baum-Welch counts of (starts, moves, emissions) and the log likelihood."""
     k = len(model.start)
     starts, moves = np.zeros(k), np.zeros((k, k))
     emits, total = np.zeros_like(model.emit), 0.0
     lengths = np.array([len(s) for s in symbols])
+    back = np.ascontiguousarray(model.move.T)
     for block in _blocks(lengths):
         sym, first, active = _steps(symbols, block)
-        e = model.emit[sym]
-        alphas, scales = np.empty((len(sym), k)), np.empty(len(sym))
-        alpha = None
-        for t, n in enumerate(active):
-            at = slice(first[t], first[t] + n)
-            alpha = e[at] * model.start if t == 0 else (alpha[:n] @ model.move) * e[at]
-            scale = alpha.sum(1)
-            alpha = alpha / scale[:, None]
-            alphas[at], scales[at] = alpha, scale
-        total += float(np.log(scales).sum())
-        ahead = np.ones((int(active[-1]), k))
-        back = np.ascontiguousarray(model.move.T)
-        for t in range(len(active) - 1, -1, -1):
-            n = int(active[t])
-            if t < len(active) - 1:
-                m = int(active[t + 1])
-                nxt = slice(first[t + 1], first[t + 1] + m)
-                w = ahead * e[nxt] / scales[nxt, None]
-                moves += alphas[first[t] : first[t] + m].T @ w
+        # stretches of steps with a bounded number of symbols; their alphas are computed again on the way back
+        cuts = [0]
+        while cuts[-1] < len(active):
+            cuts.append(max(cuts[-1] + 1, int(np.searchsorted(first, first[cuts[-1]] + STRETCH, "right")) - 1))
+        cuts[-1] = len(active)
+        before, held = [None], None
+        for a, b in zip(cuts, cuts[1:]):
+            held = _forward(model, sym, first, active, a, b, before[-1])
+            n = int(active[b - 1])
+            before.append(held[1][len(held[1]) - n :].copy())
+            total += float(np.log(held[2]).sum())
+        w = None  # of the step after the one at hand
+        for i in range(len(cuts) - 2, -1, -1):
+            a, b = cuts[i], cuts[i + 1]
+            e, alphas, scales = held if i == len(cuts) - 2 else _forward(model, sym, first, active, a, b, before[i])
+            lo = int(first[a])
+            for t in range(b - 1, a - 1, -1):
+                n = int(active[t])
+                at = slice(first[t] - lo, first[t] - lo + n)
                 ahead = np.ones((n, k))
-                ahead[:m] = w @ back
-            alphas[first[t] : first[t] + n] *= ahead  # now the posterior of the states
-        starts += alphas[: int(active[0])].sum(0)
-        for s in range(k):
-            emits[:, s] += np.bincount(sym, alphas[:, s], len(emits))
+                if w is not None:
+                    moves += alphas[at][: len(w)].T @ w
+                    ahead[: len(w)] = w @ back
+                w = ahead * e[at] / scales[at, None]
+                alphas[at] *= ahead  # now the posterior of the states
+            if a == 0:
+                starts += alphas[: int(active[0])].sum(0)
+            for x in range(k):
+                emits[:, x] += np.bincount(sym[lo : first[b]], alphas[:, x], len(emits))
     return starts, moves * model.move, emits, total
 
 
@@ -241,66 +247,45 @@ def _sequences(vocab: Vocabulary, column: pa.Array) -> Iterator[list[tuple[np.nd
         yield [lookup(vocab, words_of(data[a:b].tobytes())) for a, b in zip(offsets[lo:hi], offsets[lo + 1 : hi + 1])]
 
 
-def unigram(vocab: Vocabulary) -> tuple[np.ndarray, float]:
-    """(probability of each held symbol, what a tail's count plus one is divided by), from all training rows."""
-    prior = np.ones(vocab.size)
+def initial(vocab: Vocabulary, seeds: list[np.ndarray], states: int, seed: int = 7) -> Model:
+    """First model: a mixture fitted to a bounded sample of documents parts their words among the states."""
+    rng = np.random.default_rng(seed)
+    size = vocab.size
+    prior = np.ones(size)
     prior[: vocab.symbols] += vocab.counts[: vocab.symbols]
     prior[vocab.symbols : -1] += vocab.class_total
     prior[-1] += vocab.ends
-    norm = float(prior.sum()) + vocab.tail_total + vocab.tails
-    return prior / norm, norm
-
-
-def columns_of(vocab: Vocabulary, few: int, s: np.ndarray) -> np.ndarray:
-    """Columns of the mixture for symbols without the end; -1 for words it does not look at."""
-    classed = (s >= vocab.symbols) & (s < vocab.symbols + CLASSES)
-    return np.where((s >= 0) & (s < few), s, np.where(classed, s - vocab.symbols + few, -1))
-
-
-def mixture(vocab: Vocabulary, seeds: list[np.ndarray], states: int, seed: int = 7) -> tuple[np.ndarray, np.ndarray, int]:
-    """(log parts x columns, log shares, words looked at) of a mixture fitted to a bounded sample of documents."""
-    rng = np.random.default_rng(seed)
+    prior /= prior.sum()
     few = min(3_000, vocab.symbols)  # words that tell documents apart
     bags = np.zeros((len(seeds), few + CLASSES), np.float32)
-    looked = sorted((columns_of(vocab, few, s[:-1]) for s in seeds), key=lambda c: (len(c), c.tobytes()))
-    for r, cols in enumerate(looked):
+    for r, s in enumerate(seeds):
+        s = s[:-1]
+        cols = np.where(s < few, s, np.where(s >= vocab.symbols, s - vocab.symbols + few, -1))
         np.add.at(bags[r], cols[cols >= 0], 1)
     share = rng.dirichlet(np.ones(states) * 0.3, len(seeds))
     mean = bags.sum(0) + 0.1
     mean /= mean.sum()
-    logs, part = np.tile(np.log(mean), (states, 1)), np.zeros(states)
     for _ in range(25 if len(seeds) else 0):
         mass = share.T @ bags + 20 * mean
-        logs, part = np.log(mass / mass.sum(1, keepdims=True)), np.log(share.mean(0) + 1e-3)
-        share = _shares(bags @ logs.T + part)
-    return logs, part, few
-
-
-def _shares(z: np.ndarray) -> np.ndarray:
-    share = np.exp(z - z.max(1, keepdims=True))
-    return share / share.sum(1, keepdims=True)
-
-
-def mixed_counts(vocab: Vocabulary, mixed, size: int, symbols: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """(starts, emissions) when each document's words are parted by its shares of the mixture."""
-    logs, part, few = mixed
-    states = len(part)
-    doc = np.repeat(np.arange(len(symbols)), [len(s) for s in symbols])
-    sym = np.concatenate(symbols)
-    cols = np.where(sym == vocab.size - 1, -1, columns_of(vocab, few, sym))
-    at = cols >= 0
-    z = np.stack([np.bincount(doc[at], logs[k, cols[at]], len(symbols)) for k in range(states)], 1)
-    share = _shares(z + part)
-    return share.sum(0), np.stack([np.bincount(sym, share[doc, k], size) for k in range(states)], 1)
+        logs = np.log(mass / mass.sum(1, keepdims=True))
+        z = bags @ logs.T + np.log(share.mean(0) + 1e-3)
+        z -= z.max(1, keepdims=True)
+        share = np.exp(z)
+        share /= share.sum(1, keepdims=True)
+    emit = np.tile(prior[:, None] * 2e4, (1, states))
+    for r, s in enumerate(seeds):
+        np.add.at(emit, s, share[r])
+    move = np.full((states, states), 0.02 / states) + 0.98 * np.eye(states)
+    start = share.mean(0) + 0.01 if len(seeds) else np.ones(states)
+    return Model(start / start.sum(), move, emit / emit.sum(0))
 
 
 def encoded(docs: DataFrame, vocab, text: str, doc_id: str) -> DataFrame:
     """What the model and the unigram base need of every row, in one pass over the texts.
 
     (_row, _id, _train, n_tokens, _known, _base, _within, _tail, _times, _symbols):
-    symbols of four bytes each; _within is the part of the score that words have
+    symbols of two bytes each; _within is the part of the score that words have
     within their classes; _tail the words without a count at hand, once each.
-    While there are tails, the j-th of these words is the symbol -1 - j.
     """
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -313,16 +298,13 @@ def encoded(docs: DataFrame, vocab, text: str, doc_id: str) -> DataFrame:
                 out = ([], [], [], [], [], [], [])
                 for sym, at, rest in group:
                     some = at[at >= 0]
-                    found = Counter(rest)
-                    if v.tails:
-                        place = {w: -1 - j for j, w in enumerate(found)}
-                        sym[:-1][at < 0] = [place[w] for w in rest]
                     classed = sym[:-1][sym[:-1] >= v.symbols] - v.symbols
+                    found = Counter(rest)
                     for o, x in zip(out, (
                         len(sym), len(some) + (v.ends > 0),
                         log_count[some].sum() + np.log10(v.ends + 1.0) - len(sym) * v.base_denominator(),
                         log_count[some[some >= v.symbols]].sum() - within[classed].sum(),
-                        list(found), list(found.values()), sym.astype(np.int32).tobytes(),
+                        list(found), list(found.values()), sym.astype(np.uint16).tobytes(),
                     )):
                         o.append(x)
                 n = len(group)
@@ -347,7 +329,7 @@ def _symbols(column: pa.Array) -> Iterator[list[np.ndarray]]:
     """Symbol sequences in groups of bounded size."""
     group, size = [], 0
     for x in column:
-        s = np.frombuffer(x.as_py(), np.int32).astype(np.int64)
+        s = np.frombuffer(x.as_py(), np.uint16).astype(np.int64)
         group.append(s)
         size += len(s)
         if size > 600_000:
@@ -357,142 +339,55 @@ def _symbols(column: pa.Array) -> Iterator[list[np.ndarray]]:
         yield group
 
 
-def bucketed(rows: DataFrame, buckets: int) -> DataFrame:
-    return rows.withColumn("_bucket", F.pmod(F.xxhash64("_row"), F.lit(buckets)))
-
-
-def settled(rows: DataFrame, met: DataFrame, vocab: Vocabulary, buckets: int) -> DataFrame:
-    """(_bucket, _row, _id, _train, _symbols) with the symbols of the words that were looked up."""
-    symbol = F.when(F.col("number").isNotNull(), F.col("number") + vocab.size).otherwise(F.col("_class") + vocab.symbols)
-
-    def settle(a: pa.Table, b: pa.Table) -> pa.Table:
-        row, j, known = (np.asarray(b.column(c), np.int64) for c in ("_row", "_j", "symbol"))
-        order = np.lexsort((j, row))
-        row, known = row[order], known[order]
-        out = []
-        for first, x in zip(np.searchsorted(row, np.asarray(a.column("_row"), np.int64)), a.column("_symbols")):
-            s = np.frombuffer(x.as_py(), np.int32).astype(np.int64)
-            open_ = s < 0
-            s[open_] = known[first - 1 - s[open_]]
-            out.append(s.astype(np.int32).tobytes())
-        return a.set_column(a.schema.get_field_index("_symbols"), "_symbols", pa.array(out, pa.binary()))
-
-    left = bucketed(rows, buckets).select("_bucket", "_row", "_id", "_train", "_symbols")
-    right = bucketed(met, buckets).select("_bucket", "_row", "_j", symbol.cast("long").alias("symbol"))
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in left.schema.fields)
-    got = left.groupBy("_bucket").cogroup(right.groupBy("_bucket")).applyInArrow(settle, schema)
-    return cut(got.repartition(buckets, "_bucket"))
-
-
-def per_bucket(rows: DataFrame, names: list[str], size: int, parts: DataFrame | None, work, schema: str) -> DataFrame:
-    """``work(columns of rows, groups of sequences, numbers, emissions)`` over rows with the tails they need.
-
-    ``parts`` has (_bucket, number, emissions) of the tails in each bucket, or
-    is None without tails.  Within a bucket tails have symbols from ``size`` on.
-    """
-    if parts is None:
-        none = np.zeros(0, np.int64)
-
-        def alone(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                yield from work(batch, _symbols(batch.column("_symbols")), none, None).to_batches()
-
-        return rows.select(*names).mapInArrow(alone, schema)
-
-    def meet(a: pa.Table, b: pa.Table) -> pa.Table:
-        numbers = np.asarray(b.column("number"), np.int64)
-        order = np.argsort(numbers)
-        numbers = numbers[order]
-        cols = [c for c in b.column_names if c.startswith("e")]
-        emit = np.stack([np.asarray(b.column(c), float) for c in cols], 1)[order] if cols else None
-
-        def groups() -> Iterator[list[np.ndarray]]:
-            for group in _symbols(a.column("_symbols")):
-                for s in group:
-                    far = s >= size
-                    s[far] = size + np.searchsorted(numbers, s[far] - size)
-                yield group
-
-        return work(a, groups(), numbers, emit)
-
-    held = rows.select("_bucket", *names)
-    return held.groupBy("_bucket").cogroup(parts.groupBy("_bucket")).applyInArrow(meet, schema)
-
-
-def extended(model: Model, emit: np.ndarray | None) -> Model:
-    return model if emit is None or not len(emit) else Model(model.start, model.move, np.concatenate([model.emit, emit]))
-
-
 def train(
-    rows: DataFrame, vocab: Vocabulary, needed: DataFrame | None = None, states: int = STATES, iterations: int = 3, seed_docs: int = SEED_DOCS
-) -> tuple[Model, DataFrame | None]:
-    """Baum-Welch over the symbols of all training rows: the model, and (number, e0, ...) of the tails.
-
-    Only the mixture that parts words at the start comes from a bounded sample
-    (``seed_docs`` rows with the smallest hash of their id); its counts, like
-    those of every iteration, are of all rows.  Tasks emit their expected counts
-    by symbol and Spark adds them up.  ``needed`` has (_bucket, number): tails
-    are a table that is joined to the buckets that have them.
+    rows: DataFrame, vocab: Vocabulary, states: int = STATES, iterations: int = 3, seed_docs: int = SEED_DOCS
+) -> Model:
+    """Baum-Welch over the symbols of all training rows.
+
+    Only the starting point comes from a bounded sample (``seed_docs`` rows
+    with the smallest hash of their id).  Every iteration reads all rows;
+    tasks emit their expected counts by symbol and Spark adds them up.
     """
     spark = rows.sparkSession
-    taught = rows.where("_train")
-    sample = taught.orderBy(F.xxhash64("_id"), "_id").limit(seed_docs).select("_symbols").toArrow()
-    seeds = [np.frombuffer(x.as_py(), np.int32).astype(np.int64) for x in sample.column(0)]
-    mixed, size = mixture(vocab, seeds, states), vocab.size
+    taught = rows.where("_train").select("_row", "_id", "_symbols")
+    # the rows are chosen by their ids alone; then their symbols are fetched
+    chosen = taught.select("_row", F.xxhash64("_id").alias("_h"), "_id").orderBy("_h", "_id", "_row").limit(seed_docs).select("_row")
+    sample = taught.join(F.broadcast(chosen), "_row", "left_semi").select("_symbols").toArrow()
+    seeds = [np.frombuffer(x.as_py(), np.uint16).astype(np.int64) for x in sample.column(0)]
+    seeds.sort(key=lambda s: (len(s), s.tobytes()))
+    model = initial(vocab, seeds, states)
     names = [f"s{i}" for i in range(states)]
     schema = "symbol long, " + ", ".join(f"{n} double" for n in names)
-    prior, norm = unigram(vocab)
-    smooth = 0.5 * (vocab.symbols + vocab.tails) + 50
-    model, tails, bound = None, None, spark.sparkContext.broadcast(vocab)
-    for _ in range(iterations + 1):  # the first time words are parted by the mixture
+    prior, smooth = model.emit.mean(1), 0.5 * vocab.symbols + 50
+    for _ in range(iterations):
         now = spark.sparkContext.broadcast(model)
 
-        def work(_, groups, numbers, emit, now=now) -> pa.Table:
-            n = size + len(numbers)
-            m = extended(now.value, emit) if now.value else None
-            starts, moves, emits = np.zeros(states), np.zeros((states, states)), np.zeros((n, states))
-            for group in groups:
-                if m is None:
-                    a, c = mixed_counts(bound.value, mixed, n, group)
-                else:
+        def work(batches: Iterator[pa.RecordBatch], now=now) -> Iterator[pa.RecordBatch]:
+            m = now.value
+            starts, moves, emits = np.zeros(states), np.zeros((states, states)), np.zeros_like(m.emit)
+            any_rows = False
+            for batch in batches:
+                for group in _symbols(batch.column(0)):
                     a, b, c, _ = expected_counts(m, group)
-                    moves += b
-                starts += a
-                emits += c
-            at = np.flatnonzero(emits.any(1))
-            symbol = at.copy()
-            symbol[at >= size] = size + numbers[at[at >= size] - size]
-            symbol = np.concatenate([symbol, -2 - np.arange(states), [-1]])
-            values = np.concatenate([emits[at], moves, starts[None]])
-            return pa.table([pa.array(symbol), *(pa.array(values[:, i]) for i in range(states))], ["symbol", *names])
-
-        parts = needed if tails is None else needed.join(tails, "number")
-        summed = per_bucket(taught, ["_symbols"], size, parts, work, schema).groupBy("symbol").agg(*(F.sum(n).alias(n) for n in names))
-        if needed is not None:
-            summed = cut(summed)
+                    starts, moves, emits, any_rows = starts + a, moves + b, emits + c, True
+            if any_rows:
+                rows = np.flatnonzero(emits.any(1))
+                symbol = np.concatenate([rows, -2 - np.arange(states), [-1]])
+                values = np.concatenate([emits[rows], moves, starts[None]])
+                yield pa.RecordBatch.from_arrays([pa.array(symbol), *(pa.array(values[:, i]) for i in range(states))], ["symbol", *names])
+
+        summed = taught.select("_symbols").mapInArrow(work, schema).groupBy("symbol").agg(*(F.sum(n).alias(n) for n in names))
         # emissions are smoothed towards the prior by as much as there are symbols seen
         emit, move, start = prior[:, None] * smooth + np.zeros(states), np.eye(states) * 0.5 + 0.05, np.full(states, 0.1)
-        if model is None:
-            move = np.full((states, states), 0.02 / states) + 0.98 * np.eye(states)
-        got = summed.where(F.col("symbol") < size).toArrow()  # one row for each held symbol
+        got = summed.toArrow()  # one row for each symbol: bounded by the vocabulary
         at = np.asarray(got.column(0), np.int64)
         values = np.stack([np.asarray(got.column(1 + i), float) for i in range(states)], 1)
         emit[at[at >= 0]] += values[at >= 0]
         start += values[at == -1].sum(0)
         move[-2 - at[at < -1]] += values[at < -1]
-        whole = emit.sum(0)
-        if needed is not None:
-            far = summed.where(F.col("symbol") >= size)
-            whole = whole + np.array(far.agg(*(F.coalesce(F.sum(n), F.lit(0.0)) for n in names)).first(), float)
-            whole += smooth * (vocab.tail_total + vocab.tails) / norm
-            base = (F.round(sum((F.col(n) for n in names), F.lit(0.0))) + 1) * (smooth / norm)
-            tails = far.select(
-                (F.col("symbol") - size).alias("number"),
-                *(((F.col(n) + base) / float(w)).cast("float").alias(f"e{i}") for i, (n, w) in enumerate(zip(names, whole))),
-            )
-        model = Model(start / start.sum(), move / move.sum(1, keepdims=True), emit / whole)
+        model = Model(start / start.sum(), move / move.sum(1, keepdims=True), emit / emit.sum(0))
         now.unpersist()
-    return model, tails
+    return model
 
 
 def score(
@@ -504,14 +399,17 @@ def score(
     ``training`` says which rows the model learns from.  Tokens are words with
     A-Z lower-cased and one end; a null text has the end alone.  base_score is
     the add-one unigram log10 probability and score the hidden Markov model's.
-    The model emits words with LEAST or more occurrences, the end, or a class of
-    all other words by their ending; ``symbols`` is how many emissions tasks
-    hold, the others are joined by word; within a class a word has its add-one
+    The model emits one of ``symbols`` frequent words, the end, or a class of
+    all other words by their ending; within a class a word has its add-one
     share of the class, unknown words together one part.  Emissions and moves
     are never zero, so every text has a finite score.  Null ids stay null;
     repeated rows are scored each; with no training rows all words are
     unknown.
 
+    A text is held in full by one task, with two bytes a word; what training
+    holds besides is bounded, however long the text.  Columns of ``docs`` other
+    than these two are not looked at.  An empty table gives an empty result.
+
     Counts cover all training rows.  Words outside the ``head`` most frequent
     ones are looked up by a shuffle on the word, each word of a document once.
     """
@@ -524,41 +422,25 @@ def score(
     counts = cut(count_words(taught, "_text"))
     vocab = vocabulary(counts, taught.count(), head, symbols)
     rows = encoded(rows, spark.sparkContext.broadcast(vocab), "_text", "_id")
-    pairs = rows.select("_row", F.posexplode(F.arrays_zip("_tail", "_times")).alias("_j", "x")).select(
-        "_row", "_j", F.col("x._tail").alias("word"), F.col("x._times").alias("times")
+    held = spark.sparkContext.broadcast(train(rows, vocab, states, iterations))
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ll = [np.zeros(0)] + [log_likelihood(held.value, group) / LOG10 for group in _symbols(batch.column("_symbols"))]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("_row"), pa.array(np.concatenate(ll))], ["_row", "_ll"]
+            )
+
+    likely = rows.select("_row", "_symbols").mapInArrow(work, "_row long, _ll double")
+    pairs = rows.select("_row", F.explode(F.arrays_zip("_tail", "_times")).alias("x")).select(
+        "_row", F.col("x._tail").alias("word"), F.col("x._times").alias("times")
     )
-    used, needed = rows, None
-    classed = F.lit(0.0)  # what words looked up have within their classes, unless _within has it
-    if vocab.tails:
-        number = F.when(F.col("n") >= LEAST, F.col("number"))
-        met = cut(pairs.join(numbered(counts), "word", "left").select(
-            "_row", "_j", "times", "n", number.alias("number"), class_column(F.col("word")).alias("_class")
-        ))
-        buckets = 1 + vocab.total // BUCKET_TOKENS
-        used = settled(rows, met, vocab, buckets)
-        needed = cut(bucketed(met.where("number is not null"), buckets).select("_bucket", "number").distinct())
-        within = F.array(*(F.lit(float(x)) for x in np.log10(vocab.class_total + vocab.class_distinct + 1.0)))
-        classed = F.when(F.col("number").isNull(), F.element_at(within, F.col("_class") + 1)).otherwise(0.0)
-    else:
-        met = pairs.join(counts, "word")
-    model, tails = train(used, vocab, needed, states, iterations)
-    held = spark.sparkContext.broadcast(model)
-
-    def work(part, groups, _, emit) -> pa.Table:
-        m = extended(held.value, emit)
-        ll = [np.zeros(0)] + [log_likelihood(m, group) / LOG10 for group in groups]
-        return pa.table([part.column("_row"), pa.array(np.concatenate(ll))], ["_row", "_ll"])
-
-    parts = None if needed is None else needed.join(tails, "number")
-    likely = per_bucket(used, ["_row", "_symbols"], vocab.size, parts, work, "_row long, _ll double")
-    log = F.when(F.col("n").isNotNull(), F.log10(F.col("n") + 1)).otherwise(0.0)
-    own = F.when(F.col("number").isNull(), log).otherwise(0.0) if vocab.tails else log
-    found = met.groupBy("_row").agg(
-        F.sum(F.when(F.col("n").isNotNull(), F.col("times")).otherwise(0)).alias("_more"),
-        F.sum(F.col("times") * log).alias("_add"),
-        F.sum(F.col("times") * (own - classed)).alias("_inner"),
+    found = (
+        pairs.join(counts, "word")
+        .groupBy("_row")
+        .agg(F.sum("times").alias("_more"), F.sum(F.col("times") * F.log10(F.col("n") + 1)).alias("_add"))
     )
-    more, add, inner = F.coalesce("_more", F.lit(0)), F.coalesce("_add", F.lit(0.0)), F.coalesce("_inner", F.lit(0.0))
+    more, add = F.coalesce("_more", F.lit(0)), F.coalesce("_add", F.lit(0.0))
     narrow = rows.select("_row", "_id", "n_tokens", "_known", "_base", "_within")
     return narrow.join(likely, "_row").join(found, "_row", "left").select(
         F.col("_id").alias(doc_id),
@@ -566,5 +448,5 @@ def score(
         (F.col("_known") + more).cast("long").alias("n_known"),
         F.lit(vocab.total).cast("long").alias("train_tokens"),
         (F.col("_base") + add).alias("base_score"),
-        (F.col("_ll") + F.col("_within") + inner).alias("score"),
+        (F.col("_ll") + F.col("_within") + add).alias("score"),
     )
