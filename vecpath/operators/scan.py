@@ -97,9 +97,7 @@ def block_scores(x: np.ndarray, q: np.ndarray, metric: Metric, strategy: str) ->
 
 def _pick(scores: np.ndarray, ids: np.ndarray, metric: Metric, bound: float | None, k: int | None):
     """(row, query) positions that meet the bound and are among the k best of the block."""
-    good = ~np.isnan(scores)
-    if bound is not None:
-        good &= metric.within(scores, bound)
+    good = ~np.isnan(scores) if bound is None else metric.within(scores, bound)  # NaN is within no bound
     if k is None:
         return np.nonzero(good)
     rows, cols = [], []
