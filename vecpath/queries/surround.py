@@ -6,9 +6,9 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions.aggregates import centroid_positions
-from ..functions.sql import register
+from ..functions.sql import cosine_to, register, vec_mean
 from ..operators.scan import scan, select_bound
-from .registry import CARRIER_EVENTS, MIX, U6, query, sql_bound, sql_cos, sql_queries, u6
+from .registry import CARRIER_EVENTS, MIX, ORACLES, U6, query, sql_bound, sql_cos, sql_queries, u6
 from .scans import ONE, block, first_vector
 
 
@@ -222,3 +222,17 @@ def _oracle_of_udtf() -> None:
 
 
 _oracle_of_udtf()
+
+
+@query("udf_cosine", f"SELECT vec_id, {U6.format(sql_cos('embedding', ONE))} AS score_u6 FROM embeddings")
+def _(c):
+    """The cosine as a vectorised function over Arrow batches."""
+    score = cosine_to(first_vector(c))
+    return c.embeddings.select("vec_id", u6(score("embedding")))
+
+
+@query("udaf_centroids", ORACLES["centroids_by_label"])
+def _(c):
+    """The same centroids by a grouped vectorised aggregate."""
+    means = c.embeddings.groupBy("label").agg(vec_mean("embedding").alias("m"))
+    return means.select("label", F.posexplode("m").alias("pos", "mean")).select("label", "pos", u6("mean").alias("mean_u6"))
