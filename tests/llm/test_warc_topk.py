@@ -5,6 +5,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from vecpath.llm import topk, warc
 
@@ -97,6 +98,10 @@ def test_pages_round_trip(spark):
         assert (r.payload_bytes, r.payload_digest) == (len(b), hashlib.sha256(b).hexdigest())
         assert (r.record_type, r.refers_to) == (("revisit", f) if revisit else ("response", None))
     assert records.where("kind = 'gap'").count() == 0
+    assert warc.page_records(records, strict=True).count() == len(rows)
+    lost = records.limit(3).withColumns({"kind": F.lit("gap"), "gap_end": F.lit(9).cast("long"), "gap_reason": F.lit("torn")})
+    with pytest.raises(Exception, match="to 9 of .*torn"):
+        warc.page_records(lost, strict=True).collect()
     assert warc.page_records(warc.read_archives(spark.createDataFrame([("none.warc.gz",)], "path string"), folder)).count() == 0
     empty = warc.write_pages(spark.createDataFrame([], "page_id long, url string, html string"), warc.new_folder(spark, "warc"))
     assert empty.count() == 0

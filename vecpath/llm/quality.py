@@ -207,8 +207,9 @@ def train(
     """Fit the model on the labelled rows of ``docs``.
 
     At most ``max_labelled`` labels are used, those with the smallest hash of
-    their id; this bounds what the driver gathers.  Rows with a null id or
-    label teach nothing; repeated rows count each.
+    their id, and of rows with these ids at most twice as many, those with the
+    smallest hash of their features; this bounds what the driver gathers.
+    Rows with a null id or label teach nothing; repeated rows count each.
     """
     chosen = (
         labels.where(F.col(doc_id).isNotNull() & F.col(label).isNotNull())
@@ -226,7 +227,8 @@ def train(
             ends = np.arange(0, len(flat_x) + 1, len(FEATURES) + 1, dtype=np.int32)
             yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(ends), flat_x)], ["v"])
 
-    got = np.array([r[0] for r in rows.mapInArrow(work, "v array<double>").collect()], float).reshape(-1, len(FEATURES) + 1)
+    made = rows.mapInArrow(work, "v array<double>").orderBy(F.xxhash64("v"), "v").limit(2 * max_labelled)
+    got = np.array([r[0] for r in made.collect()], float).reshape(-1, len(FEATURES) + 1)
     got = got[np.lexsort(got.T)]
     return fit(got[:, :-1], got[:, -1])
 

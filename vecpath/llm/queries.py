@@ -62,7 +62,7 @@ def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = warc.new_folder(spark, "warc")
     written = warc.write_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"), folder)
-    return warc.page_records(warc.read_archives(written, folder))
+    return warc.page_records(warc.read_archives(written, folder), strict=True)
 
 
 def op7_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:

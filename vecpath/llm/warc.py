@@ -371,11 +371,20 @@ def new_folder(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def page_records(records: DataFrame) -> DataFrame:
-    """The pages' own columns from ``read_archives`` of archives by ``write_pages``."""
+def page_records(records: DataFrame, strict: bool = False) -> DataFrame:
+    """The pages' own columns from ``read_archives`` of archives by ``write_pages``.
+
+    With ``strict`` a gap in an archive is an error that names its bytes;
+    otherwise its pages are missing here, and told of by the gap's row alone.
+    """
     number = lambda c: F.regexp_extract(c, r"<urn:page:(-?\d+)>", 1).try_cast("long")
-    return records.where("kind in ('response', 'revisit')").select(
-        number("record_id").alias("page_id"),
+    page_id = number("record_id")
+    if strict:
+        lost = F.format_string("bytes %d to %d of %s: %s", "offset", "gap_end", "path", "gap_reason")
+        page_id = F.when(F.col("kind") == "gap", F.raise_error(lost).cast("long")).otherwise(page_id)
+    kinds = ["response", "revisit"] + ["gap"] * strict
+    return records.where(F.col("kind").isin(kinds)).select(
+        page_id.alias("page_id"),
         F.col("payload_length").alias("payload_bytes"),
         F.col("digest").alias("payload_digest"),
         F.col("kind").alias("record_type"),
