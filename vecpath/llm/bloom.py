@@ -32,12 +32,22 @@ def _block(h: Column, blocks: int) -> Column:
     return F.shiftrightunsigned(h, 3 * BLOCK).bitwiseAND(F.lit(blocks - 1))
 
 
+WORD = 5  # bitmaps are looked up as words of 2**5 bits
+
+
+def _words(bitmap: Column) -> Column:
+    """The bitmap as an array of words, the first byte highest."""
+    at = F.sequence(F.lit(0), F.lit((1 << (BLOCK - WORD)) - 1))
+    word = lambda i: F.conv(F.hex(F.substring(bitmap, i * 4 + 1, F.lit(4))), 16, 10).cast("long")
+    return F.transform(at, word)
+
+
 def _packed(bits: DataFrame, blocks: int) -> DataFrame:
     """One row: the bitmaps of all blocks, in order."""
-    maps = bits.groupBy("block").agg(F.bitmap_construct_agg("bit").alias("map"))
+    maps = bits.groupBy("block").agg(F.bitmap_construct_agg("bit").alias("map")).select("block", _words(F.col("map")).alias("map"))
     every = bits.sparkSession.range(blocks).select(F.col("id").alias("block"))
     full = every.join(maps, "block", "left").select(
-        F.struct("block", F.coalesce("map", F.lit(b"")).alias("map")).alias("x")
+        F.struct("block", "map").alias("x")
     )
     return full.agg(F.transform(F.array_sort(F.collect_list("x")), lambda x: x["map"]).alias("maps"))
 
@@ -65,10 +75,11 @@ def present_bits(df: DataFrame, h: str, blocks: int) -> DataFrame:
 
 def may_hold(maps: Column, h: Column, blocks: int) -> Column:
     """Second pass: true unless the filter rules the hash out."""
-    mine = F.element_at(maps, (_block(h, blocks) + 1).cast("int"))
+    mine = F.get(maps, _block(h, blocks).cast("int"))
     found = F.lit(True)
     for bit in _bits(h):
-        byte = F.conv(F.hex(F.substring(mine, F.shiftright(bit, 3).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-        one = F.call_function("shiftright", F.coalesce(byte, F.lit(0)), bit.bitwiseAND(F.lit(7)).cast("int"))
+        word = F.get(mine, F.shiftright(bit, WORD).cast("int"))
+        place = F.lit(24) - bit.bitwiseAND(F.lit(24)) + bit.bitwiseAND(F.lit(7))  # in its byte, and that in the word
+        one = F.call_function("shiftright", F.coalesce(word, F.lit(0)), place.cast("int"))
         found = found & (one.bitwiseAND(F.lit(1)) == 1)
     return found

@@ -32,6 +32,11 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def settled(value: Column) -> Column:
+    """The same value, worked out once: no filter above it works it out again for each of its parts."""
+    return F.explode(F.array(value))
+
+
 def text_or_empty(name: str) -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 

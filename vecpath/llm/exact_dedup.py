@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bloom import blocks_for, may_hold, repeated_bits
-from .common import ascii_lower, cut, text_or_empty
+from .common import ascii_lower, cut, settled, text_or_empty
 
 HEAVY_GROUPS = 10_000
 
@@ -37,7 +37,7 @@ def mark_copies(
     than one in ``HEAVY_GROUPS`` of all rows), so they are broadcast, and
     their rows never meet in one task.
     """
-    src = df.withColumn("__vp_h", F.xxhash64(F.coalesce(F.col(key), F.lit("")), F.col(key).isNull()))
+    src = df.withColumn("__vp_h", settled(F.xxhash64(F.coalesce(F.col(key), F.lit("")), F.col(key).isNull())))
     rows = df.count()
     blocks = blocks_for(rows, max_filter_bytes)
     best = F.max if largest else F.min
@@ -90,4 +90,4 @@ def exact_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") ->
     replaced.  See ``mark_copies`` for ties, repeated rows and empty tables.
     """
     clash = [c for c in docs.columns if c.lower() in {"keep_id", "group_size", "kept", "text_sha256"}]
-    return mark_copies(docs.drop(*clash).withColumn("text_sha256", digest(text)), "text_sha256", doc_id)
+    return mark_copies(docs.drop(*clash).withColumn("text_sha256", settled(digest(text))), "text_sha256", doc_id)
