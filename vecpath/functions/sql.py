@@ -8,6 +8,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructType
 
 from ..operators.scan import densify
 
@@ -34,7 +35,7 @@ _FUNCTIONS = {
 }
 
 
-@F.arrow_udtf(returnType="query_id long, vec_id long, score double")
+@F.arrow_udtf(returnType=StructType().add("query_id", LongType()).add("vec_id", LongType()).add("score", DoubleType()))
 class VectorTopK:
     """``SELECT * FROM vec_topk(TABLE(v) PARTITION BY p, q, k)``: k best rows by cosine for one query.
 
@@ -69,7 +70,7 @@ def cosine_to(query) -> Callable[[Column], Column]:
     q = np.asarray(query, float)
     q = q / np.sqrt(q @ q)
 
-    @F.arrow_udf("double")
+    @F.arrow_udf(DoubleType())
     def score(v: pa.Array) -> pa.Array:
         at, x = densify(v, len(q))
         norm = np.sqrt(np.einsum("ij,ij->i", x, x))
@@ -80,7 +81,7 @@ def cosine_to(query) -> Callable[[Column], Column]:
     return score
 
 
-@F.arrow_udf("array<double>")
+@F.arrow_udf(ArrayType(DoubleType()))
 def vec_mean(v: pa.Array) -> pa.Scalar:
     """Aggregate: mean of a group's vectors; those of another length than the group's first are left out.
 

@@ -63,6 +63,7 @@ def queries_of(c):
 
 
 @query("stream_answers", SQL_MATCHES)
+@query("stream_answers_all", SQL_MATCHES)
 def _(c):
     """All pending requests answered batch by batch; the rows do not depend on the batches."""
     found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), bound=0.3)
