@@ -138,3 +138,17 @@ def test_late_rows_are_counted(spark, tmp_path):
 
 def test_kernel_of_a_batch_follows_the_planner():
     assert strategy_for(1, 64) == "block_rows" and strategy_for(100, 64) == "tensor" and strategy_for(10_000, 1024) == "tensor"
+
+
+def test_search_takes_query_tables_of_any_size(spark, monkeypatch):
+    from vecpath import api
+
+    rows = spark.createDataFrame(threes(40), VECTORS).withColumn("price", F.col("vec_id") * 10)
+    asked = rows.where("vec_id < 7").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
+    cond = F.col("price") < 300
+    key = lambda df: sorted((r.query_id, r["rank"], r.vec_id, round(r.score, 9)) for r in df.collect())
+    small, near = key(api.search(rows, asked, 4, cond=cond)), api.search(rows, asked, bound=0.5, cond=cond).count()
+    assert len(small) == 28
+    monkeypatch.setattr(api, "QUERY_BYTES", 100)
+    assert key(api.search(rows, asked, 4, cond=cond)) == small
+    assert api.search(rows, asked, bound=0.5, cond=cond).count() == near

@@ -8,30 +8,39 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .operators.graph import GraphIndex, graph_search, shard_of
-from .operators.scan import QueryBlock, best, scan
-from .plans.planner import CostModel, Decision, IndexInfo, Workload, choose_path, choose_per_shard, selectivity
+from .operators.joins import vector_range_join, vector_topk_join
+from .operators.scan import QUERY_BYTES, QueryBlock, best, collect_queries, query_bytes, scan
+from .plans.planner import CostModel, Decision, IndexInfo, Workload, choose_path, choose_per_shard, counted
 
 
 def plan(
     df: DataFrame, queries: QueryBlock, k: int | None, cond: Column | None, metric: str, index: GraphIndex | None,
     min_recall: float, hint: str | None, model: CostModel | None = None,
 ) -> Decision:
-    n = df.count()
-    w = Workload(n, max(1, queries.dim if len(queries) else 1), max(1, len(queries)), k=k, metric=metric, min_recall=min_recall)
-    if cond is not None:
-        w = replace(w, selectivity=selectivity(df, cond))
+    n, share = counted(df, cond)
+    w = Workload(n, max(1, queries.dim if len(queries) else 1), max(1, len(queries)), share, k=k, metric=metric, min_recall=min_recall)
     return choose_path(w, IndexInfo(index.metric if index else None), model, hint)
 
 
 def search(
-    df: DataFrame, queries: QueryBlock, k: int | None = 10, bound: float | None = None, cond: Column | None = None,
+    df: DataFrame, queries: QueryBlock | DataFrame, k: int | None = 10, bound: float | None = None, cond: Column | None = None,
     metric: str = "cosine", index: GraphIndex | None = None, row_id: str = "vec_id", vector: str = "embedding",
     ef: int = 64, min_recall: float = 0.9, hint: str | None = None, model: CostModel | None = None,
 ) -> DataFrame:
     """(query_id, <row_id>, score[, rank]) by the path that is cheapest for this predicate, batch and dimension.
 
-    ``hint`` forces "scan", "matrix" or "graph".
+    ``queries`` is a gathered batch, or a table (query_id, qvec) of any size:
+    one that is too large to gather is joined in blocks.  ``hint`` forces
+    "scan", "matrix" or "graph".
     """
+    if isinstance(queries, DataFrame):
+        if query_bytes(queries) > QUERY_BYTES:
+            asked = queries.select("query_id", F.col("qvec").alias(vector))
+            meet = vector_topk_join if bound is None else vector_range_join
+            found = meet(asked, df, k if bound is None else bound, metric, "query_id", row_id, vector, None, cond)
+            found = found.withColumnsRenamed({"l_id": "query_id", "r_id": row_id})
+            return found if bound is None or k is None else best(found, k, metric, row_id)
+        queries = collect_queries(queries)
     chosen = plan(df, queries, k if bound is None else None, cond, metric, index, min_recall, hint, model)
     if chosen.path == "graph":
         qualifying = None if cond is None else df.where(cond).select(row_id)

@@ -259,7 +259,7 @@ SHARD_ROWS = 100_000
 
 def graph_build(
     df: DataFrame, row_id: str = "vec_id", vector: str = "embedding", metric: str = "ip", m: int = 16, ef_build: int = 64,
-    shards: int | None = 4, seed: int = 42, dim: int | None = None, path: str | None = None,
+    shards: int | None = None, seed: int = 42, dim: int | None = None, path: str | None = None,
 ) -> GraphIndex:
     """Build one graph per shard: one shuffle by shard, then local work.
 
