@@ -49,7 +49,9 @@ def test_graph_takes_the_common_length_and_counts_the_rest(spark, tmp_path):
     assert g.nodes().count() == 16
     q = QueryBlock(np.arange(3), np.array([v for _, v in threes(3)]))
     ok = df.where("vec_id % 2 = 0").select("vec_id")
-    found = [sorted(map(tuple, graph_search(g, q, 3, 50, ok, callback=c).collect())) for c in CALLBACKS]
+    found = [
+        sorted((r.query_id, r["rank"], r.vec_id, round(r.score, 9)) for r in graph_search(g, q, 3, 50, ok, callback=c).collect()) for c in CALLBACKS
+    ]
     assert found[0] == found[1] == found[2] and len(found[0]) == 9
 
 
@@ -152,3 +154,22 @@ def test_search_takes_query_tables_of_any_size(spark, monkeypatch):
     monkeypatch.setattr(api, "QUERY_BYTES", 100)
     assert key(api.search(rows, asked, 4, cond=cond)) == small
     assert api.search(rows, asked, bound=0.5, cond=cond).count() == near
+
+
+def test_walks_in_blocks_find_what_single_walks_find():
+    from vecpath.operators.graph import Shard
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(600, 12))
+    x /= np.sqrt((x * x).sum(1))[:, None]
+    g = Shard.build(np.arange(600) * 3, x, 8, 32, 1)
+    assert g.top >= 1
+    q = rng.normal(size=(40, 12))
+    for allowed in (None, rng.random(600) < 0.3, rng.random(600) < 0.01, np.zeros(600, bool)):
+        for ef in (10, 50, 5_000):
+            block, costs = g.search_block(q, 10, ef, allowed)
+            for one, found, cost in zip(q, block, costs):
+                want, spent = g.search(one, 10, ef, allowed)
+                assert [j for _, j in found] == [j for _, j in want] and np.allclose([s for s, _ in found], [s for s, _ in want])
+                assert cost["filter_probes"] > 0 or allowed is None
+                assert abs(cost["distance_evals"] - spent["distance_evals"]) <= 0.05 * spent["distance_evals"] + 20

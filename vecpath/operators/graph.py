@@ -16,6 +16,7 @@ from .scan import QueryBlock, best, densify, scan
 
 PACKED = "shard long, n long, rejected long, dim long, ids binary, vecs binary, levels binary, degrees binary, edges binary"
 INDEX_METRICS = ("ip", "cosine")
+BLOCK_NODES, BLOCK_QUERIES = 32_768, 128  # of walks that take their steps together
 
 
 class Shard:
@@ -138,6 +139,101 @@ class Shard:
         found, _ = self._walk(q, at, max(ef, k), 0, allowed, counters)
         return [(s, int(self.ids[j])) for s, j in found[:k]], counters
 
+    # ---- all queries of a block together
+
+    def neighbours(self, layer: int) -> np.ndarray:
+        """(n, width) neighbours of every node in a layer, filled up with -1."""
+        n, deg = len(self.links), np.array([len(x[layer]) if layer < len(x) else 0 for x in self.links])
+        out = np.full((n, max(1, int(deg.max(initial=0)))), -1, np.int64)
+        rows = np.repeat(np.arange(n), deg)
+        cols = np.arange(deg.sum()) - np.repeat(np.cumsum(deg) - deg, deg)
+        out[rows, cols] = np.concatenate([np.zeros(0, np.int64), *(x[layer] for x in self.links if layer < len(x))])
+        return out
+
+    def _fresh(self, nodes: np.ndarray, links: np.ndarray, act: np.ndarray, seen: np.ndarray, queries: np.ndarray):
+        """(query, slot, node, score) of the neighbours of ``nodes`` that their queries have not seen; they have now."""
+        found = links[nodes]
+        r, slot = np.nonzero((found >= 0) & ~seen[act[:, None], found])
+        node, q = found[r, slot], act[r]
+        seen[q, node] = True
+        return r, slot, node, np.einsum("ij,ij->i", self.vecs[node], queries[q])
+
+    def search_block(self, queries: np.ndarray, k: int, ef: int, allowed: np.ndarray | None = None) -> tuple[list, list[dict]]:
+        """``search`` for many queries: their walks take each step together, scored at once."""
+        b, n = len(queries), len(self.ids)
+        cost = {c: np.zeros(b, np.int64) for c in ("hops", "distance_evals", "filter_probes", "reached")}
+        if self.entry < 0:
+            return [[] for _ in range(b)], [{c: 0 for c in cost} for _ in range(b)]
+        ef, every = min(max(ef, k), n), np.arange(b)
+        node, score = np.full(b, self.entry), queries @ self.vecs[self.entry]
+        cost["distance_evals"] += 1
+        for layer in range(self.top, 0, -1):  # to the nearest node of each upper layer
+            links, act, seen = self.neighbours(layer), every, np.zeros((b, n), bool)
+            seen[every, node] = True
+            while len(act):
+                r, slot, found, s = self._fresh(node[act], links, act, seen, queries)
+                best = np.full((len(act), links.shape[1]), -np.inf)
+                best[r, slot] = s
+                to = np.full(best.shape, -1)
+                to[r, slot] = found
+                cost["hops"][act] += 1
+                cost["distance_evals"] += np.bincount(act[r], minlength=b)
+                at = best.argmax(1)
+                rows = np.flatnonzero(best[np.arange(len(act)), at] > score[act])
+                act, at = act[rows], at[rows]
+                node[act], score[act] = to[rows, at], best[rows, at]
+        links, seen = self.neighbours(0), np.zeros((b, n), bool)
+        open_, kept, ids = np.full((b, n), -np.inf), np.full((b, ef), -np.inf), np.full((b, ef), -1)
+        seen[every, node] = True
+        open_[every, node] = score
+        first = every if allowed is None else np.flatnonzero(allowed[node])
+        kept[first, 0], ids[first, 0] = score[first], node[first]
+        worst = kept.min(1)
+        cost["filter_probes"] += allowed is not None
+        act = every
+        while len(act):
+            at = open_[act].argmax(1) if len(act) < b else open_.argmax(1)
+            best = open_[act, at]
+            go = (best > -np.inf) & (best >= worst[act])
+            act, at = act[go], at[go]
+            open_[act, at] = -np.inf
+            cost["hops"][act] += 1
+            r, slot, found, s = self._fresh(at, links, act, seen, queries)
+            q = act[r]
+            evals = np.bincount(q, minlength=b)
+            cost["distance_evals"] += evals
+            cost["filter_probes"] += evals * (allowed is not None)
+            near = s > worst[q]
+            open_[q[near], found[near]] = s[near]
+            if allowed is not None:
+                near &= allowed[found]
+            if not near.any():
+                continue
+            more, names = np.full((len(act), links.shape[1]), -np.inf), np.full((len(act), links.shape[1]), -1)
+            more[r[near], slot[near]], names[r[near], slot[near]] = s[near], found[near]
+            rows = np.unique(r[near])
+            both = np.concatenate([kept[act[rows]], more[rows]], 1)
+            top = np.argpartition(-both, ef - 1, axis=1)[:, :ef]
+            kept[act[rows]] = np.take_along_axis(both, top, 1)
+            ids[act[rows]] = np.take_along_axis(np.concatenate([ids[act[rows]], names[rows]], 1), top, 1)
+            worst[act[rows]] = kept[act[rows]].min(1)
+        cost["reached"] = seen.sum(1)
+        out = []
+        for s, j in zip(kept, ids):
+            j, s = self.ids[j[s > -np.inf]], s[s > -np.inf]
+            order = np.lexsort((j, -s))[:k]
+            out.append(list(zip(s[order].tolist(), j[order].tolist())))
+        return out, [{c: int(v[i]) for c, v in cost.items()} for i in range(b)]
+
+    def search_all(self, queries: np.ndarray, k: int, ef: int, allowed=None):
+        """(found, counters) of each query: in blocks where the shard is small enough, else one after the other."""
+        bits = allowed.bits if isinstance(allowed, Bitmap) else allowed
+        if len(self.ids) <= BLOCK_NODES and (bits is None or isinstance(bits, np.ndarray)):
+            for at in range(0, len(queries), BLOCK_QUERIES):
+                yield from zip(*self.search_block(queries[at : at + BLOCK_QUERIES], k, ef, bits))
+        else:
+            yield from (self.search(q, k, ef, allowed) for q in queries)
+
     # ---- one row of the stored index
 
     def pack(self, shard: int) -> tuple:
@@ -349,8 +445,7 @@ def graph_search(
                 g = Shard.unpack(*(row[c].as_py() for c in ("n", "dim", "ids", "vecs", "levels", "degrees", "edges")))
                 allowed = look_up(g.ids, np.asarray(row["allowed"].values, np.int64)) if pre else None
                 out: list[tuple] = []
-                for q, name in zip(matrix, queries.ids.tolist()):
-                    found, c = g.search(q, k, ef, allowed)
+                for name, (found, c) in zip(queries.ids.tolist(), g.search_all(matrix, k, ef, allowed)):
                     if counters:
                         out.append((name, c["hops"], c["distance_evals"], c["filter_probes"] * columns, len(found), c["reached"], len(g.ids)))
                     else:
@@ -384,15 +479,15 @@ def graph_search_blocks(
             for i in range(batch.num_rows):
                 row = {c: batch.column(c)[i] for c in batch.schema.names}
                 g = Shard.unpack(*(row[c].as_py() for c in ("n", "dim", "ids", "vecs", "levels", "degrees", "edges")))
-                allowed = np.isin(g.ids, np.asarray(row["allowed"].values, np.int64)) if "allowed" in row else None
+                allowed = Bitmap(g.ids, np.asarray(row["allowed"].values, np.int64)) if "allowed" in row else None
                 x = np.frombuffer(row["i_x"].as_py(), float).reshape(-1, row["dim"].as_py())
                 if cosine:
                     norm = np.sqrt(np.einsum("ij,ij->i", x, x))[:, None]
                     x = x / np.where(norm > 0, norm, 1)
                 out = [
                     (name, j, s)
-                    for q, name in zip(x, np.frombuffer(row["i_ids"].as_py(), np.int64).tolist())
-                    for s, j in g.search(q, k, ef, allowed)[0]
+                    for name, (found, _) in zip(np.frombuffer(row["i_ids"].as_py(), np.int64).tolist(), g.search_all(x, k, ef, allowed))
+                    for s, j in found
                 ]
                 if out:
                     yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*out)], ["query_id", row_id, "score"])
