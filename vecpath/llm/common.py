@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.stored import shared_folder
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -14,14 +14,14 @@ WORD = r"[^\x20\x09-\x0D]+"
 def shared_dir(spark: SparkSession) -> str:
     """Folder that driver and executors share (``spark.checkpoint.dir``).
 
-    Only where the session names none (tests on one machine) a temporary
-    folder is made and set.
+    Only where the session names none and runs on one machine (tests) a
+    temporary folder is made and set; on a cluster that is an error.
     """
     sc = spark.sparkContext
     held = sc._jsc.sc().getCheckpointDir()
     named = spark.conf.get("spark.checkpoint.dir", None)
     if held.isEmpty():
-        sc.setCheckpointDir(named or "file://" + tempfile.mkdtemp(prefix="vecpath-checkpoint-"))
+        sc.setCheckpointDir(named or shared_folder(spark))
         held = sc._jsc.sc().getCheckpointDir()
     return named or str(held.get())
 
