@@ -18,6 +18,31 @@ def test_additive_model_learns_an_interaction():
     assert ((model.score(x) > 0.5) == (y > 0.5)).mean() > 0.95
 
 
+def test_scores_are_sums_of_table_entries():
+    """One row at a time, by comparing with the cut points, against the vectorised look-up."""
+    rng = np.random.default_rng(3)
+    x = np.round(rng.normal(size=(500, 4)), 1)
+    model = quality.fit(x, (x[:, 0] * x[:, 1] + x[:, 2] > 0).astype(float), rounds=20, pair_rounds=10, pairs=3)
+    assert len(model.pairs) == 3 and any(t.any() for t in model.pair_tables)
+    probe = np.round(rng.normal(size=(200, 4)) * 2, 1)
+    for row, got in zip(probe, model.score(probe)):
+        z = model.base
+        for f, v in enumerate(row):
+            z += model.tables[f][sum(v >= c for c in model.cuts[f])]
+        for (a, b), table in zip(model.pairs, model.pair_tables):
+            z += table[sum(row[a] >= c for c in model.pair_cuts[a]), sum(row[b] >= c for c in model.pair_cuts[b])]
+        assert abs(got - 1 / (1 + math.exp(-z))) < 1e-12
+
+
+def test_gathered_rows_are_bounded_and_repeated_ids_count(spark):
+    labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, quality int")
+    docs = spark.createDataFrame([(i % 40, "good prose, told well. " * 9 if i % 2 else "$$$ BUY !!! NOW ||| ") for i in range(400)], "doc_id long, text string")
+    model = quality.train(docs, labels, max_labelled=30)
+    out = quality.score(docs.distinct(), model).collect()
+    assert all((r.predicted == 1) == (r.doc_id % 2 == 1) for r in out)
+    assert (quality.train(docs.where("false"), labels).score(np.zeros((1, len(quality.FEATURES)))) > 0.99).all()
+
+
 def test_model_without_labels_rejects_nothing():
     model = quality.fit(np.zeros((0, len(quality.FEATURES))), np.zeros(0))
     assert (model.score(np.zeros((3, len(quality.FEATURES)))) > 0.99).all()

@@ -4,6 +4,7 @@ from collections import defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from vecpath.llm import jaccard, substring
 from vecpath.llm.components import components
@@ -210,3 +211,25 @@ def test_components(spark):
     for per_task in (1_000_000, 100):
         got = {r.node: r.component for r in components(spark.createDataFrame(links, "a long, b long"), per_task=per_task).collect()}
         assert got == want
+
+
+def test_jaccard_join_of_long_texts_and_clashing_columns(spark):
+    rng = random.Random(11)
+    long = word_list(rng, 60_000, 40_000)
+    near = list(long)
+    for at in rng.sample(range(60_000), 300):
+        near[at] = f"z{at}"
+    rows = [(1, " ".join(long)), (2, " ".join(near)), (3, " ".join(word_list(rng, 60_000, 40_000))), (4, "x"), (5, "w " * 30_000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumns(
+        {c: F.lit(7) for c in ("node", "n", "component_id", "n_shingles", "bucket", "_id", "_text", "component", "kind", "large")}
+    )
+    got = {r.doc_id: r for r in jaccard_join(df).collect()}
+    assert {i: r.component_id for i, r in got.items()} == {1: 1, 2: 1, 3: 3, 4: 4, 5: 5}
+    assert got[5].n_shingles == 1 and got[1].n_shingles == len({tuple(long[i : i + 5]) for i in range(len(long) - 4)})
+
+
+def test_rows_that_share_an_id_are_compared_each(spark):
+    a, b = (" ".join(f"{c}{i}" for i in range(60)) for c in "ab")
+    rows = [(1, a), (1, b), (2, a + " more"), (3, b + " more"), (3, b + " more")]
+    got = sorted(tuple(r) for r in jaccard_join(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(1, 56, 1), (1, 56, 1), (2, 57, 1), (3, 57, 1), (3, 57, 1)]

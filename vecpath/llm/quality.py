@@ -207,9 +207,9 @@ def train(
     """Fit the model on the labelled rows of ``docs``.
 
     At most ``max_labelled`` labels are used, those with the smallest hash of
-    their id, and of rows with these ids at most twice as many, those with the
-    smallest hash of their features; this bounds what the driver gathers.
-    Rows with a null id or label teach nothing; repeated rows count each.
+    their id, and at most twice as many rows with these ids, by the same hash;
+    this bounds what the driver gathers.  Rows with a null id or label teach
+    nothing; rows with one id and the same features count once.
     """
     chosen = (
         labels.where(F.col(doc_id).isNotNull() & F.col(label).isNotNull())
@@ -218,16 +218,18 @@ def train(
         .limit(max_labelled)
     )
     rows = docs.select(F.col(doc_id).alias("_id"), F.col(text).cast("string").alias("_text"))
-    rows = rows.join(F.broadcast(chosen), "_id").select("_text", "_y")
+    rows = rows.join(F.broadcast(chosen), "_id").select("_id", "_text", "_y")
+    kind = rows.schema["_id"].dataType.simpleString()
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = _rows(batch.column("_text"))
             flat_x = pa.array(np.column_stack([x, np.asarray(batch.column("_y"), float)]).ravel())
             ends = np.arange(0, len(flat_x) + 1, len(FEATURES) + 1, dtype=np.int32)
-            yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(ends), flat_x)], ["v"])
+            yield pa.RecordBatch.from_arrays([batch.column("_id"), pa.ListArray.from_arrays(pa.array(ends), flat_x)], ["_id", "v"])
 
-    made = rows.mapInArrow(work, "v array<double>").orderBy(F.xxhash64("v"), "v").limit(2 * max_labelled)
+    made = rows.mapInArrow(work, f"_id {kind}, v array<double>").dropDuplicates()
+    made = made.orderBy(F.xxhash64("_id"), "_id", "v").limit(2 * max_labelled).select("v")
     got = np.array([r[0] for r in made.collect()], float).reshape(-1, len(FEATURES) + 1)
     got = got[np.lexsort(got.T)]
     return fit(got[:, :-1], got[:, -1])
