@@ -34,3 +34,10 @@ def test_small_tiles_give_the_same_pairs(spark):
         (r.query_id, r.r_id) for r in joins._pairs(df, df, "vec_id", "vec_id", "embedding", resolve("cosine"), 0.3, None, None, None, 50, upper, tile).collect()
     )
     assert pairs(700, False) == pairs(1 << 20, False) and pairs(700, True) == pairs(1 << 20, True)
+
+
+def test_topk_join_never_broadcasts_packed_rows(spark):
+    df = vectors(spark)
+    rows, plan = ran(joins.vector_topk_join(df, df, 2, block_rows=7))
+    assert len(rows) == 600 and all(r.l_id == r.r_id for r in rows if r["rank"] == 1)
+    assert "BroadcastExchange" not in plan and "SortMergeJoin" in plan
