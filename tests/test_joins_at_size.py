@@ -41,3 +41,11 @@ def test_topk_join_never_broadcasts_packed_rows(spark):
     rows, plan = ran(joins.vector_topk_join(df, df, 2, block_rows=7))
     assert len(rows) == 600 and all(r.l_id == r.r_id for r in rows if r["rank"] == 1)
     assert "BroadcastExchange" not in plan and "SortMergeJoin" in plan
+
+
+def test_vectors_move_once_for_each_tile_of_the_other_side(spark):
+    df = vectors(spark)
+    assert len(joins.self_pairs(df, 0.3, block_rows=5).collect()) == len(joins.self_pairs(df, 0.3).collect())
+    packed, tiles = joins._packed(df, "vec_id", "embedding", None, joins.TILE_BYTES, "i")
+    row = packed.first()
+    assert tiles == 1 and len(row.i_ids) == 8 * 300 and len(row.i_x) == 4 * 8 * 300  # 60 blocks of 5 rows in one tile, floats as they are
