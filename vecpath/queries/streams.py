@@ -62,12 +62,18 @@ def queries_of(c):
     return ask
 
 
+def match_counts(c):
+    """(query_id, n): how many matches every answered request has; each micro-batch leaves its counts."""
+    count = lambda found: found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), each=count, bound=0.3)
+    return found.groupBy("query_id").agg(F.sum("n").alias("n"))
+
+
 @query("stream_answers", SQL_MATCHES)
 @query("stream_answers_all", SQL_MATCHES)
 def _(c):
     """All pending requests answered batch by batch; the rows do not depend on the batches."""
-    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), bound=0.3)
-    return found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_matches"))
+    return match_counts(c).withColumnRenamed("n", "n_matches")
 
 
 @query(
@@ -77,8 +83,7 @@ FROM events LEFT JOIN ({SQL_MATCHES}) ON event_id = query_id GROUP BY 1""",
 )
 def _(c):
     """Requests of each hour and how many matches they have."""
-    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), bound=0.3)
-    per = found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    per = match_counts(c)
     asked = c.events.select("event_id", "ts")
     return (
         asked.join(per, asked.event_id == per.query_id, "left")
