@@ -7,7 +7,8 @@ import __spark_entry__ as driver
 from vecpath.queries import ORACLES
 
 GRIDS = [
-    "access_path_matrix", "advise_grid", "choose_kernel_grid", "choose_path_grid", "cost_model_grid", "crossover_interpolated", "crossover_points", "fallback_reason_table",
+    "access_path_matrix", "advise_grid", "choose_kernel_grid", "choose_path_grid", "cost_model_grid", "crossover_interpolated", "crossover_points",
+    "fallback_reason_table", "policy_regret",
 ]
 
 
