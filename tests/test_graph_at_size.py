@@ -25,3 +25,13 @@ def test_a_build_with_many_links_considers_all_rows_in_time():
     assert len(g.ids) == 1_500 and max(len(node[0]) for node in g.links) <= 96 and max(len(y) for node in g.links for y in node[1:]) <= 48
     for q in x[:20]:
         assert [j for _, j in g.search(q, 10, 100)[0]] == best(x, q, 10)
+
+
+def test_a_saturated_walk_costs_what_it_reaches():
+    x = unit_rows(6_000)
+    g, allowed = Shard.build(np.arange(6_000) * 2, x, 8, 32, 1), np.arange(6_000) % 10 == 0
+    began = time.process_time()
+    found, cost = g.search_block(x[:100], 10, 1 << 20, allowed)
+    assert time.process_time() - began < 5  # 14 s when each step was taken by itself
+    assert [[j // 2 for _, j in f] for f in found] == [best(x, q, 10, allowed) for q in x[:100]]
+    assert all(c["reached"] == 6_000 and c["filter_probes"] == 6_000 and c["hops"] >= 6_000 for c in cost)
