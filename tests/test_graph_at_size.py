@@ -35,3 +35,12 @@ def test_a_saturated_walk_costs_what_it_reaches():
     assert time.process_time() - began < 5  # 14 s when each step was taken by itself
     assert [[j // 2 for _, j in f] for f in found] == [best(x, q, 10, allowed) for q in x[:100]]
     assert all(c["reached"] == 6_000 and c["filter_probes"] == 6_000 and c["hops"] >= 6_000 for c in cost)
+
+
+def test_a_shard_answers_thousands_of_saturated_probes():
+    x = unit_rows(4_000)
+    g, allowed = Shard.build(np.arange(4_000), x, 8, 32, 1), np.arange(4_000) % 10 == 1
+    began = time.process_time()
+    found = [f for f, _ in g.search_all(x, 5, 1 << 20, allowed)]
+    assert time.process_time() - began < 30
+    assert all([j for _, j in f] == best(x, q, 5, allowed) for f, q in zip(found, x)) and len(found) == 4_000
