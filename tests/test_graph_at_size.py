@@ -44,3 +44,24 @@ def test_a_shard_answers_thousands_of_saturated_probes():
     found = [f for f, _ in g.search_all(x, 5, 1 << 20, allowed)]
     assert time.process_time() - began < 30
     assert all([j for _, j in f] == best(x, q, 5, allowed) for f, q in zip(found, x)) and len(found) == 4_000
+
+
+def test_the_width_grows_to_the_recall(spark):
+    from vecpath.measures.accuracy import widened
+
+    exact = spark.createDataFrame([(1, i) for i in range(10)], "query_id long, vec_id long")
+    search = lambda width: exact.where(f"vec_id < {width // 20}")
+    assert widened(search, exact, 64, 1_000)[1] == 256 and widened(search, exact, 64, 100)[1] == 128
+
+
+def test_recall_ladder_equals_its_sql(spark, sf):
+    import duckdb
+
+    from vecpath.queries import ORACLES, QUERIES
+
+    con = duckdb.connect()
+    for t in ("embeddings", "orders"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{sf}/{t}.parquet')")
+    cols = ["bound", "mode", "n_exact", "recall_ok"]
+    got = QUERIES["graph_recall_ladder"](spark, sf).select(cols).collect()
+    assert sorted(map(tuple, got)) == sorted(con.execute(f"SELECT {', '.join(cols)} FROM ({ORACLES['graph_recall_ladder']})").fetchall())

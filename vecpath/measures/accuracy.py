@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,6 +17,21 @@ def recall_at_k(found: DataFrame, exact: DataFrame, row_id: str = "vec_id") -> D
     )
 
 
+def widened(search: Callable[[int], DataFrame], exact: DataFrame, width: int, most: int, least: float = 0.9) -> tuple[DataFrame, int]:
+    """(answers, width) of ``search(width)`` at the first doubling of the width whose measured recall is at least ``least``.
+
+    A width of ``most`` rows, all there are, is the last that is tried.  The
+    answers, k for each query, are kept by the session.
+    """
+    while True:
+        found = search(width).cache()
+        exactly, hits = recall_at_k(found, exact).agg(F.sum("n_exact"), F.sum("n_found")).first()
+        if width >= most or (hits or 0) >= least * (exactly or 0):
+            return found, width
+        found.unpersist()
+        width *= 2
+
+
 def shortfall(found: DataFrame, queries: DataFrame, k: int, row_id: str = "vec_id") -> DataFrame:
     """(query_id, survivors, shortfall): how many of k results are left after a filter."""
     n = found.groupBy("query_id").agg(F.count(row_id).alias("survivors"))
