@@ -165,3 +165,22 @@ def test_model_beats_the_base_on_held_out_rows(spark, sf):
     out = lm.score(docs, quality.fold("doc_id", 7) != 2).where(quality.fold("doc_id", 7) == 2)
     base, score = out.agg(F.sum("base_score"), F.sum("score")).first()
     assert score > base
+
+
+def test_long_texts_are_stepped_together(monkeypatch):
+    lengths = np.array([5_000] * 300 + [40] * 9_000)
+    blocks = list(lm._blocks(lengths))
+    assert sorted(np.concatenate(blocks).tolist()) == list(range(len(lengths)))
+    assert sum(int(lengths[b].max()) for b in blocks) < 12_000  # steps; one block for each 200,000 symbols takes over 40,000
+    assert max(int(lengths[b].sum()) for b in blocks) <= lm.BLOCK_MOST
+    assert [len(b) for b in lm._blocks(np.array([5_000_000, 3]))] == [1, 1]
+    rng = np.random.default_rng(3)
+    symbols = [rng.integers(0, 30, n) for n in (700, 650, 9, 1, *[20] * 40)]
+    flat = lambda *shape: (lambda x: x / x.sum(-1, keepdims=True))(rng.random(shape))
+    model = lm.Model(flat(4), flat(4, 4), flat(4, 30).T.copy())
+    whole, likely = lm.expected_counts(model, symbols), lm.log_likelihood(model, symbols)
+    for name, n in (("BLOCK_TOKENS", 50), ("BLOCK_ROWS", 2), ("BLOCK_MOST", 1_000), ("STRETCH", 90)):
+        monkeypatch.setattr(lm, name, n)
+    for x, y in zip(whole, lm.expected_counts(model, symbols)):
+        assert np.allclose(x, y)
+    assert np.allclose(likely, lm.log_likelihood(model, symbols)) and np.isclose(likely.sum(), whole[3])

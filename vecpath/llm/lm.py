@@ -6,6 +6,7 @@ import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -21,7 +22,9 @@ LEAST = 3  # occurrences of a word with an emission of its own
 CLASSES = 512  # classes by ending of all other words
 STATES = 10
 SEED_DOCS = 2_000
-BLOCK_TOKENS = 200_000
+GROUP = 4_000_000  # symbols of the texts that are dealt into blocks together, so that long texts meet their like
+BLOCK_TOKENS, BLOCK_ROWS = 200_000, 200  # a block has so many symbols, and more where the texts are fewer
+BLOCK_MOST = 2_000_000
 STRETCH = 400_000  # symbols whose alphas are held at a time
 LOG10 = float(np.log(10.0))
 
@@ -134,8 +137,7 @@ def vocabulary(counts: DataFrame, n_docs: int, head: int = HEAD, symbols: int =
 
 def lookup(vocab: Vocabulary, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
     """(symbol of each word and of the end, index or -1 of each word, the words without index)."""
-    get = vocab.index.get
-    at = np.fromiter((get(w, -1) for w in words), np.int64, len(words))
+    at = np.fromiter(map(vocab.index.get, words, repeat(-1)), np.int64, len(words))
     symbol = np.empty(len(words) + 1, np.int64)
     symbol[:-1] = at
     symbol[-1] = vocab.symbols + CLASSES
@@ -145,13 +147,18 @@ def lookup(vocab: Vocabulary, words: list[bytes]) -> tuple[np.ndarray, np.ndarra
 
 
 def _blocks(lengths: np.ndarray) -> Iterator[np.ndarray]:
-    """Sequence numbers in blocks of similar length, longest first."""
+    """Sequence numbers in blocks of similar length, longest first.
+
+    Steps over few sequences cost as much as over many: a block of long ones
+    has more symbols, up to ``BLOCK_MOST``, before it has fewer rows.
+    """
     order = np.argsort(-lengths, kind="stable")
     ends = np.cumsum(lengths[order])
     a = 0
     while a < len(order):
         before = ends[a - 1] if a else 0
-        b = max(a + 1, int(np.searchsorted(ends, before + BLOCK_TOKENS, "right")))
+        few, most = (int(np.searchsorted(ends, before + n, "right")) for n in (BLOCK_TOKENS, BLOCK_MOST))
+        b = max(a + 1, few, min(a + BLOCK_ROWS, most))
         yield order[a:b]
         a = b
 
@@ -170,7 +177,7 @@ def _steps(symbols: list[np.ndarray], block: np.ndarray) -> tuple[np.ndarray, np
 def log_likelihood(model: Model, symbols: list[np.ndarray]) -> np.ndarray:
     """Natural log probability of each sequence by the scaled forward recursion."""
     out = np.zeros(len(symbols))
-    lengths = np.array([len(s) for s in symbols])
+    lengths, one = np.array([len(s) for s in symbols]), np.ones(len(model.start))
     for block in _blocks(lengths):
         sym, first, active = _steps(symbols, block)
         ll = np.zeros(len(block))
@@ -178,7 +185,7 @@ def log_likelihood(model: Model, symbols: list[np.ndarray]) -> np.ndarray:
         for t, n in enumerate(active):
             e = model.emit[sym[first[t] : first[t] + n]]
             alpha = e * model.start if t == 0 else (alpha[:n] @ model.move) * e
-            scale = alpha.sum(1)
+            scale = alpha @ one
             alpha /= scale[:, None]
             ll[:n] += np.log(scale)
         out[block] = ll
@@ -187,15 +194,15 @@ def log_likelihood(model: Model, symbols: list[np.ndarray]) -> np.ndarray:
 
 def _forward(model: Model, sym: np.ndarray, first: np.ndarray, active: np.ndarray, a: int, b: int, alpha: np.ndarray | None):
     """(emissions, scaled alphas, scales) of the steps a to b - 1, after the alphas of step a - 1."""
-    lo = int(first[a])
-    e = model.emit[sym[lo : first[b]]]
+    lo, one = int(first[a]), np.ones(len(model.start))
+    e = model.emit.take(sym[lo : first[b]], axis=0)
     alphas, scales = np.empty_like(e), np.empty(len(e))
     for t in range(a, b):
         n = int(active[t])
         at = slice(first[t] - lo, first[t] - lo + n)
         alpha = e[at] * model.start if t == 0 else (alpha[:n] @ model.move) * e[at]
-        scale = alpha.sum(1)
-        alpha = alpha / scale[:, None]
+        scale = alpha @ one
+        alpha /= scale[:, None]
         alphas[at], scales[at] = alpha, scale
     return e, alphas, scales
 
@@ -228,11 +235,15 @@ def expected_counts(model: Model, symbols: list[np.ndarray]) -> tuple[np.ndarray
             for t in range(b - 1, a - 1, -1):
                 n = int(active[t])
                 at = slice(first[t] - lo, first[t] - lo + n)
-                ahead = np.ones((n, k))
-                if w is not None:
+                if w is None:
+                    ahead = np.ones((n, k))
+                else:
                     moves += alphas[at][: len(w)].T @ w
-                    ahead[: len(w)] = w @ back
-                w = ahead * e[at] / scales[at, None]
+                    ahead = w @ back
+                    if len(w) < n:  # the others end here
+                        ahead = np.concatenate([ahead, np.ones((n - len(w), k))])
+                w = ahead * e[at]
+                w /= scales[at, None]
                 alphas[at] *= ahead  # now the posterior of the states
             if a == 0:
                 starts += alphas[: int(active[0])].sum(0)
@@ -332,7 +343,7 @@ def _symbols(column: pa.Array) -> Iterator[list[np.ndarray]]:
         s = np.frombuffer(x.as_py(), np.uint16).astype(np.int64)
         group.append(s)
         size += len(s)
-        if size > 600_000:
+        if size > GROUP:
             yield group
             group, size = [], 0
     if group:
