@@ -49,3 +49,16 @@ def test_vectors_move_once_for_each_tile_of_the_other_side(spark):
     packed, tiles = joins._packed(df, "vec_id", "embedding", None, joins.TILE_BYTES, "i")
     row = packed.first()
     assert tiles == 1 and len(row.i_ids) == 8 * 300 and len(row.i_x) == 4 * 8 * 300  # 60 blocks of 5 rows in one tile, floats as they are
+
+
+def test_a_tile_moves_once_for_each_group_of_tiles(spark):
+    df = vectors(spark)
+    tile, metric = 200, resolve("cosine")
+    tiles = joins._packed(df, "vec_id", "embedding", None, tile, "i")[1]
+    pairs = joins._pairs(df, df, "vec_id", "vec_id", "embedding", metric, 0.3, None, None, None, 50, True, tile)
+    plan = pairs._jdf.queryExecution().optimizedPlan().toString()
+    ways = int(np.ceil(np.sqrt(4 * spark.sparkContext.defaultParallelism)))
+    assert tiles == 48 and max(ways, 3) < tiles and f"% {max(ways, 3)}" in plan  # before: 48 times
+    want = sorted((r.query_id, r.r_id) for r in joins._pairs(df, df, "vec_id", "vec_id", "embedding", metric, 0.3, None, None, None, 50, True).collect())
+    got = sorted((r.query_id, r.r_id) for r in pairs.collect())
+    assert got == want and len(set(got)) == len(got)
