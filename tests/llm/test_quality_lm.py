@@ -1,9 +1,12 @@
 import math
 import random
+import sys
 import zlib
 from collections import Counter
+from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 
 from vecpath.llm import lm, quality
@@ -184,3 +187,66 @@ def test_long_texts_are_stepped_together(monkeypatch):
     for x, y in zip(whole, lm.expected_counts(model, symbols)):
         assert np.allclose(x, y)
     assert np.allclose(likely, lm.log_likelihood(model, symbols)) and np.isclose(likely.sum(), whole[3])
+
+
+def in_tasks(monkeypatch, f, *args):
+    """(what the Arrow function of ``f`` gives for a batch, calls it made), without Spark."""
+    seen = []
+
+    class Docs:
+        schema = {"_id": SimpleNamespace(dataType=SimpleNamespace(simpleString=lambda: "long"))}
+        select = groupBy = agg = lambda self, *_: self
+
+        def mapInArrow(self, work, schema):
+            seen.append(work)
+            return self
+
+    monkeypatch.setattr(lm, "cut", lambda docs: docs)
+    monkeypatch.setattr(lm, "F", SimpleNamespace(sum=lambda _: SimpleNamespace(alias=lambda _: None)))
+    f(Docs(), *args)
+
+    def run(batch):
+        calls = [0]
+        before = sys.getprofile()
+        sys.setprofile(lambda frame, event, arg: calls.__setitem__(0, calls[0] + event.endswith("call")))
+        try:
+            got = list(seen[0](iter([batch])))
+        finally:
+            sys.setprofile(before)
+        return [r for b in got for r in b.to_pylist()], calls[0]
+
+    return run
+
+
+def test_words_are_counted_and_encoded_without_a_call_for_each(monkeypatch):
+    rng = random.Random(11)
+    odd = [None, "", " ", "A", "\u00c9a\u00c9 a\tB\x0b\x0cb\r\n", "x\x00y \x1f\u00a0 a", "nine", " nine ", "", "\u00df", "ab" * 5_000]
+    texts = odd + [" ".join(f"W{int(9_000 * rng.random() ** 2)}" for _ in range(20_000)), *odd[::-1]]
+    plain = [(t or "").encode().lower().split() for t in texts]
+    counts = Counter(w for ws in plain for w in ws)
+    rows, calls = in_tasks(monkeypatch, lm.count_words, "t")(pa.record_batch({"t": pa.array(texts, pa.string())}))
+    assert sorted((r["word"], r["n"]) for r in rows) == sorted(counts.items())
+    assert calls < 3_000
+    head = sorted(counts, key=lambda w: (-counts[w], w))[:4_000]
+    total, distinct = np.zeros(lm.CLASSES, np.int64), np.zeros(lm.CLASSES, np.int64)
+    for w in counts.keys() - set(head[:900]):
+        total[lm.class_of(w)] += counts[w]
+        distinct[lm.class_of(w)] += 1
+    n = sum(counts.values()) + len(texts)
+    v = lm.Vocabulary({w: i for i, w in enumerate(head)}, np.array([counts[w] for w in head]), len(texts), n, len(counts) + 1, total, distinct, 900)
+    ids = pa.array(range(len(texts)))
+    batch = pa.record_batch({"_row": ids, "_id": ids, "_train": ids.cast(pa.bool_()), "_text": pa.array(texts, pa.string())})
+    rows, calls = in_tasks(monkeypatch, lm.encoded, SimpleNamespace(value=v), "_text", "_id")(batch)
+    assert calls < 3_000  # one for each word without an emission of its own would be some 13,000
+    assert [r["_id"] for r in rows] == ids.to_pylist()
+    for r, ws in zip(rows, plain):
+        rest = Counter(w for w in ws if w not in v.index)
+        assert dict(zip(r["_tail"], r["_times"])) == rest and len(r["_tail"]) == len(rest)
+        at = [v.index.get(w, -1) for w in ws]
+        symbol = [i if 0 <= i < 900 else 900 + lm.class_of(w) for i, w in zip(at, ws)] + [900 + lm.CLASSES]
+        assert np.frombuffer(r["_symbols"], np.uint16).tolist() == symbol
+        assert (r["n_tokens"], r["_known"]) == (len(ws) + 1, len(ws) - sum(rest.values()) + 1)
+        base = sum(math.log10(counts[w] + 1) for w in ws if w in v.index) + math.log10(len(texts) + 1) - len(symbol) * v.base_denominator()
+        share = sum(math.log10(counts[w] + 1) for w, i in zip(ws, at) if i >= 900)
+        share -= sum(math.log10(total[s - 900] + distinct[s - 900] + 1) for s in symbol[:-1] if s >= 900)
+        assert math.isclose(r["_base"], base, rel_tol=1e-9) and math.isclose(r["_within"], share, rel_tol=1e-9, abs_tol=1e-9)
