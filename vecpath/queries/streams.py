@@ -64,8 +64,7 @@ def queries_of(c):
 
 def match_counts(c):
     """(query_id, n): how many matches every answered request has; each micro-batch leaves its counts."""
-    count = lambda found: found.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
-    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), each=count, bound=0.3)
+    found = answer_batches(c.spark, request_stream(c.spark, c.sf_dir), c.embeddings, queries_of(c), counts=True, bound=0.3)
     return found.groupBy("query_id").agg(F.sum("n").alias("n"))
 
 
